@@ -8,6 +8,7 @@ key can go back.  Separators and letter case stay where they were.
 
 from __future__ import annotations
 
+import bisect
 import datetime
 import hashlib
 import re
@@ -30,7 +31,7 @@ _NUMBERS = re.compile(
     |(?P<ssn>\d{3}-\d\d-\d{4})
     |(?P<ip>\d{1,3}(?:\.\d{1,3}){3}(?!\.\d))
     |(?P<phone>\+\d{1,3}[ .-]?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\+\d{1,3}(?:[ .-]\d{2,4}){3,4}|\+\d{9,15}|\(\d{3}\)[ ]?\d{3}[.-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})
-    |(?P<card>\d(?:[ -]?\d){12,18})
+    |(?P<card>\d{13,19}|\d{4}([ -])\d{4}\6\d{4}\6\d{1,7}|\d{4}([ -])\d{6}\7\d{5})
     )(?![\w/-])""",
     re.X,
 )
@@ -156,6 +157,11 @@ def _iban(text: str, key: bytes, back: bool) -> str | None:
     return "".join(c if c == " " else next(new) for c in text)
 
 
+@lru_cache(1)
+def _late_days() -> list[int]:
+    return [n for n in range(_FIRST, _LAST + 1) if datetime.date.fromordinal(n).day > 12]
+
+
 def _date(text: str, key: bytes, back: bool) -> str | None:
     separator = next(c for c in text if not c.isdigit())
     parts = text.split(separator)
@@ -170,7 +176,12 @@ def _date(text: str, key: bytes, back: bool) -> str | None:
         return None
     if not _FIRST <= day <= _LAST:
         return None
-    new = datetime.date.fromordinal(_FIRST + permute(day - _FIRST, _LAST - _FIRST + 1, key, b"date", back))
+    if month_first:  # only days over 12 show that the month is first: permute among those
+        late = _late_days()
+        new = late[permute(bisect.bisect_left(late, day), len(late), key, b"month-first", back)]
+    else:
+        new = _FIRST + permute(day - _FIRST, _LAST - _FIRST + 1, key, b"date", back)
+    new = datetime.date.fromordinal(new)
     padded = year_first and separator == "-" or all(len(p) >= 2 for p in parts)
     shown = [str(new.month).zfill(2 if padded else 1), str(new.day).zfill(2 if padded else 1)]
     if not year_first and not month_first:

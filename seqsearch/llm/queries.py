@@ -7,21 +7,86 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import simhash
+from . import caps, decontaminate, langid, licenses, pieces, pii, simhash, toxicity, urls
+
+#: The tokenizer file, a parameter of the operators; and the demonstration key of the pseudonyms.
+VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
+KEY = b"demonstration key, not a secret"
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(_table(spark, sf_dir, "documents"), KEY)
+
+
+def op2_trie_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.token_counts(_table(spark, sf_dir, "documents"), pieces.load_vocabulary(VOCABULARY))
+
+
+def op3_compression_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit_on(docs, _table(spark, sf_dir, "labels")))
+
+
+def op4_sentencepiece_coding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.encode_decode(_table(spark, sf_dir, "documents"), pieces.load_vocabulary(VOCABULARY))
+
+
+def op5_pigeonhole_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(_table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op7_cap_filter_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return caps.near_duplicates(_table(spark, sf_dir, "embeddings"))
+
+
+def op8_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = urls.judge(_table(spark, sf_dir, "pages"))
+    return found.select("page_id", "host", "path", "rule", "verdict", "pattern")
+
+
+def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(_table(spark, sf_dir, "documents")).drop("detections")
+
+
+def op10_compression_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.fit_on(docs))
+
+
+OPERATORS = (
+    op1_feistel_pseudonyms, op2_trie_token_counts, op3_compression_toxicity, op4_sentencepiece_coding, op5_pigeonhole_decontamination,
+    op6_simhash_near_dedup, op7_cap_filter_near_dedup, op8_url_filters, op9_license_scan, op10_compression_language,
+)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op6_simhash_near_dedup": op6_simhash_near_dedup}
+    return {f.__name__: f for f in OPERATORS}
+
+
+#: All pairs of equal label; only for checks on small tables.
+CAPS_SQL = """
+WITH RECURSIVE e AS (
+    SELECT row_number() OVER () AS n, vec_id, label, list_transform(embedding, x -> x::DOUBLE) AS v FROM embeddings),
+g AS (SELECT *, sqrt(list_sum(list_transform(v, x -> x * x))) AS norm FROM e
+      WHERE label IS NOT NULL AND v IS NOT NULL AND len(list_filter(v, x -> x IS NULL OR NOT isfinite(x))) = 0),
+p AS (SELECT a.n AS a, b.n AS b, a.vec_id AS ia, b.vec_id AS ib FROM g a JOIN g b ON a.label = b.label AND a.n <> b.n
+      WHERE a.norm > 0 AND b.norm > 0 AND list_dot_product(a.v, b.v) / (a.norm * b.norm) >= 0.98),
+r AS (SELECT DISTINCT ia AS vec_id, ia AS other FROM p UNION SELECT r.vec_id, p.ib FROM r JOIN p ON p.ia = r.other),
+c AS (SELECT vec_id, min(other) AS root FROM r GROUP BY vec_id),
+d AS (SELECT a AS n, count(*) AS links FROM p GROUP BY a)
+SELECT e.vec_id, coalesce(d.links, 0)::BIGINT AS n_links, coalesce(c.root, e.vec_id) AS component_id,
+       e.vec_id = coalesce(c.root, e.vec_id) AS kept
+FROM e LEFT JOIN d ON d.n = e.n LEFT JOIN c ON c.vec_id = e.vec_id"""
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op7_cap_filter_near_dedup": CAPS_SQL, "op8_url_filters": urls.verdict_sql()}
