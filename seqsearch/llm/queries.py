@@ -75,9 +75,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 #: All pairs of equal label; only for checks on small tables.
 CAPS_SQL = """
 WITH RECURSIVE e AS (
-    SELECT row_number() OVER () AS n, vec_id, label, list_transform(embedding, x -> x::DOUBLE) AS v FROM embeddings),
-g AS (SELECT *, sqrt(list_sum(list_transform(v, x -> x * x))) AS norm FROM e
-      WHERE label IS NOT NULL AND v IS NOT NULL AND len(list_filter(v, x -> x IS NULL OR NOT isfinite(x))) = 0),
+    SELECT row_number() OVER () AS n, vec_id, label, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings),
+g AS (SELECT *, sqrt(list_sum(list_transform(v, lambda x: x * x))) AS norm FROM e
+      WHERE label IS NOT NULL AND v IS NOT NULL AND len(list_filter(v, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
 p AS (SELECT a.n AS a, b.n AS b, a.vec_id AS ia, b.vec_id AS ib FROM g a JOIN g b ON a.label = b.label AND a.n <> b.n
       WHERE a.norm > 0 AND b.norm > 0 AND list_dot_product(a.v, b.v) / (a.norm * b.norm) >= 0.98),
 r AS (SELECT DISTINCT ia AS vec_id, ia AS other FROM p UNION SELECT r.vec_id, p.ib FROM r JOIN p ON p.ia = r.other),
