@@ -7,15 +7,8 @@ from pyspark.sql import functions as F
 
 
 def word_counts(sequences: DataFrame) -> DataFrame:
-    """POSTING: (seq_id, word, cnt); counted in each row, so nothing is shuffled."""
-    words = F.array_sort(F.col("tokens"))
-    # runs of equal words in sorted order: a place starts a run if its left neighbour differs
-    n = F.size(words)
-    starts = F.filter(F.when(n > 0, F.sequence(F.lit(0), n - 1)).otherwise(F.array().cast("array<int>")), lambda i: (i == 0) | (F.get(words, i) != F.get(words, i - 1)))
-    rows = sequences.select("seq_id", words.alias("w"), starts.alias("s"))
-    size = F.size("s")
-    runs = F.transform("s", lambda a, k: F.struct(F.get("w", a).alias("word"), (F.when(k + 1 < size, F.get("s", k + 1)).otherwise(F.size("w")) - a).cast("bigint").alias("cnt")))
-    return rows.select("seq_id", F.explode(runs).alias("r")).select("seq_id", "r.word", "r.cnt")
+    """POSTING: (seq_id, word, cnt).  A sequence is one row, so nearly all counting is done before the shuffle."""
+    return sequences.select("seq_id", F.explode("tokens").alias("word")).groupBy("seq_id", "word").agg(F.count("*").alias("cnt"))
 
 
 def norms(counts: DataFrame) -> DataFrame:

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..config import PERIODIC_PEAKS, PERIODIC_THETA
+from ..functions.times import let
 
 
 def _centred(tokens: Column) -> Column:
@@ -22,14 +23,26 @@ def _products(u: Column, lag: Column) -> Column:
     return F.aggregate(pairs, F.lit(0).cast("bigint"), lambda s, x: s + x)
 
 
+def _sums(tokens: Column, max_lag: int | None) -> Column:
+    """struct(den, nums): the sums for lag 0 and for lags 1, 2, ..."""
+
+    def of(u: Column) -> Column:
+        last = F.size(u) - 1
+        last = F.least(last, F.lit(max_lag)) if max_lag is not None else last
+        lags = F.when(last >= 1, F.sequence(F.lit(1), last)).otherwise(F.array().cast("array<int>"))
+        return F.struct(_products(u, F.lit(0)).alias("den"), F.transform(lags, lambda t: _products(u, t)).alias("nums"))
+
+    return let(_centred(tokens), of)
+
+
+def _ratios(s: Column) -> Column:
+    return F.transform(s["nums"], lambda x: F.when(s["den"] > 0, x / s["den"]))
+
+
 def autocorrelation(sequences: DataFrame, max_lag: int | None = None) -> DataFrame:
     """(seq_id, den, nums, ac): ``nums[k]`` is the sum for lag k + 1, ``ac`` their ratio to ``den``; null if constant."""
-    rows = sequences.select("seq_id", _centred(F.col("tokens")).alias("u"))
-    last = F.size("u") - 1
-    last = F.least(last, F.lit(max_lag)) if max_lag is not None else last
-    lags = F.when(last >= 1, F.sequence(F.lit(1), last)).otherwise(F.array().cast("array<int>"))
-    rows = rows.select("seq_id", _products(F.col("u"), F.lit(0)).alias("den"), F.transform(lags, lambda t: _products(F.col("u"), t)).alias("nums"))
-    return rows.withColumn("ac", F.transform("nums", lambda x: F.when(F.col("den") > 0, x / F.col("den"))))
+    made = let(_sums(F.col("tokens"), max_lag), lambda s: F.struct(s["den"].alias("den"), s["nums"].alias("nums"), _ratios(s).alias("ac")))
+    return sequences.select("seq_id", made.alias("s")).select("seq_id", "s.den", "s.nums", "s.ac")
 
 
 def periodicity(sequences: DataFrame, theta: float = PERIODIC_THETA, min_peaks: int = PERIODIC_PEAKS, max_lag: int | None = None, plateau: bool = False) -> DataFrame:
@@ -40,16 +53,21 @@ def periodicity(sequences: DataFrame, theta: float = PERIODIC_THETA, min_peaks:
     empty sequence has no peaks.
     """
     t = Fraction(str(theta))
-    rows = autocorrelation(sequences, max_lag)
 
-    def over(i: Column) -> Column:
-        here, left, right = F.get("nums", i - 1), F.when(i > 1, F.get("nums", i - 2)).otherwise(F.col("den")), F.get("nums", i)
-        shape = (here >= left) & (here >= right) & ((here > left) | (here > right)) if plateau else (here > left) & (here > right)
-        return shape & (here * t.denominator > F.col("den") * t.numerator)
+    def tagged(s: Column) -> Column:
+        nums, den = s["nums"], s["den"]
+
+        def over(i: Column) -> Column:
+            here, left, right = F.get(nums, i - 1), F.when(i > 1, F.get(nums, i - 2)).otherwise(den), F.get(nums, i)
+            shape = (here >= left) & (here >= right) & ((here > left) | (here > right)) if plateau else (here > left) & (here > right)
+            return shape & (here * t.denominator > den * t.numerator)
+
+        inner = F.when(F.size(nums) >= 2, F.sequence(F.lit(1), F.size(nums) - 1)).otherwise(F.array().cast("array<int>"))
+        peaks = F.when(den > 0, F.filter(inner, over)).otherwise(F.array().cast("array<int>"))
+        return F.struct(_ratios(s).alias("ac"), peaks.alias("peaks"))
 
-    inner = F.when(F.size("nums") >= 2, F.sequence(F.lit(1), F.size("nums") - 1)).otherwise(F.array().cast("array<int>"))
-    peaks = F.when(F.col("den") > 0, F.filter(inner, over)).otherwise(F.array().cast("array<int>"))
-    return rows.withColumn("peaks", peaks).select("seq_id", "ac", "peaks", (F.size("peaks") >= min_peaks).alias("is_periodic"))
+    rows = sequences.select("seq_id", let(_sums(F.col("tokens"), max_lag), tagged).alias("s"))
+    return rows.select("seq_id", "s.ac", "s.peaks", (F.size("s.peaks") >= min_peaks).alias("is_periodic"))
 
 
 def dominant_period(periodic: DataFrame) -> DataFrame:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from seqsearch.functions.times import micros
+
 
 def interval_join(left: DataFrame, right: DataFrame, key: str, ts_left: str, ts_right: str, low: float, high: float, bucket: float | None = None) -> DataFrame:
     """Pairs of equal key with low <= right - left <= high seconds.
@@ -13,7 +15,7 @@ def interval_join(left: DataFrame, right: DataFrame, key: str, ts_left: str, ts_
     join is by equality and never pairs a whole key with itself.
     """
     width = bucket or max(high - low, 1e-6)
-    a, b = F.unix_micros(ts_left) / 1_000_000.0, F.unix_micros(ts_right) / 1_000_000.0
+    a, b = micros(ts_left) / 1_000_000.0, micros(ts_right) / 1_000_000.0
     first, last = F.floor((a + low) / width), F.floor((a + high) / width)
     le = left.withColumn("__b", F.explode(F.sequence(first, last)))
     ri = right.withColumn("__b", F.floor(b / width))
@@ -40,7 +42,7 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, ts: str, values: list
     out = both.withColumn("__m", found).where(F.col("__l").isNotNull())
     near = F.lit(True)
     if tolerance is not None:
-        near = F.abs(F.unix_micros(ts) - F.unix_micros("__m.t")) <= int(tolerance * 1_000_000)
+        near = F.abs(micros(ts) - micros("__m.t")) <= int(tolerance * 1_000_000)
     names = {v: v if v not in own else f"{v}_right" for v in values}
     return out.select("__l.*", *[F.when(near, F.col(f"__m.{v}")).alias(names[v]) for v in values])
 
@@ -78,7 +80,7 @@ def rank_candidates(pairs: DataFrame, k: int, how: str = "row_number", by: str =
 def event_gaps(events: DataFrame) -> DataFrame:
     """Events with the seconds since the user's previous one and until the next."""
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    t = F.unix_micros("ts") / 1_000_000.0
+    t = micros("ts") / 1_000_000.0
     return events.select("event_id", "user_id", (t - F.lag(t).over(w)).alias("since"), (F.lead(t).over(w) - t).alias("until"))
 
 
@@ -90,7 +92,7 @@ def running_mix(events: DataFrame, rows: int = 5) -> DataFrame:
 
 def range_frame(events: DataFrame, seconds: int = 3600) -> DataFrame:
     """Number and value of a user's events in the last so many seconds, this one included."""
-    w = Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-seconds * 1_000_000, 0)
+    w = Window.partitionBy("user_id").orderBy(micros("ts")).rangeBetween(-seconds * 1_000_000, 0)
     return events.select("event_id", "user_id", F.count("*").over(w).alias("n"), F.max("value").over(w).alias("top"))
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -40,3 +42,12 @@ def write_bucketed(df: DataFrame, table: str, buckets: int, key: str = "seq_id",
 def parse_props(events: DataFrame, field: str = "k") -> DataFrame:
     """The JSON of ``props`` as a column."""
     return events.withColumn(field, F.from_json("props", f"{field} INT")[field])
+
+
+def work_dir(spark: SparkSession, name: str) -> str:
+    """A new folder that the driver and all executors see: under spark.checkpoint.dir; one of our own only where none is set."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or _OWN.setdefault("dir", tempfile.mkdtemp(prefix="seqsearch-"))
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+_OWN: dict[str, str] = {}

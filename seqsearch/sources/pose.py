@@ -8,6 +8,9 @@ from typing import Protocol
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from seqsearch.functions.times import micros
+
+from ..functions.times import let
 from .io import read_table
 
 
@@ -75,7 +78,7 @@ def resample(df: DataFrame, key: str, time: str, value: str, hz: float, how: str
 
     linear: between the neighbours; last: the latest value at or before.  Of equal times the last by value counts.
     """
-    seconds = F.col(time).cast("double") if dict(df.dtypes)[time] in ("double", "float") else F.unix_micros(time) / 1_000_000.0
+    seconds = F.col(time).cast("double") if dict(df.dtypes)[time] in ("double", "float") else micros(time) / 1_000_000.0
     points = df.select(F.col(key).alias("key"), seconds.alias("t"), F.col(value).cast("double").alias("v")).groupBy("key", "t").agg(F.max("v").alias("v"))
     w = Window.partitionBy("key").orderBy("t")
     span = points.withColumn("t1", F.lead("t").over(w)).withColumn("v1", F.lead("v").over(w)).withColumn("t0", F.min("t").over(Window.partitionBy("key")))
@@ -135,7 +138,7 @@ def segment(frames: DataFrame, length: int) -> DataFrame:
 def segment_by_gap(df: DataFrame, key: str, time: str, order: list[str], gap: float) -> DataFrame:
     """Append ``segment``: 0, 1, ... within the key, a new one where more than ``gap`` seconds passed."""
     by = Window.partitionBy(key).orderBy(*order)
-    passed = (F.unix_micros(time) - F.lag(F.unix_micros(time)).over(by)) / 1_000_000.0
+    passed = (micros(time) - F.lag(micros(time)).over(by)) / 1_000_000.0
     return df.withColumn("segment", F.sum(F.coalesce((passed > gap).cast("int"), F.lit(0))).over(by))
 
 
@@ -149,17 +152,22 @@ def map_labels(items: DataFrame, dictionary: DataFrame, mode: str = "contains",
         return F.filter(F.split(F.lower(F.coalesce(c, F.lit(""))), "[^\\p{L}\\p{N}]+"), lambda w: w != "")
 
     names = dictionary.select(F.col(label_id).alias("label"), split(label).alias("lw")).where(F.size("lw") > 0)
-    texts = items.select(F.col(item_id).alias("item"), split(text).alias("tw"))
     if mode == "contains":
         key = names.withColumn("k", F.least(F.size("lw"), F.lit(words))).withColumn("key", F.concat_ws(" ", F.slice("lw", F.lit(1), F.col("k"))))
-        starts = F.when(F.size("tw") > 0, F.sequence(F.lit(1), F.size("tw"))).otherwise(F.array().cast("array<int>"))
-        out = None
-        for k in range(1, words + 1):
-            grams = F.array_distinct(F.transform(F.filter(starts, lambda i: i <= F.size("tw") - (k - 1)), lambda i: F.concat_ws(" ", F.slice("tw", i, k))))
-            part = texts.select("item", F.concat(F.lit(" "), F.concat_ws(" ", "tw"), F.lit(" ")).alias("all"), F.explode(grams).alias("key")).join(key.where(F.col("k") == k), "key")
-            out = part if out is None else out.unionByName(part)
-        found = out.where(F.contains("all", F.concat(F.lit(" "), F.concat_ws(" ", "lw"), F.lit(" ")))).select("item", "label", F.size("lw").alias("size"))
+
+        def gram(tw: Column, k: int):
+            return lambda i: F.concat_ws(" ", F.slice(tw, i, k))
+
+        def starts(tw: Column) -> Column:
+            n = F.size(tw)
+            parts = [F.when(n >= k, F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), gram(tw, k)))).otherwise(F.array().cast("array<string>")) for k in range(1, words + 1)]
+            return F.struct(F.concat(F.lit(" "), F.concat_ws(" ", tw), F.lit(" ")).alias("whole"), F.concat(*parts).alias("keys"))
+
+        texts = items.select(F.col(item_id).alias("item"), let(split(text), starts).alias("s")).select("item", "s.whole", F.explode("s.keys").alias("key"))
+        small = key.select("label", "key", F.size("lw").alias("size"), F.concat(F.lit(" "), F.concat_ws(" ", "lw"), F.lit(" ")).alias("wanted"))
+        found = texts.join(small, "key").where(F.contains("whole", F.col("wanted"))).select("item", "label", "size")
     else:
+        texts = items.select(F.col(item_id).alias("item"), split(text).alias("tw"))
         left = texts.select("item", F.explode(F.array_distinct("tw")).alias("w"))
         right = names.select("label", F.size(F.array_distinct("lw")).alias("n"), F.size("lw").alias("size"), F.explode(F.array_distinct("lw")).alias("w"))
         found = left.join(right, "w").groupBy("item", "label", "n", "size").agg(F.count("*").alias("c")).where(F.col("c") >= min_overlap * F.col("n")).select("item", "label", "size")

@@ -8,6 +8,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from seqsearch.functions.times import micros
+
 #: The number of each kind of event.
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
 
@@ -29,7 +31,7 @@ def event_token(buckets: int = 1) -> Column:
 
 def event_tokens(events: DataFrame, buckets: int = 1) -> DataFrame:
     """A sequence for each user: kind of event, by ``buckets`` of 20 of its value; times are mean gaps since the first."""
-    seq = as_sequences(events, "user_id", [F.col("ts"), F.col("event_id")], event_token(buckets), F.unix_micros("ts") / 1_000_000)
+    seq = as_sequences(events, "user_id", [F.col("ts"), F.col("event_id")], event_token(buckets), micros("ts") / 1_000_000)
     first, last = F.col("times")[0], F.element_at("times", -1)
     gap = F.when((F.col("len") > 1) & (last > first), (last - first) / (F.col("len") - 1)).otherwise(F.lit(1.0))
     return seq.withColumn("times", F.transform("times", lambda t: (t - first) / gap))
@@ -117,14 +119,14 @@ def perturb(sequences: DataFrame, instances: int = 5, noise: int = 30, vocabular
 def planted_rhythm(sequences: DataFrame, length: int = 36, periods: tuple[int, ...] = (3, 4, 6), noises: tuple[int, ...] = (0, 10, 30), vocabulary: int = 5) -> DataFrame:
     """SEQ whose tokens repeat the first r tokens of each sequence up to ``length``, with noise; class ``r|noise``."""
     shapes = F.explode(F.array(*[F.struct(F.lit(r).alias("r"), F.lit(p).alias("p")) for r in periods for p in noises])).alias("shape")
-    rows = sequences.where(F.col("len") >= max(periods)).select("seq_id", "tokens", shapes)
+    rows = sequences.where(F.col("len") >= max(periods)).select(F.col("seq_id").alias("base"), "tokens", shapes)
 
     def item(i: Column) -> Column:
         w = F.element_at("tokens", (i % F.col("shape.r") + 1).cast("int"))
         inst = F.col("shape.r") * 100 + F.col("shape.p")
-        return F.when(draw(F.col("seq_id"), inst, i, "s") % 100 < F.col("shape.p"), (w + 1 + draw(F.col("seq_id"), inst, i, "v") % (vocabulary - 1)) % vocabulary).otherwise(w).cast("int")
+        return F.when(draw(F.col("base"), inst, i, "s") % 100 < F.col("shape.p"), (w + 1 + draw(F.col("base"), inst, i, "v") % (vocabulary - 1)) % vocabulary).otherwise(w).cast("int")
 
     tokens = F.transform(F.sequence(F.lit(0), F.lit(length - 1)), item)
     cls = F.concat_ws("|", F.col("shape.r").cast("string"), F.col("shape.p").cast("string"))
     inst = F.col("shape.r") * 100 + F.col("shape.p")
-    return rows.select((F.col("seq_id") * 1000 + inst).alias("seq_id"), cls.alias("class_id"), inst.alias("instance_id"), tokens.alias("tokens"), F.lit(None).cast("array<double>").alias("times")).withColumn("len", F.size("tokens"))
+    return rows.select((F.col("base") * 1000 + inst).alias("seq_id"), cls.alias("class_id"), inst.alias("instance_id"), tokens.alias("tokens"), F.lit(None).cast("array<double>").alias("times")).withColumn("len", F.size("tokens"))

@@ -8,31 +8,33 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from seqsearch.functions.times import micros
+
 from ..operators.histogram import merge_index
 from ..plans.retrieve import RetrievalPlan, retrieve
 from ..sources.tokens import event_token
 
 
-def sessions(events: DataFrame, gap: str = "30 minutes", delay: str = "1 hour", buckets: int = 1) -> DataFrame:
+def sessions(events: DataFrame, gap: str = "30 minutes", delay: str | None = "1 hour", buckets: int = 1) -> DataFrame:
     """SEQ of closed sessions: events of a user without a pause of ``gap``; works on streams and on tables alike.
 
-    Rows later than ``delay`` behind the newest are dropped on a stream.  seq_id is a hash of user and start.
+    Rows later than ``delay`` behind the newest are dropped on a stream (None: all are kept, in complete mode).  seq_id is a hash of user and start.
     """
     rows = events.select("user_id", "ts", "event_id", event_token(buckets).alias("token"))
-    if events.isStreaming:
-        rows = rows.withWatermark("ts", delay)
+    if events.isStreaming and delay:
+        rows = rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
     item = F.struct("ts", "event_id", "token")
     grouped = rows.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.array_sort(F.collect_list(item)).alias("items"))
     start = F.col("w.start")
-    times = F.transform("items", lambda x: (F.unix_micros(x["ts"]) - F.unix_micros(start)) / 1_000_000.0)
+    times = F.transform("items", lambda x: (micros(x["ts"]) - micros(start)) / 1_000_000.0)
     return grouped.select(F.xxhash64("user_id", start).alias("seq_id"), F.col("user_id").cast("string").alias("class_id"), F.lit(0).alias("instance_id"), F.col("items.token").alias("tokens"), times.alias("times"), F.size("items").alias("len"), start.alias("start"))
 
 
-def histograms(events: DataFrame, width: str = "1 day", slide: str | None = None, delay: str = "1 day", buckets: int = 1) -> DataFrame:
+def histograms(events: DataFrame, width: str = "1 day", slide: str | None = None, delay: str | None = "1 day", buckets: int = 1) -> DataFrame:
     """(user_id, start, word, cnt) of tumbling or sliding windows."""
     rows = events.select("user_id", "ts", event_token(buckets).alias("word"))
-    if events.isStreaming:
-        rows = rows.withWatermark("ts", delay)
+    if events.isStreaming and delay:
+        rows = rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     return rows.groupBy(w.alias("w"), "user_id", "word").agg(F.count("*").alias("cnt")).select("user_id", F.col("w.start").alias("start"), "word", "cnt")
 
@@ -41,7 +43,7 @@ def without_replays(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     """Each event id once, within the watermark."""
     if not events.isStreaming:
         return events.dropDuplicates(["event_id"])
-    return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
 def index_batch(path: str, buckets: int = 16) -> Callable[[DataFrame, int], None]:
