@@ -146,14 +146,15 @@ def total_loss(reconstruction: float, commit: float, codebook: float, entropy: f
 
 
 def initial_codebook(patches: DataFrame, codes: int, seed: int = 7, collapsed: bool = False) -> DataFrame:
-    """CODEBOOK of patches drawn by a hash; collapsed: all codes near the mean patch, where a fit without revival stays."""
+    """CODEBOOK of patches drawn by a hash; collapsed: all codes near the
+    mean patch, in directions of no patch (reversed ones), so that a fit without revival never uses some."""
     h = F.md5(F.concat_ws("|", F.lit(f"start{seed}"), F.col("clip_id").cast("string"), F.col("patch_idx").cast("string")))
     top = patches.select(h.alias("h"), "clip_id", "patch_idx", "vec").orderBy("h", "clip_id", "patch_idx").limit(codes)
     w = Window.partitionBy(F.lit(0)).orderBy("h", "clip_id", "patch_idx")  # K rows
     rows = top.select((F.row_number().over(w) - 1).alias("code"), "vec")
     if collapsed:
         mean = patches.select(F.posexplode("vec").alias("i", "x")).groupBy("i").agg(F.avg("x").alias("x")).agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("mean"))
-        rows = rows.crossJoin(mean).select("code", F.zip_with("vec", "mean", lambda v, m: m + 0.01 * (v - m)).alias("vec"))  # a single row
+        rows = rows.crossJoin(mean).select("code", F.zip_with(F.reverse("vec"), "mean", lambda v, m: m + 0.01 * (v - m)).alias("vec"))  # a single row
     return rows.select(F.col("code").cast("int"), F.col("vec").alias("centroid"), F.lit(1.0).alias("ema_n"), F.col("vec").alias("ema_m"), F.lit(0).alias("epoch"))
 
 
