@@ -15,7 +15,7 @@ from . import native, wavefront
 #: name -> Column function of (a, b, ta, tb); see register_metric.
 USER_METRICS: dict[str, Callable[..., Column]] = {}
 #: Pairs that one sweep takes; longer sequences take fewer.
-SWEEP_CELLS = 1 << 17
+SWEEP_CELLS = 1 << 14
 
 
 def register_metric(name: str, fn: Callable[..., Column]) -> None:
@@ -24,7 +24,11 @@ def register_metric(name: str, fn: Callable[..., Column]) -> None:
 
 
 def attach_tokens(pairs: DataFrame, queries: DataFrame, base: DataFrame, strategy: str = "auto") -> DataFrame:
-    """Pairs with the token arrays a, b and times ta, tb.  strategy: auto, broadcast, merge, shuffle_hash."""
+    """Pairs with the token arrays a, b and times ta, tb.  strategy: auto, broadcast, merge, shuffle_hash.
+
+    A few bytes of ids stand for much work, so pairs are dealt out by number first, not by size.
+    """
+    pairs = pairs.repartition(max(2 * pairs.sparkSession.sparkContext.defaultParallelism, int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     hint = {"auto": None, "broadcast": "broadcast", "merge": "merge", "shuffle_hash": "shuffle_hash"}[strategy]
     q = queries.select(F.col("seq_id").alias("query_id"), F.col("tokens").alias("a"), F.col("times").alias("ta"))
     s = base.select(F.col("seq_id").alias("cand_id"), F.col("tokens").alias("b"), F.col("times").alias("tb"))

@@ -155,12 +155,14 @@ def map_labels(items: DataFrame, dictionary: DataFrame, mode: str = "contains",
     if mode == "contains":
         key = names.withColumn("k", F.least(F.size("lw"), F.lit(words))).withColumn("key", F.concat_ws(" ", F.slice("lw", F.lit(1), F.col("k"))))
 
+        lengths = sorted(r["k"] for r in key.select("k").distinct().collect())  # at most ``words`` numbers
+
         def gram(tw: Column, k: int):
             return lambda i: F.concat_ws(" ", F.slice(tw, i, k))
 
         def starts(tw: Column) -> Column:
             n = F.size(tw)
-            parts = [F.when(n >= k, F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), gram(tw, k)))).otherwise(F.array().cast("array<string>")) for k in range(1, words + 1)]
+            parts = [F.array().cast("array<string>")] + [F.when(n >= k, F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), gram(tw, k)))).otherwise(F.array().cast("array<string>")) for k in lengths]
             return F.struct(F.concat(F.lit(" "), F.concat_ws(" ", tw), F.lit(" ")).alias("whole"), F.concat(*parts).alias("keys"))
 
         texts = items.select(F.col(item_id).alias("item"), let(split(text), starts).alias("s")).select("item", "s.whole", F.explode("s.keys").alias("key"))
