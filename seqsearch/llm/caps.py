@@ -60,7 +60,7 @@ class ProductCode:
         return row[over], (i[over] * self.words + j[over]).astype(np.int64)
 
 
-def code_words(n: int, least: int = 64, most: int = 4096) -> int:
+def code_words(n: int, least: int = 256, most: int = 4096) -> int:
     """Words of each half so that a filter holds a few of n vectors that are not near each other."""
     return int(min(most, max(least, 2 ** math.ceil(math.log2(max(2.0, math.sqrt(4.0 * n)))))))
 
@@ -129,7 +129,7 @@ def verified_pairs(pairs: DataFrame, reps: DataFrame, cosine: float) -> DataFram
     return both.mapInArrow(check, f"a {kind}, b {kind}")
 
 
-def near_duplicates(table: DataFrame, cosine: float = 0.98, hits: float = 16.0, codes: int = 2, seed: int = 7, words: int | None = None, vec_id: str = "vec_id", embedding: str = "embedding", label: str = "label") -> DataFrame:
+def near_duplicates(table: DataFrame, cosine: float = 0.98, hits: float = 24.0, codes: int = 2, seed: int = 7, words: int | None = None, vec_id: str = "vec_id", embedding: str = "embedding", label: str = "label") -> DataFrame:
     """(vec_id, n_links, component_id, kept), one row for each row of ``table``.
 
     Vectors link when their labels are equal and not null and their cosine reaches ``cosine``.  A vector that is null, zero,

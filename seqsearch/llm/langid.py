@@ -25,7 +25,7 @@ _LETTERS = re.compile(r"[^\W\d_]")
 class LanguageModel:
     languages: tuple[str, ...]  # the most frequent first, so that it wins ties
     contents: tuple[bytes, ...]
-    window: int = 1024
+    window: int = 2048
     level: int = 3
     margin: float = 0.01  # of the winner's bytes
 
@@ -67,7 +67,7 @@ def identify_text(text: str | None, model: LanguageModel | None) -> tuple[str, f
     return model.languages[best], score, bool(gap >= max(1.0, model.margin * size[best]))
 
 
-def fit(texts: dict[str, list[str]], counts: dict[str, int] | None = None, dictionary_bytes: int = 64 * 1024, **options) -> LanguageModel:
+def fit(texts: dict[str, list[str]], counts: dict[str, int] | None = None, dictionary_bytes: int = 128 * 1024, **options) -> LanguageModel:
     """A dictionary of each language from its texts: equal shares of as many texts as fit, so that none rules."""
     counts = counts or {k: len(v) for k, v in texts.items()}
     order = sorted((k for k in texts if any(map(has_letter, texts[k]))), key=lambda k: (-counts.get(k, 0), k))
@@ -86,7 +86,7 @@ def fit(texts: dict[str, list[str]], counts: dict[str, int] | None = None, dicti
     return LanguageModel(tuple(order), tuple(contents), **options)
 
 
-def fit_on(docs: DataFrame, per_language: int = 400, max_chars: int = 20000, max_languages: int = 200, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> LanguageModel:
+def fit_on(docs: DataFrame, per_language: int = 800, max_chars: int = 20000, max_languages: int = 200, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> LanguageModel:
     """Learn from at most ``per_language`` texts of at most ``max_chars`` characters of each language, chosen by a hash of
     the id among the rows that are not held out; the ``max_languages`` most frequent languages are learned."""
     own = docs.select(F.col(doc_id).alias("__id"), F.col(lang).alias("__l")).where("__l is not null").where(~held_out("__id"))

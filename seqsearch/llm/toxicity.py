@@ -81,7 +81,7 @@ def score_text(text: str | None, model: ToxicityModel | None) -> float:
     return float(1 / (1 + np.exp(-np.clip(z, -30, 30))))
 
 
-def typical_segments(toxic: list[str], ordinary: list[str], min_z: float = 10.0) -> list[str]:
+def typical_segments(toxic: list[str], ordinary: list[str], min_z: float = 6.0) -> list[str]:
     """Words of toxic texts with many more distinct places per text than in ordinary ones, the least typical first."""
 
     def places(texts: list[str]) -> Counter:
@@ -95,14 +95,13 @@ def typical_segments(toxic: list[str], ordinary: list[str], min_z: float = 10.0)
     found = []
     for w, x in a.items():
         rate, plain = x / n, (b[w] + 0.5) / m
-        if x >= 4 and rate >= 4 * plain:
+        if x >= 3 and rate >= 4 * plain:
             mean = (x + b[w] + 0.5) / (n + m)
             found.append(((rate - plain) / np.sqrt(mean * (1 / n + 1 / m)), w))
-    limit = min(min_z, max((z for z, _ in found), default=0) / 3)
-    return [w for z, w in sorted(found) if z >= limit]
+    return [w for z, w in sorted(found) if z >= min_z]
 
 
-def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, dictionary_bytes: int = 16000, window: int = 48, step: int = 32, level: int = 3, folds: int = 3) -> ToxicityModel | None:
+def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, dictionary_bytes: int = 80000, window: int = 48, step: int = 32, level: int = 3, folds: int = 4) -> ToxicityModel | None:
     """Fit on two lists of texts.  ``share_toxic`` is the share of label 1 among all labels, if the lists don't keep it.
 
     The curve is calibrated by cross-fitting: the savings of a text come from dictionaries made without it.  With no
