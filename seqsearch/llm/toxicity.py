@@ -101,7 +101,7 @@ def typical_segments(toxic: list[str], ordinary: list[str], min_z: float = 6.0)
     return [w for z, w in sorted(found) if z >= min_z]
 
 
-def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, dictionary_bytes: int = 80000, window: int = 48, step: int = 32, level: int = 3, folds: int = 4) -> ToxicityModel | None:
+def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, dictionary_bytes: int = 64000, window: int = 48, step: int = 32, level: int = 3, folds: int = 4) -> ToxicityModel | None:
     """Fit on two lists of texts.  ``share_toxic`` is the share of label 1 among all labels, if the lists don't keep it.
 
     The curve is calibrated by cross-fitting: the savings of a text come from dictionaries made without it.  With no
