@@ -4,6 +4,7 @@ A filter is a direction; a vector belongs to it when their inner product reaches
 structured random product code: after a random rotation the space is cut into two halves, each half has its own random
 unit vectors, and every pair of one from each half is a direction.  The pairs that a vector exceeds are listed without
 trying all: only code words of one half that can still reach the threshold with the best of the other are combined.
+A vector that few directions reach, or none, has its best ones as filters, so that no vector is left without.
 Vectors are joined on (label, filter), and each candidate pair is verified by its cosine in double precision.
 
 Equal vectors are joined into one before the search.  Several independent codes are used: a pair that one misses, another
@@ -12,6 +13,7 @@ finds.
 
 from __future__ import annotations
 
+import itertools
 import math
 
 import numpy as np
@@ -21,6 +23,9 @@ from pyspark.sql import functions as F
 
 from .common import connected_components, materialise, small_batches
 
+#: Vectors decoded at a time; each has an inner product with every code word.
+_ROWS = 500
+
 
 def cap_height(size: int, share: float) -> float:
     """The product that a share of the sphere's directions reach with a fixed unit vector: the height of that cap."""
@@ -43,8 +48,9 @@ class ProductCode:
         self.words = words
         self.threshold = cap_height(size, min(0.5, hits / words**2))
 
-    def decode(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(row, direction) of all directions that the rows of ``x``, unit vectors, exceed."""
+    def decode(self, x: np.ndarray, least: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """(row, direction) of all directions that the rows of ``x``, unit vectors, exceed; of a row that exceeds fewer than
+        ``least``, its ``least`` best directions."""
         y = x @ self.rotation.T
         a, b = y[:, : self.cut] @ self.halves[0].T, y[:, self.cut :] @ self.halves[1].T
         need = self.threshold * math.sqrt(2)
@@ -57,7 +63,28 @@ class ProductCode:
         right = np.arange(len(left)) - np.repeat(np.cumsum(each) - each, each) + np.repeat(first_b[rows_a], each)
         row, i, j = rows_a[left], words_a[left], words_b[right]
         over = a[row, i] + b[row, j] >= need
-        return row[over], (i[over] * self.words + j[over]).astype(np.int64)
+        row, direction = row[over], (i[over] * self.words + j[over]).astype(np.int64)
+        short = np.nonzero(np.bincount(row, minlength=len(x)) < least)[0]
+        if not len(short):
+            return row, direction
+        best = self._best(a[short], b[short], least)
+        longer = ~np.isin(row, short)
+        return np.concatenate((row[longer], np.repeat(short, best.shape[1]))), np.concatenate((direction[longer], best.ravel()))
+
+    def _best(self, a: np.ndarray, b: np.ndarray, m: int) -> np.ndarray:
+        """The ``m`` directions of the largest sums, row by row; those of ranks r and s have (r + 1) * (s + 1) - 1 before them."""
+        m = min(m, self.words**2)
+        n = min(m, self.words)
+        r, s = (k.ravel() for k in np.meshgrid(np.arange(n), np.arange(n), indexing="ij"))
+        r, s = r[(r + 1) * (s + 1) <= m], s[(r + 1) * (s + 1) <= m]
+        tops = []
+        for half in (a, b):
+            top = np.argpartition(-half, n - 1, axis=1)[:, :n]
+            tops.append(np.take_along_axis(top, np.argsort(-np.take_along_axis(half, top, 1), axis=1, kind="stable"), 1))
+        i, j = tops[0][:, r], tops[1][:, s]
+        total = np.take_along_axis(a, i, 1) + np.take_along_axis(b, j, 1)
+        first = np.argpartition(-total, m - 1, axis=1)[:, :m]
+        return np.take_along_axis(i * self.words + j, first, 1).astype(np.int64)
 
 
 def code_words(n: int, least: int = 256, most: int = 4096) -> int:
@@ -93,9 +120,9 @@ def candidate_pairs(reps: DataFrame, words: int, hits: float, codes: int, seed:
                 x = _unit(vectors.take(pa.array(at)))
                 if size not in made:
                     made[size] = [ProductCode(size, words, hits, seed + k) for k in range(codes)]
-                for k, code in enumerate(made[size]):
-                    row, direction = code.decode(x)
-                    where = pa.array(at[row])
+                for first, (k, code) in itertools.product(range(0, len(x), _ROWS), enumerate(made[size])):
+                    row, direction = code.decode(x[first : first + _ROWS], math.ceil(hits))
+                    where = pa.array(at[first + row])
                     key = (direction * codes + k) * 65536 + size % 65536
                     yield pa.RecordBatch.from_arrays([reps_.take(where), labels.take(where), pa.array(key, pa.int64())], names=["rep", "label", "filter"])
 
@@ -134,8 +161,8 @@ def near_duplicates(table: DataFrame, cosine: float = 0.98, hits: float = 24.0,
 
     Vectors link when their labels are equal and not null and their cosine reaches ``cosine``.  A vector that is null, zero,
     or has a null or non-finite component, or a null id or label, links with nothing and is its own component.  Vectors of
-    different length never link.  Repeated rows count as other vectors.  ``hits`` is the mean number of filters of a vector in each of
-    ``codes`` codes; recall rises with both (README has figures).
+    different length never link.  Repeated rows count as other vectors.  ``hits`` is the mean number of directions that a vector reaches in each
+    of ``codes`` codes, and the least number of its filters there; recall rises with both (README has figures).
     """
     small_batches(table.sparkSession, 2000)
     own = materialise(clean_vectors(table, vec_id, embedding, label), "caps-vectors")

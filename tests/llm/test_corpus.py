@@ -349,6 +349,30 @@ def test_caps_against_all_pairs(spark):
     assert caps.near_duplicates(df.limit(0)).count() == 0
 
 
+def _just_near(n: int, cosine: float, seed: int) -> tuple[np.ndarray, np.ndarray]:
+    rng = np.random.default_rng(seed)
+    x, z = rng.standard_normal((2, n, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    z -= (z * x).sum(1, keepdims=True) * x
+    return x, cosine * x + np.sqrt(1 - cosine**2) * z / np.linalg.norm(z, axis=1, keepdims=True)
+
+
+@pytest.mark.parametrize("words", [256, 1024, 4096])
+def test_caps_of_vectors_that_few_directions_reach(spark, words):
+    x, y = _just_near(1500, 0.9801, 3)
+    code = caps.ProductCode(64, words, 24.0, 7)
+    row, direction = code.decode(x, 24)
+    assert np.bincount(row, minlength=len(x)).min() >= 24 and len(set(zip(row.tolist(), direction.tolist(), strict=True))) == len(row)
+    plain = np.bincount(code.decode(x)[0], minlength=len(x))
+    r = int(np.argmin(plain))
+    t = x[r] @ code.rotation.T
+    sums = (code.halves[0] @ t[:32])[:, None] + code.halves[1] @ t[32:]
+    assert plain[r] == 0 and np.allclose(np.sort(sums.ravel())[-24:], np.sort(sums.ravel()[direction[row == r]]))
+    df = spark.createDataFrame([(2 * i + k, v.tolist(), 0) for i in range(len(x)) for k, v in enumerate((x[i], y[i]))], "vec_id long, embedding array<double>, label int")
+    got = caps.near_duplicates(df, words=words).groupBy("n_links").count().collect()
+    assert [tuple(g) for g in got] == [(1, 3000)]
+
+
 def test_decoding_lists_all_directions():
     rng = np.random.default_rng(8)
     code = caps.ProductCode(16, 32, 10, 1)
