@@ -110,7 +110,8 @@ def _rules() -> tuple[Signature, ...]:
         ("all advertising materials mentioning features or use of this software", "advertising mentioning", "bsd-4-clause"),
         ("this is free and unencumbered software released into the public domain", "unencumbered domain", "unlicense"),
         ("dedicated to the public domain", "dedicated domain", "public-domain"),
-        ("(?:cc0|creative commons zero)(?: 1 0)?(?: universal)?", "cc0", "cc0-1.0"),
+        ("cc0(?: 1 0)?(?: universal)?", "cc0", "cc0-1.0"),
+        ("creative commons zero(?: 1 0)?(?: universal)?", "commons zero", "cc0-1.0"),
         ("do what the fuck you want to public license", "want public license", "wtfpl"),
         ("this program is free software you can redistribute it and or modify it", "program redistribute modify", "gpl"),
         ("the origin of this software must not be misrepresented", "origin misrepresented", "zlib"),
@@ -121,7 +122,8 @@ def _rules() -> tuple[Signature, ...]:
         add(text, keys, label, 65 if label != "all-rights-reserved" else 20, 0.9 if label != "all-rights-reserved" else 0.5)
     for phrase, label in BASE_PHRASES:
         add(phrase, " ".join(w for w in phrase.split() if w not in ("the", "under", "version", "2")), label, 85, 1.0)
-    add("(?:gnu )?(?:gpl|general public license)", "gnu", "gpl", 10, 0.6)
+    add("(?:gnu )?gpl", "gpl", "gpl", 10, 0.6)
+    add("(?:gnu )?general public license", "general public license", "gpl", 10, 0.6)
     add("licen[cs]ed under", "under", "other-license", 5, 0.3)
     return tuple(sorted(rules, key=lambda r: (-r.priority, r.pattern)))
 

@@ -1,6 +1,7 @@
 """Every corpus operator: brute force or exact round trips on small fixtures, and the odd cases of tables."""
 
 import random
+import re
 import zlib
 
 import numpy as np
@@ -454,6 +455,40 @@ def test_license_tables(odd, none):
     assert licenses.scan(none).count() == 0
 
 
+def _alternatives(pattern) -> list[str]:
+    """Texts of a parsed pattern without its optional parts, and with each branch and each optional part once."""
+    out, parts = [], []
+    for op, arg in pattern:
+        name = str(op)
+        if name == "LITERAL":
+            parts.append([chr(arg)])
+        elif name == "IN":
+            parts.append([chr(arg[0][1] if str(arg[0][0]) == "LITERAL" else arg[0][1][0])])
+        elif name == "BRANCH":
+            parts.append([t for branch in arg[1] for t in _alternatives(branch)])
+        elif name == "SUBPATTERN":
+            parts.append(_alternatives(arg[3]))
+        else:
+            assert name == "MAX_REPEAT", name
+            parts.append([""] * (arg[0] == 0) + _alternatives(arg[2]))
+    for k, choices in enumerate(parts):
+        out += ["".join(p[0] for p in parts[:k]) + c + "".join(p[0] for p in parts[k + 1 :]) for c in choices]
+    return sorted(set(out), key=out.index)
+
+
+def test_keywords_stand_in_every_alternative():
+    for rule in licenses.RULES:
+        found = _alternatives(re._parser.parse(rule.pattern))
+        assert all(re.fullmatch(rule.pattern, t) and set(rule.keywords) <= set(t.split()) for t in found), rule
+
+
+def test_licenses_named_in_either_way():
+    scan = licenses.Scanner().scan
+    assert scan("licensed under the GPL")["labels"] == "gpl,other-license"
+    assert scan("see the General Public License")["labels"] == "gpl" == scan("see the GNU GPL")["labels"]
+    assert scan("Creative Commons Zero")["labels"] == "cc0-1.0" == scan("CC0 1.0 Universal")["labels"]
+
+
 # --- 10: languages ---------------------------------------------------------------------------------------------------
 def test_language_tables(spark, odd, none):
     docs = table(spark, "documents")
