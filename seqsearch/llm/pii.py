@@ -12,7 +12,7 @@ import bisect
 import datetime
 import hashlib
 import re
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import pyarrow as pa
@@ -25,19 +25,28 @@ KINDS = ("card", "phone", "ip", "ssn", "iban", "date", "email", "secret")
 ROUNDS = 8
 _FIRST, _LAST = datetime.date(1900, 1, 1).toordinal(), datetime.date(2099, 12, 31).toordinal()
 
-_NUMBERS = re.compile(
-    r"""(?<![\w.+/-])(?:
-    (?P<date>\d{4}-\d\d-\d\d(?!-?\d)|\d{4}/\d\d?/\d\d?|\d\d?\.\d\d?\.\d{4}|\d\d?/\d\d?/\d{4})
-    |(?P<ssn>\d{3}-\d\d-\d{4})
-    |(?P<ip>\d{1,3}(?:\.\d{1,3}){3}(?!\.\d))
-    |(?P<phone>\+\d{1,3}[ .-]?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\+\d{1,3}(?:[ .-]\d{2,4}){3,4}|\+\d{9,15}|\(\d{3}\)[ ]?\d{3}[.-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})
-    |(?P<card>\d{13,19}|\d{4}([ -])\d{4}\6\d{4}\6\d{1,7}|\d{4}([ -])\d{6}\7\d{5})
-    )(?![\w/-])""",
-    re.X,
-)
-_IBAN = re.compile(r"(?<!\w)[A-Z]{2}\d\d(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?(?!\w)")
+_SHAPES = {
+    "date": r"\d{4}-\d\d-\d\d(?!-?\d)|\d{4}/\d\d?/\d\d?|\d\d?\.\d\d?\.\d{4}|\d\d?/\d\d?/\d{4}",
+    "ssn": r"\d{3}-\d\d-\d{4}",
+    "ip": r"\d{1,3}(?:\.\d{1,3}){3}(?!\.\d)",
+    "phone": r"\+\d{1,3}[ .-]?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\+\d{1,3}(?:[ .-]\d{2,4}){3,4}|\+\d{9,15}|\(\d{3}\)[ ]?\d{3}[.-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4}",
+    "card": r"\d{13,19}|\d{4}(?P<four>[ -])\d{4}(?P=four)\d{4}(?P=four)\d{1,7}|\d{4}(?P<six>[ -])\d{6}(?P=six)\d{5}",
+    "iban": r"[A-Z]{2}\d\d(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?",
+}
+_AFTER = r"(?:(?![\w/-])|(?<=\d{4}-\d\d-\d\d)(?=[Tt]\d\d))"  # a date may be followed by its time
+_STOP = {k: re.compile(_AFTER if k != "iban" else r"(?!\w)") for k in _SHAPES}
+_SHAPE = {k: re.compile(v) for k, v in _SHAPES.items()}
+_ENDED = {k: re.compile(f"(?:{v}){_STOP[k].pattern}") for k, v in _SHAPES.items()}
+_NUMBERS = re.compile(r"(?<![\w.+/-])(?:" + "|".join(f"(?P<{k}>{v})" for k, v in _SHAPES.items() if k != "iban") + ")" + _AFTER)
+_IBAN = re.compile(rf"(?<!\w)(?P<iban>{_SHAPES['iban']})(?!\w)")
+#: Length of the account numbers of a country, where it is fixed.
+_IBAN_LENGTH = {
+    "AD": 24, "AE": 23, "AT": 20, "BE": 16, "BG": 22, "CH": 21, "CY": 28, "CZ": 24, "DE": 22, "DK": 18, "EE": 20, "ES": 24, "FI": 18, "FR": 27,
+    "GB": 22, "GR": 27, "HR": 21, "HU": 28, "IE": 22, "IS": 26, "IT": 27, "LI": 21, "LT": 20, "LU": 20, "LV": 21, "MC": 27, "MT": 31, "NL": 18,
+    "NO": 15, "PL": 28, "PT": 25, "RO": 24, "SA": 24, "SE": 24, "SI": 19, "SK": 24, "SM": 27, "TR": 26,
+}
 _EMAIL = re.compile(r"(?<![\w.+-])([A-Za-z0-9][\w.+-]{0,63})@((?:[A-Za-z0-9-]{1,63}\.){1,8}[A-Za-z]{2,24})(?![\w-])", re.A)
-_SECRET = re.compile(r"(?<!\w)(?:(AKIA)([0-9A-Z]{16})|((?:password|passwd|token|secret|api_?key)\s{0,3}[=:]\s{0,3}[\"']?)([0-9A-Za-z_+/-]{12,128}))(?!\w)", re.I)
+_SECRET = re.compile(r"(?<!\w)(?:(AKIA)([0-9A-Z]{16})|((?:password|passwd|token|secret|api_?key)\s{0,3}[=:]\s{0,3}[\"']?)([0-9A-Za-z_+/-]{12,}))(?!\w)", re.I)
 _DIGIT = re.compile(r"\d", re.A)
 
 
@@ -200,18 +209,42 @@ def pseudonym(kind: str, value: str, key: bytes, back: bool = False) -> str | No
     if kind == "email":
         local, _, domain = value.partition("@")
         return f"{_mixed(local, key, b'email' + domain.lower().encode(), back)}@{domain}"
-    if kind == "secret":
-        return _mixed(value, key, b"secret", back)
+    if kind == "secret":  # a round has 256 bits: longer secrets go piece by piece
+        if len(value) <= 96:
+            return _mixed(value, key, b"secret", back)
+        return "".join(_mixed(value[i : i + 64], key, b"secret%d" % i, back) for i in range(0, len(value), 64))
     return _OF_KIND[kind](value, key, back)
 
 
 # --- texts ----------------------------------------------------------------------------------------------------------
-def find(text: str) -> list[tuple[int, int, str]]:
-    """(start, stop, kind) of what looks like a value, in order, without overlaps.  Checks come with the pseudonym."""
+def _spans(text: str, start: int, kinds: tuple[str, ...]) -> Iterator[tuple[int, int, str]]:
+    """All spans from ``start`` that have the shape of a kind; longer ones first, but account numbers of their country's length."""
+    for kind in kinds:
+        m = _ENDED[kind].match(text, start)
+        if m:
+            stops = [m.end(), *(p for p in range(m.end() - 1, start, -1) if text[p] == " " and _STOP[kind].match(text, p) and _SHAPE[kind].fullmatch(text, start, p))]
+            if kind == "iban":
+                stops.sort(key=lambda p: len(text[start:p].replace(" ", "")) != _IBAN_LENGTH.get(text[start : start + 2]))
+            yield from ((start, p, kind) for p in stops)
+
+
+def _scan(text: str, pattern: re.Pattern, kinds: tuple[str, ...], valid: Callable[[str, str], bool]) -> Iterator[tuple[int, int, str]]:
+    """Valid values from left to right; where a candidate fails, the next may start inside it."""
+    at = 0
+    while m := pattern.search(text, at):
+        order = (m.lastgroup, *(k for k in kinds if k != m.lastgroup))
+        span = next((x for x in _spans(text, m.start(), order) if valid(x[2], text[x[0] : x[1]])), None)
+        at = span[1] if span else m.start() + 1
+        if span:
+            yield span
+
+
+def find(text: str, valid: Callable[[str, str], bool] = lambda kind, value: pseudonym(kind, value, b"") is not None) -> list[tuple[int, int, str]]:
+    """(start, stop, kind) of the values that pass their checks, in order, without overlaps."""
     found: list[tuple[int, int, str]] = []
     if _DIGIT.search(text):
-        found += [(m.start(), m.end(), m.lastgroup) for m in _NUMBERS.finditer(text)]
-        found += [(m.start(), m.end(), "iban") for m in _IBAN.finditer(text)]
+        found += _scan(text, _NUMBERS, tuple(k for k in _SHAPES if k != "iban"), valid)
+        found += _scan(text, _IBAN, ("iban",), valid)
         for m in _SECRET.finditer(text):
             k = 2 if m[2] else 4
             if _DIGIT.search(m[k]):
@@ -228,12 +261,15 @@ def find(text: str) -> list[tuple[int, int, str]]:
 
 
 def replace(text: str | None, key: bytes, kinds: tuple[str, ...] = KINDS, back: bool = False) -> tuple[str | None, list[tuple[int, int, str]]]:
-    """The text with pseudonyms, and (start, stop, kind) of each in the text given.  Null stays null."""
+    """The text with pseudonyms, and (start, stop, kind) of each in the text given.  Null stays null.
+
+    The spans tell the way back where a pseudonym and digits beside it happen to pass the check of a longer value.
+    """
     if not text:
         return text, []
     one = lru_cache(4096)(lambda kind, value: pseudonym(kind, value, key, back))
     parts, spans, at = [], [], 0
-    for start, stop, kind in find(text):
+    for start, stop, kind in find(text, lambda kind, value: one(kind, value) is not None):
         new = one(kind, text[start:stop]) if kind in kinds else None
         if new is not None:
             parts += [text[at:start], new]

@@ -121,6 +121,21 @@ def test_what_is_left_alone():
     assert [s[2] for s in pii.replace(t, KEY)[1]][-2:] == ["secret", "secret"]
 
 
+def test_values_beside_digits_and_capitals():
+    for before, value, after, kind in (
+        ("", "ES9121000418450200051332", " PAID", "iban"), ("on ", "AT611904300234573201", " 12 May", "iban"), ("", "BE68539007547034", " 2024", "iban"), ("", "BE68 5390 0754 7034", " 2024", "iban"),
+        ("2024 ", "4111 1111 1111 1111", "", "card"), ("4111 1111 1111 1112 ", "4111 1111 1111 1111", ".", "card"), ("", "2024-05-12", "T10:00:00Z", "date"), ("", "2024-05-12", " 10:00", "date"),
+    ):
+        done, spans = pii.replace(before + value + after, KEY)
+        assert spans == [(len(before), len(before) + len(value), kind)]
+        assert done == before + pii.pseudonym(kind, value, KEY) + after != before + value + after
+    for n in (97, 128, 129, 1000):
+        value = ("aB3x" * n)[:n]
+        done, spans = pii.replace("token=" + value, KEY)
+        assert spans == [(6, 6 + n, "secret")] and sum(a == b for a, b in zip(done[6:], value, strict=True)) < n / 4
+        assert pii.replace(done, KEY, back=True)[0] == "token=" + value
+
+
 def test_pseudonym_tables(odd, none):
     got = pii.pseudonymise(odd, KEY).collect()
     assert len(got) == len(ODD) and {r["doc_id"]: r["text"] for r in got}[2] is None
