@@ -187,3 +187,80 @@ def keep_first(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **op
     kept = names.where("component_id = doc_id").select(F.col("doc_id").alias(doc_id)).distinct()
     found = docs.where(F.col(doc_id).isNotNull()).join(kept, doc_id, "left_semi").dropDuplicates([doc_id])
     return found.unionByName(docs.where(F.col(doc_id).isNull()))
+
+
+# --- documents by their sets of word shingles -------------------------------------------------------------------------
+def shingle_hashes(text: str | None, shingle: int = 5, seed: int = 42) -> np.ndarray:
+    """The distinct XXH64 of all word shingles, in order; a text of fewer words is one shingle, and no words give none."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    n = max(1, len(words) - shingle + 1)
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.fromiter((digest(b" ".join(words[i : i + shingle]), seed) for i in range(n)), np.uint64, n))
+
+
+def band_keys(hashes: np.ndarray, bands: int, rows: int, seed: int) -> np.ndarray:
+    """One key a band of ``rows`` minima each; sets of Jaccard similarity s share one with probability 1 - (1 - s**rows)**bands."""
+    rng = np.random.default_rng(seed)
+    factor, shift = rng.integers(0, 2**63, (2, bands * rows), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    least = np.full(bands * rows, np.iinfo(np.uint64).max)
+    for at in range(0, len(hashes), 1024):
+        x = hashes[at : at + 1024, None] * factor + shift
+        x ^= x >> np.uint64(32)
+        x *= np.uint64(0x9E3779B97F4A7C15)
+        least = np.minimum(least, x.min(0))
+    parts = least.reshape(bands, rows)
+    return np.array([xxhash.xxh64_intdigest(b.tobytes(), k) for k, b in enumerate(parts)], np.uint64).view(np.int64)
+
+
+def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """(a, b) of the pairs of ``rep`` whose ``hashes`` have Jaccard similarity ``similarity`` or more."""
+    left, right = (sets.select(F.col("rep").alias(c), F.col("hashes").alias(f"h{c}")) for c in "ab")
+    shared = F.size(F.array_intersect("ha", "hb"))
+    wanted = shared >= F.lit(similarity) * (F.size("ha") + F.size("hb") - shared) - 1e-9
+    return pairs.join(left, "a").join(right, "b").where(wanted).select("a", "b")
+
+
+def keep_first_similar(
+    docs: DataFrame, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, bands: int = 30, rows: int = 5, seed: int = 42
+) -> DataFrame:
+    """The rows of ``docs``, all columns, that name their group, as :func:`keep_first`; texts link when the Jaccard
+    similarity of their sets of word shingles is ``similarity`` or more.
+
+    Candidates share a band of minima, and all are verified on whole sets.  Each is first compared with the least of its
+    band only; of bands whose documents these links do not all join, all pairs not yet joined follow.  Texts
+    without words link with each other.
+    """
+    small_batches(docs.sparkSession)
+
+    def of(texts: list[str | None]) -> list[dict]:
+        out = []
+        for t in texts:
+            h = shingle_hashes(t, shingle, seed)
+            digest = xxhash.xxh3_128_digest(h.tobytes())
+            out.append({"digest": digest, "hashes": h.view(np.int64).tolist(), "keys": band_keys(h, bands, rows, seed).tolist() if len(h) else []})
+        return out
+
+    made = text_function(of, "struct<digest:binary,hashes:array<bigint>,keys:array<bigint>>")
+    own = materialise(docs.select(F.col(doc_id).alias("doc_id"), made(F.col(text)).alias("s")).select("doc_id", "s.*"), "shingles")
+    distinct = own.groupBy("digest").agg(F.min("doc_id").alias("rep")).where("rep is not null")
+    sets = own.where("doc_id is not null").join(distinct, (own["digest"] == distinct["digest"]) & (own["doc_id"] == distinct["rep"])).select("rep", "hashes", "keys").dropDuplicates(["rep"])
+    every = sets.select("rep", F.explode("keys").alias("key"))
+    crowded = every.groupBy("key").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1").select("key", "hub")
+    band = materialise(every.join(crowded, "key"), "bands")
+    spokes = band.where("hub < rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
+    small = materialise(sets.select("rep", "hashes").join(band.select("rep").distinct(), "rep", "left_semi"), "band-sets")
+    found = materialise(similar_pairs(spokes, small, similarity), "similar-first")
+    roots = connected_components(found)
+    placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
+    mixed = placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
+    open_ = materialise(placed.join(mixed, "key").select("key", "rep", "hub", "root"), "bands-open")
+    # what the least of a band was compared with is settled
+    left, right = (open_.select("key", "hub", F.col("rep").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
+    rest = left.join(right, ["key", "hub"]).where("a < b and ra <> rb and a <> hub").select("a", "b").distinct()
+    links = found.unionAll(materialise(similar_pairs(rest, small, similarity), "similar-rest"))
+    member = connected_components(links)
+    kept = distinct.join(member.where("node <> root"), F.col("rep") == F.col("node"), "left_anti").select(F.col("rep").alias(doc_id))
+    rows_ = docs.where(F.col(doc_id).isNotNull()).join(kept, doc_id, "left_semi").dropDuplicates([doc_id])
+    return rows_.unionByName(docs.where(F.col(doc_id).isNull()))

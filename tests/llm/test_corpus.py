@@ -347,6 +347,37 @@ def test_near_duplicate_tables(odd, none):
     assert simhash.near_duplicates(none).count() == 0 and simhash.keep_first(none).count() == 0
 
 
+def test_similar_documents_go(spark, odd, none):
+    rng = np.random.default_rng(17)
+    texts, sets = [], []
+    for _ in range(60):
+        words = [f"w{k}" for k in rng.integers(0, 5000, 150)]
+        texts.append(" ".join(words))
+        for n in (1, 3, 5, 6):
+            changed = list(words)
+            for at in rng.choice(150, n, replace=False):
+                changed[at] = f"x{rng.integers(10**6)}"
+            texts.append(" ".join(changed))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    parent = list(range(len(texts)))
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a in range(len(texts)):
+        for b in range(a + 1, a // 5 * 5 + 5):
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                x, y = find(a), find(b)
+                parent[max(x, y)] = min(x, y)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    want = {a for a in range(len(texts)) if find(a) == a}
+    assert 60 < len(want) < 240
+    assert {r["doc_id"] for r in corpus_pipeline.drop_near_duplicates(spark, df, "").collect()} == want
+    assert simhash.keep_first_similar(odd).columns == odd.columns and simhash.keep_first_similar(none).count() == 0
+
+
 # --- 7: near-duplicate vectors ---------------------------------------------------------------------------------------
 def test_caps_against_all_pairs(spark):
     rng = np.random.default_rng(7)
