@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import sys
 import tempfile
 import uuid
@@ -20,8 +21,8 @@ import seqsearch
 # Functions travel with their modules, so executors need no copy of this package.
 cloudpickle.register_pickle_by_value(seqsearch)
 
-#: Rows in one Arrow batch; with texts of 100 kB a batch stays near 50 MB.
-BATCH_ROWS = 500
+#: Texts that a function turns into Python strings at a time.  Spark bounds a batch by its bytes (64 MB by default).
+SLICE_ROWS = 500
 
 _OWN_DIR: dict[str, str] = {}
 
@@ -39,27 +40,32 @@ def once(key: Any, build: Callable[[], Any]) -> Any:
     return cache[key]
 
 
-def small_batches(spark: SparkSession, rows: int = BATCH_ROWS) -> None:
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
-
-
 def text_function(of: Callable[[list[str | None]], list], ddl: str) -> Callable[[Column], Column]:
     """An Arrow function from a text column to a column of type ``ddl``; it sees a list of texts at a time."""
     kind: DataType = _parse_datatype_string(ddl)
     arrow = to_arrow_type(kind)
 
     def apply(texts: pa.Array) -> pa.Array:
-        out = of(texts.to_pylist())
-        return out if isinstance(out, pa.Array) else pa.array(out, type=arrow)
+        parts = []
+        for at in range(0, max(1, len(texts)), SLICE_ROWS):
+            out = of(texts.slice(at, SLICE_ROWS).to_pylist())
+            parts.append(out if isinstance(out, pa.Array) else pa.array(out, type=arrow))
+        return parts[0] if len(parts) == 1 else pa.concat_arrays(parts)
 
     apply.__annotations__ = {"texts": pa.Array, "return": pa.Array}
     return F.arrow_udf(apply, returnType=kind)
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see; a folder of our own only where none is set (tests)."""
+    """The folder that the driver and all executors see: spark.checkpoint.dir.
+
+    Where it is unset, a session of one machine (``local[n]``) gets a folder of its own, as in tests; a cluster gets an error,
+    since its executors don't see each other's disks.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors see")
         base = _OWN_DIR.setdefault("dir", tempfile.mkdtemp(prefix="seqsearch-"))
     return base.rstrip("/")
 
@@ -84,8 +90,16 @@ def discard(df: DataFrame | None) -> None:
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def finished(df: DataFrame, name: str, *used: DataFrame | None) -> DataFrame:
+    """``df`` as a table of its own, and the tables that it was made from deleted: one table of an operator stays, its result."""
+    out = materialise(df, name)
+    for t in used:
+        discard(t)
+    return out
+
+
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
-    """(node, root) for every node of ``edges``; root is the smallest node of its component.
+    """(node, root) for every node of ``edges``, a table in the shared folder; root is the smallest node of its component.
 
     Contraction: each round every node hooks onto its smallest neighbour, pointers are jumped, and the edges are
     rewritten between the new roots.  A round costs a few shuffles of what edges remain; a node with very many
@@ -124,8 +138,8 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFr
             discard(old)
         live, labels = after, new
     if labels is None:
-        kind = live.schema["u"].dataType
-        return live.select(F.col("u").alias("node"), F.col("v").cast(kind).alias("root")).limit(0)
+        return live.select(F.col("u").alias("node"), F.col("v").alias("root"))
+    discard(live)
     return labels
 
 

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import once, small_batches, text_function
+from .common import once, text_function
 
 _WORD_BYTES = bytes(c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
@@ -207,7 +207,6 @@ def scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFra
 
     A null or empty text has no words, empty labels and score 0.  Other columns of ``docs`` are not read.
     """
-    small_batches(docs.sparkSession)
 
     def of(texts: list[str | None]) -> list[dict]:
         scanner = once("licenses", Scanner)

@@ -27,7 +27,7 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import once, small_batches, text_function
+from .common import once, text_function
 
 BLANK = "▁"
 _PRETOKEN = re.compile(f"{BLANK}+[^{BLANK}]*|[^{BLANK}]+")
@@ -260,7 +260,6 @@ def encode_decode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id
 
     A null or empty text has no ids and decodes to the empty text.  One row for each row; other columns are not read.
     """
-    small_batches(docs.sparkSession)
     sent = _shared(docs, vocabulary)
 
     def of(texts: list[str | None]) -> pa.Array:
@@ -280,7 +279,6 @@ def encode_decode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id
 
 def decode(coded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
     """(doc_id, text) of a column of ids; null ids give a null text."""
-    small_batches(coded.sparkSession)
     sent = _shared(coded, vocabulary)
 
     def of(lists: list) -> list[str | None]:
@@ -292,7 +290,6 @@ def decode(coded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", ids
 
 def token_counts(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_pretokens, n_tokens) of whole texts; 0 and 0 for a null or empty one.  One row for each row."""
-    small_batches(docs.sparkSession)
     sent = _shared(docs, vocabulary)
 
     def of(texts: list[str | None]) -> pa.Array:
