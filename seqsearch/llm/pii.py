@@ -8,7 +8,6 @@ key can go back.  Separators and letter case stay where they were.
 
 from __future__ import annotations
 
-import bisect
 import datetime
 import hashlib
 import re
@@ -19,26 +18,31 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches, text_function
+from .common import text_function
 
 KINDS = ("card", "phone", "ip", "ssn", "iban", "date", "email", "secret")
 ROUNDS = 8
 _FIRST, _LAST = datetime.date(1900, 1, 1).toordinal(), datetime.date(2099, 12, 31).toordinal()
 
 _SHAPES = {
-    "date": r"\d{4}-\d\d-\d\d(?!-?\d)|\d{4}/\d\d?/\d\d?|\d\d?\.\d\d?\.\d{4}|\d\d?/\d\d?/\d{4}",
-    "ssn": r"\d{3}-\d\d-\d{4}",
-    "ip": r"\d{1,3}(?:\.\d{1,3}){3}(?!\.\d)",
-    "phone": r"\+\d{1,3}[ .-]?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\+\d{1,3}(?:[ .-]\d{2,4}){3,4}|\+\d{9,15}|\(\d{3}\)[ ]?\d{3}[.-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4}",
-    "card": r"\d{13,19}|\d{4}(?P<four>[ -])\d{4}(?P=four)\d{4}(?P=four)\d{1,7}|\d{4}(?P<six>[ -])\d{6}(?P=six)\d{5}",
-    "iban": r"[A-Z]{2}\d\d(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?",
+    "date": r"[0-9]{4}-[0-9]{2}-[0-9]{2}(?!-?[0-9])|[0-9]{4}/[0-9]{1,2}/[0-9]{1,2}|[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4}|[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}",
+    "ssn": r"[0-9]{3}-[0-9]{2}-[0-9]{4}",
+    "ip": r"[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?!\.[0-9])",
+    "phone": r"\+[0-9]{1,3}[ .-]?\(0\)[ .-]?[0-9]{2,4}(?:[ .-]?[0-9]{2,4}){2,3}|\+[0-9]{1,3}[ .-]?\([0-9]{2,4}\)[ .-]?[0-9]{3,4}[ .-]?[0-9]{3,4}|\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){3,4}|\+[0-9]{9,15}"
+    r"|\([0-9]{3}\)[ ]?[0-9]{3}[.-][0-9]{4}|[0-9]{3}[.-][0-9]{3}[.-][0-9]{4}",
+    "card": r"[0-9]{13,19}|[0-9]{4}(?P<four>[ -])[0-9]{4}(?P=four)[0-9]{4}(?P=four)[0-9]{1,7}|[0-9]{4}(?P<six>[ -])[0-9]{6}(?P=six)[0-9]{5}",
+    "iban": r"[A-Z]{2}[0-9]{2}(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?",
 }
-_AFTER = r"(?:(?![\w/-])|(?<=\d{4}-\d\d-\d\d)(?=[Tt]\d\d))"  # a date may be followed by its time
+_AFTER = r"(?:(?![\w/-])|(?<=[0-9]{4}-[0-9]{2}-[0-9]{2})(?=[Tt][0-9]{2}))"  # a date may be followed by its time
 _STOP = {k: re.compile(_AFTER if k != "iban" else r"(?!\w)") for k in _SHAPES}
 _SHAPE = {k: re.compile(v) for k, v in _SHAPES.items()}
 _ENDED = {k: re.compile(f"(?:{v}){_STOP[k].pattern}") for k, v in _SHAPES.items()}
 _NUMBERS = re.compile(r"(?<![\w.+/-])(?:" + "|".join(f"(?P<{k}>{v})" for k, v in _SHAPES.items() if k != "iban") + ")" + _AFTER)
 _IBAN = re.compile(rf"(?<!\w)(?P<iban>{_SHAPES['iban']})(?!\w)")
+#: Fixed: the country calling codes of two digits; 1 and 7 have one digit, all others three.
+_CODES = frozenset(
+    "20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split()
+)
 #: Length of the account numbers of a country, where it is fixed.
 _IBAN_LENGTH = {
     "AD": 24, "AE": 23, "AT": 20, "BE": 16, "BG": 22, "CH": 21, "CY": 28, "CZ": 24, "DE": 22, "DK": 18, "EE": 20, "ES": 24, "FI": 18, "FR": 27,
@@ -46,7 +50,8 @@ _IBAN_LENGTH = {
     "NO": 15, "PL": 28, "PT": 25, "RO": 24, "SA": 24, "SE": 24, "SI": 19, "SK": 24, "SM": 27, "TR": 26,
 }
 _EMAIL = re.compile(r"(?<![\w.+-])([A-Za-z0-9][\w.+-]{0,63})@((?:[A-Za-z0-9-]{1,63}\.){1,8}[A-Za-z]{2,24})(?![\w-])", re.A)
-_SECRET = re.compile(r"(?<!\w)(?:(AKIA)([0-9A-Z]{16})|((?:password|passwd|token|secret|api_?key)\s{0,3}[=:]\s{0,3}[\"']?)([0-9A-Za-z_+/-]{12,}))(?!\w)", re.I)
+# Without re.A the letters K and S would also stand for the Kelvin sign and the long s, which no permutation of ours holds.
+_SECRET = re.compile(r"(?<!\w)(?:(AKIA)([0-9A-Z]{16})|((?:password|passwd|token|secret|api_?key)\s{0,3}[=:]\s{0,3}[\"']?)([0-9A-Za-z_+/-]{12,}))(?!\w)", re.I | re.A)
 _DIGIT = re.compile(r"\d", re.A)
 
 
@@ -69,6 +74,8 @@ def _network(x: int, left: int, right: int, key: bytes, tweak: bytes, back: bool
 
 def permute(x: int, size: int, key: bytes, tweak: bytes, back: bool = False) -> int:
     """A keyed permutation of 0..size-1: the network over the next power of two, walked until the value is in range."""
+    if not 0 <= x < max(size, 1):  # the walk from outside may never come back
+        raise ValueError(f"{x} is not below {size}")
     if size < 2:
         return x
     bits = max(2, (size - 1).bit_length())
@@ -80,8 +87,11 @@ def permute(x: int, size: int, key: bytes, tweak: bytes, back: bool = False) ->
 
 
 def _mixed(chars: str, key: bytes, tweak: bytes, back: bool) -> str:
-    """Permute digits as digits and ASCII letters as letters of the same case; other characters stay."""
-    sizes = [10 if c.isdigit() else 26 if c.isalpha() else 1 for c in chars]
+    """Permute ASCII digits as digits and ASCII letters as letters of the same case; other characters stay.
+
+    The permuted number doesn't depend on case: equal letters stay linked in either.
+    """
+    sizes = [1 if not c.isascii() else 10 if c.isdigit() else 26 if c.isalpha() else 1 for c in chars]
     value, size = 0, 1
     for c, n in zip(chars, sizes, strict=True):
         value = value * n + (0 if n == 1 else int(c) if n == 10 else ord(c) - (65 if c.isupper() else 97))
@@ -123,15 +133,18 @@ def _card(text: str, key: bytes, back: bool) -> str | None:
 
 
 def _phone(text: str, key: bytes, back: bool) -> str | None:
-    d = _digits(text)
+    """The country code and the first digit after it stay, what follows is permuted: the same number in any grouping, and
+    with or without a bracketed trunk zero, gets the same digits.  A number without a plus has ten digits and country code 1."""
+    form = text.replace("(0)", "()")
+    d = _digits(form)
     if not 9 <= len(d) <= 15:
         return None
-    # the country code, and the area code's first digit, stay; what follows is permuted
-    keep = len(_digits(re.split(r"[ .(-]", text.lstrip("+"), maxsplit=1)[0])) if text[0] == "+" else 0
-    keep = min(keep, 3) if keep < len(d) - 6 else 1
-    rest = d[keep:]
-    first, tail = rest[0], rest[1:]
-    return _filled(text, d[:keep] + first + f"{permute(int(tail), 10 ** len(tail), key, b'phone%b%d' % (d[:keep].encode() + first.encode(), len(tail)), back):0{len(tail)}d}")
+    code = ""
+    if text[0] == "+":
+        code = d[: 1 if d[0] in "17" else 2 if d[:2] in _CODES else 3]
+    first, tail = d[len(code)], d[len(code) + 1 :]
+    new = permute(int(tail), 10 ** len(tail), key, f"phone{code or 1} {first} {len(tail)}".encode(), back)
+    return _filled(form, f"{code}{first}{new:0{len(tail)}d}").replace("()", "(0)")
 
 
 def _ip(text: str, key: bytes, back: bool) -> str | None:
@@ -166,11 +179,6 @@ def _iban(text: str, key: bytes, back: bool) -> str | None:
     return "".join(c if c == " " else next(new) for c in text)
 
 
-@lru_cache(1)
-def _late_days() -> list[int]:
-    return [n for n in range(_FIRST, _LAST + 1) if datetime.date.fromordinal(n).day > 12]
-
-
 def _date(text: str, key: bytes, back: bool) -> str | None:
     separator = next(c for c in text if not c.isdigit())
     parts = text.split(separator)
@@ -185,12 +193,8 @@ def _date(text: str, key: bytes, back: bool) -> str | None:
         return None
     if not _FIRST <= day <= _LAST:
         return None
-    if month_first:  # only days over 12 show that the month is first: permute among those
-        late = _late_days()
-        new = late[permute(bisect.bisect_left(late, day), len(late), key, b"month-first", back)]
-    else:
-        new = _FIRST + permute(day - _FIRST, _LAST - _FIRST + 1, key, b"date", back)
-    new = datetime.date.fromordinal(new)
+    new = datetime.date.fromordinal(_FIRST + permute(day - _FIRST, _LAST - _FIRST + 1, key, b"date", back))
+    month_first = month_first and new.day > 12  # else it would be read day first, as another date
     padded = year_first and separator == "-" or all(len(p) >= 2 for p in parts)
     shown = [str(new.month).zfill(2 if padded else 1), str(new.day).zfill(2 if padded else 1)]
     if not year_first and not month_first:
@@ -204,7 +208,9 @@ _OF_KIND: dict[str, Callable[[str, bytes, bool], str | None]] = {"card": _card,
 def pseudonym(kind: str, value: str, key: bytes, back: bool = False) -> str | None:
     """The pseudonym of a value, or (``back``) the value of a pseudonym; None if it fails the kind's check.
 
-    Dates written with slashes are day first unless that is no date.
+    All forms of a date share one permutation.  Dates written with slashes are day first unless that is no date; the pseudonym
+    of a month-first one keeps that order where it can be read, and is written day first where not, so its way back is the
+    same date, perhaps day first.
     """
     if kind == "email":
         local, _, domain = value.partition("@")
@@ -283,7 +289,6 @@ def pseudonymise(docs: DataFrame, key: bytes, doc_id: str = "doc_id", text: str
 
     ``key`` has 1 to 64 bytes; whoever holds it can go back.  Other columns of ``docs`` are not read.
     """
-    small_batches(docs.sparkSession)
 
     def of(texts: list[str | None]) -> pa.Array:
         found = [replace(t, key, kinds) for t in texts]
@@ -296,7 +301,7 @@ def pseudonymise(docs: DataFrame, key: bytes, doc_id: str = "doc_id", text: str
 
 
 def with_pseudonyms(docs: DataFrame, key: bytes, text: str = "text", kinds: tuple[str, ...] = KINDS) -> DataFrame:
-    """``docs``, all columns, with pseudonyms in the text."""
-    small_batches(docs.sparkSession)
+    """``docs``, all columns, with pseudonyms in the text, one row for each row in any order; null and empty texts, and repeated
+    rows, stay as they are.  No other column is read, so their names and nulls don't matter."""
     done = text_function(lambda texts: [replace(t, key, kinds)[0] for t in texts], "string")
     return docs.withColumn(text, done(F.col(text)))
