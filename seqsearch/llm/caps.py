@@ -7,8 +7,12 @@ trying all: only code words of one half that can still reach the threshold with
 A vector that few directions reach, or none, has its best ones as filters, so that no vector is left without.
 Vectors are joined on (label, filter), and each candidate pair is verified by its cosine in double precision.
 
-Equal vectors are joined into one before the search.  Several independent codes are used: a pair that one misses, another
-finds.
+In few dimensions product directions leave wide gaps.  There the directions are plain random ones, and a vector belongs to
+all that are not further from it than its own best one and the wanted angle together: of two linked vectors the one nearer to
+its best direction then always meets the other there, so no link is lost.
+
+Equal vectors are joined into one before the search.  Several independent product codes are used: a pair that one misses,
+another finds.
 """
 
 from __future__ import annotations
@@ -21,10 +25,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, materialise, small_batches
+from .common import connected_components, finished, materialise
 
-#: Vectors decoded at a time; each has an inner product with every code word.
-_ROWS = 500
+#: Inner products of vectors and code words that are held at a time.
+_PRODUCTS = 2_000_000
+#: Vectors of fewer dimensions than this have plain directions.
+FEW_DIMENSIONS = 16
 
 
 def cap_height(size: int, share: float) -> float:
@@ -87,7 +93,34 @@ class ProductCode:
         return np.take_along_axis(i * self.words + j, first, 1).astype(np.int64)
 
 
-def code_words(n: int, least: int = 256, most: int = 4096) -> int:
+class PlainCode:
+    """Random unit vectors for few dimensions, so many that a vector belongs to about ``hits`` of them."""
+
+    def __init__(self, size: int, cosine: float, hits: float, seed: int, most: int = 16384) -> None:
+        rng = np.random.default_rng([seed, size])
+        self.angle = math.acos(min(1.0, max(-1.0, cosine))) + 1e-7
+        probe, words = self._units(rng, 256, size), 32
+        while True:
+            self.directions = self._units(rng, words, size)
+            if words >= most or len(self.decode(probe)[0]) >= hits * len(probe):
+                break
+            words *= 2
+        self.words = words
+
+    @staticmethod
+    def _units(rng: np.random.Generator, n: int, size: int) -> np.ndarray:
+        x = rng.standard_normal((n, size))
+        return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+
+    def decode(self, x: np.ndarray, least: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """(row, direction) of all directions within the wanted angle beyond each row's best one."""
+        y = np.clip(x @ self.directions.T, -1.0, 1.0)
+        reach = np.minimum(np.arccos(y.max(1)) + self.angle, math.pi)
+        row, direction = np.nonzero(y >= np.cos(reach)[:, None] - 1e-12)
+        return row, direction.astype(np.int64)
+
+
+def code_words(n: int, least: int = 256, most: int = 65536) -> int:
     """Words of each half so that a filter holds a few of n vectors that are not near each other."""
     return int(min(most, max(least, 2 ** math.ceil(math.log2(max(2.0, math.sqrt(4.0 * n)))))))
 
@@ -107,11 +140,11 @@ def _unit(rows: pa.Array) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
-def candidate_pairs(reps: DataFrame, words: int, hits: float, codes: int, seed: int) -> DataFrame:
+def candidate_pairs(reps: DataFrame, words: int, hits: float, codes: int, seed: int, cosine: float = 0.98) -> DataFrame:
     """(a, b), a < b, of representatives (rep, label, v) that share a filter of any code."""
 
     def filters(batches):
-        made: dict[int, list[ProductCode]] = {}
+        made: dict[int, list] = {}
         for batch in batches:
             reps_, labels, vectors = batch.column(0), batch.column(1), batch.column(2)
             sizes = np.array([len(v) for v in vectors], np.int64)
@@ -119,9 +152,10 @@ def candidate_pairs(reps: DataFrame, words: int, hits: float, codes: int, seed:
                 at = np.nonzero(sizes == size)[0]
                 x = _unit(vectors.take(pa.array(at)))
                 if size not in made:
-                    made[size] = [ProductCode(size, words, hits, seed + k) for k in range(codes)]
-                for first, (k, code) in itertools.product(range(0, len(x), _ROWS), enumerate(made[size])):
-                    row, direction = code.decode(x[first : first + _ROWS], math.ceil(hits))
+                    made[size] = [PlainCode(size, cosine, hits, seed)] if size < FEW_DIMENSIONS else [ProductCode(size, words, hits, seed + k) for k in range(codes)]
+                rows = max(1, _PRODUCTS // max(c.words for c in made[size]))
+                for first, (k, code) in itertools.product(range(0, len(x), rows), enumerate(made[size])):
+                    row, direction = code.decode(x[first : first + rows], math.ceil(hits))
                     where = pa.array(at[first + row])
                     key = (direction * codes + k) * 65536 + size % 65536
                     yield pa.RecordBatch.from_arrays([reps_.take(where), labels.take(where), pa.array(key, pa.int64())], names=["rep", "label", "filter"])
@@ -161,25 +195,29 @@ def near_duplicates(table: DataFrame, cosine: float = 0.98, hits: float = 24.0,
 
     Vectors link when their labels are equal and not null and their cosine reaches ``cosine``.  A vector that is null, zero,
     or has a null or non-finite component, or a null id or label, links with nothing and is its own component.  Vectors of
-    different length never link.  Repeated rows count as other vectors.  ``hits`` is the mean number of directions that a vector reaches in each
-    of ``codes`` codes, and the least number of its filters there; recall rises with both (README has figures).
+    different length never link.  Repeated rows count as other vectors, and so do other vectors of the same id: links are
+    between rows, and a row's component is named by the smallest id that its own links reach.  ``hits`` is the mean number of
+    directions that a vector reaches in each of ``codes`` codes, and the least number of its filters there; recall rises with
+    both (README has figures).  Below ``FEW_DIMENSIONS`` no link is lost.  An empty table has no rows.
     """
-    small_batches(table.sparkSession, 2000)
     own = materialise(clean_vectors(table, vec_id, embedding, label), "caps-vectors")
     alone = own.where("not ok").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     good = own.where("ok")
-    reps = materialise(good.groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies")), "caps-distinct")
+    numbered = F.monotonically_increasing_id().alias("rep")  # fixed by writing it; ids may repeat
+    reps = materialise(good.groupBy("label", "v").agg(F.min("vec_id").alias("first_id"), F.count("*").alias("copies")).select(numbered, "*"), "caps-distinct")
     words = words or code_words(reps.count())
-    found = materialise(verified_pairs(candidate_pairs(reps, words, hits, codes, seed), reps, cosine), "caps-links")
+    found = materialise(verified_pairs(candidate_pairs(reps, words, hits, codes, seed, cosine), reps, cosine), "caps-links")
     sized = reps.select("rep", "copies")
     both = found.unionAll(found.select(F.col("b").alias("a"), F.col("a").alias("b")))
     degree = both.join(sized.select(F.col("rep").alias("b"), "copies"), "b").groupBy("a").agg(F.sum("copies").alias("others"))
     roots = connected_components(found)
+    placed = reps.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
+    names = placed.groupBy("root").agg(F.min("first_id").alias("component_id"))
     of_rep = (
-        reps.select("label", "v", "rep", "copies")
-        .join(degree.select(F.col("a").alias("rep"), "others"), "rep", "left")
-        .join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left")
-        .select("label", "v", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("root", "rep").alias("component_id"))
+        placed.join(degree.select(F.col("a").alias("rep"), "others"), "rep", "left")
+        .join(names, "root")
+        .select("label", "v", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), "component_id")
     )
     linked = good.join(of_rep, ["label", "v"]).select("vec_id", "n_links", "component_id")
-    return linked.unionAll(alone).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+    out = linked.unionAll(alone).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+    return finished(out, "caps", own, reps, found, roots)

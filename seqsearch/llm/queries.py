@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from . import caps, decontaminate, langid, licenses, pieces, pii, simhash, toxicity, urls
 
 #: The tokenizer file, a parameter of the operators; and the demonstration key of the pseudonyms.
+#: The queries that tokenise need this file; another one gives other token counts.
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 KEY = b"demonstration key, not a secret"
 
@@ -78,14 +79,14 @@ WITH RECURSIVE e AS (
     SELECT row_number() OVER () AS n, vec_id, label, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings),
 g AS (SELECT *, sqrt(list_sum(list_transform(v, lambda x: x * x))) AS norm FROM e
       WHERE label IS NOT NULL AND v IS NOT NULL AND len(list_filter(v, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
-p AS (SELECT a.n AS a, b.n AS b, a.vec_id AS ia, b.vec_id AS ib FROM g a JOIN g b ON a.label = b.label AND a.n <> b.n
+p AS (SELECT a.n AS a, b.n AS b FROM g a JOIN g b ON a.label = b.label AND a.n <> b.n
       WHERE a.norm > 0 AND b.norm > 0 AND list_dot_product(a.v, b.v) / (a.norm * b.norm) >= 0.98),
-r AS (SELECT DISTINCT ia AS vec_id, ia AS other FROM p UNION SELECT r.vec_id, p.ib FROM r JOIN p ON p.ia = r.other),
-c AS (SELECT vec_id, min(other) AS root FROM r GROUP BY vec_id),
+r AS (SELECT DISTINCT a AS n, a AS other FROM p UNION SELECT r.n, p.b FROM r JOIN p ON p.a = r.other),
+c AS (SELECT r.n, min(e.vec_id) AS root FROM r JOIN e ON e.n = r.other GROUP BY r.n),
 d AS (SELECT a AS n, count(*) AS links FROM p GROUP BY a)
 SELECT e.vec_id, coalesce(d.links, 0)::BIGINT AS n_links, coalesce(c.root, e.vec_id) AS component_id,
        e.vec_id = coalesce(c.root, e.vec_id) AS kept
-FROM e LEFT JOIN d ON d.n = e.n LEFT JOIN c ON c.vec_id = e.vec_id"""
+FROM e LEFT JOIN d ON d.n = e.n LEFT JOIN c ON c.n = e.n"""
 
 
 def oracle_sql() -> dict[str, str]:
