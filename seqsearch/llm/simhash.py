@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import connected_components, materialise, small_batches, text_function
+from .common import connected_components, discard, finished, materialise, text_function
 
 BITS = 64
 _CHUNK = 1 << 16
@@ -50,7 +50,6 @@ def fingerprint(text: str | None, shingle: int = 4, seed: int = 42) -> int:
 
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = 4, seed: int = 42) -> DataFrame:
     """(doc_id, fp); a null or empty text has fp 0."""
-    small_batches(docs.sparkSession)
     of = text_function(lambda texts: [fingerprint(t, shingle, seed) for t in texts], "bigint")
     return docs.select(F.col(doc_id).alias("doc_id"), of(F.col(text)).alias("fp"))
 
@@ -175,18 +174,37 @@ def near_duplicates(
     roots = connected_components(linked_pairs(distinct, radius))
     member = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     names = member.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    return own.join(member.join(names, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+    out = own.join(member.join(names, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+    return finished(out, "simhash-components", own, distinct, roots)
 
 
-def keep_first(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """The rows of ``docs``, all columns, whose doc_id names their group: one row of each group.
+def _digest(text: str) -> Column:
+    """A text's own number of 128 bits; null counts as empty."""
+    return F.md5(F.coalesce(F.col(text), F.lit("")))
 
-    Repeated rows (same doc_id) are reduced to one.  A row without an id can't name a group and stays.
+
+def _only(docs: DataFrame, kept: DataFrame, doc_id: str, text: str) -> DataFrame:
+    """The rows of ``docs`` whose (id, text's digest) is in ``kept``, equal rows once, and all rows without an id."""
+    rows = docs.where(F.col(doc_id).isNotNull()).withColumn("__digest", _digest(text))
+    names = kept.select(F.col("doc_id").alias(doc_id), F.col("digest").alias("__digest"))
+    found = rows.join(names, [doc_id, "__digest"], "left_semi").dropDuplicates([doc_id, "__digest"])
+    return found.select(*docs.columns).unionByName(docs.where(F.col(doc_id).isNull()))
+
+
+def keep_first(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = 4, shingle: int = 4, seed: int = 42) -> DataFrame:
+    """The rows of ``docs``, all columns, that name their group: of each group the one of the smallest id, of equal ids that
+    of the smallest digest of the text.
+
+    Rows equal in id and text are reduced to one; rows of one id with texts that don't link all stay.  A row without an id
+    can't name a group and stays.  Null and empty texts are one group.
     """
-    names = near_duplicates(docs.select(doc_id, text), doc_id, text, **options)
-    kept = names.where("component_id = doc_id").select(F.col("doc_id").alias(doc_id)).distinct()
-    found = docs.where(F.col(doc_id).isNotNull()).join(kept, doc_id, "left_semi").dropDuplicates([doc_id])
-    return found.unionByName(docs.where(F.col(doc_id).isNull()))
+    of = text_function(lambda texts: [fingerprint(t, shingle, seed) for t in texts], "bigint")
+    own = materialise(docs.select(F.col(doc_id).alias("doc_id"), of(F.col(text)).alias("fp"), _digest(text).alias("digest")).where("doc_id is not null"), "simhash")
+    distinct = materialise(own.groupBy("fp").agg(F.min(F.struct("doc_id", "digest")).alias("first")), "simhash-distinct")
+    roots = connected_components(linked_pairs(distinct.select("fp"), radius))
+    member = distinct.join(roots, distinct["fp"] == roots["node"], "left").select(F.coalesce("root", "fp").alias("root"), "first")
+    kept = finished(member.groupBy("root").agg(F.min("first").alias("k")).select("k.*"), "simhash-kept", own, distinct, roots)
+    return _only(docs, kept, doc_id, text)
 
 
 # --- documents by their sets of word shingles -------------------------------------------------------------------------
@@ -229,28 +247,32 @@ def keep_first_similar(
     similarity of their sets of word shingles is ``similarity`` or more.
 
     Candidates share a band of minima, and all are verified on whole sets.  Each is first compared with the least of its
-    band only; of bands whose documents these links do not all join, all pairs not yet joined follow.  Texts
-    without words link with each other.
+    band only; of bands whose documents these links do not all join, all pairs not yet joined follow.  Texts without words
+    (null, empty) link with each other.  Rows equal in id and text are reduced to one, rows without an id all stay.
     """
-    small_batches(docs.sparkSession)
-
     def of(texts: list[str | None]) -> list[dict]:
         out = []
         for t in texts:
             h = shingle_hashes(t, shingle, seed)
-            digest = xxhash.xxh3_128_digest(h.tobytes())
-            out.append({"digest": digest, "hashes": h.view(np.int64).tolist(), "keys": band_keys(h, bands, rows, seed).tolist() if len(h) else []})
+            same = xxhash.xxh3_128_digest(h.tobytes())
+            out.append({"same": same, "hashes": h.view(np.int64).tolist(), "keys": band_keys(h, bands, rows, seed).tolist() if len(h) else []})
         return out
 
-    made = text_function(of, "struct<digest:binary,hashes:array<bigint>,keys:array<bigint>>")
-    own = materialise(docs.select(F.col(doc_id).alias("doc_id"), made(F.col(text)).alias("s")).select("doc_id", "s.*"), "shingles")
-    distinct = own.groupBy("digest").agg(F.min("doc_id").alias("rep")).where("rep is not null")
-    sets = own.where("doc_id is not null").join(distinct, (own["digest"] == distinct["digest"]) & (own["doc_id"] == distinct["rep"])).select("rep", "hashes", "keys").dropDuplicates(["rep"])
-    every = sets.select("rep", F.explode("keys").alias("key"))
+    made = text_function(of, "struct<same:binary,hashes:array<bigint>,keys:array<bigint>>")
+    named = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), _digest(text).alias("digest"), made(F.col(text)).alias("s"))
+    own = materialise(named.select("doc_id", "digest", "s.*"), "shingles")
+    numbered = F.monotonically_increasing_id().alias("rep")  # fixed by writing it
+    firsts = own.groupBy("same").agg(F.min(F.struct("doc_id", "digest")).alias("first"))
+    distinct = materialise(firsts.select(numbered, "same", "first"), "shingles-distinct")
+    chosen = distinct.select("rep", "same", F.col("first.doc_id").alias("doc_id"), F.col("first.digest").alias("digest"))
+    sets = own.join(chosen, ["same", "doc_id", "digest"]).select("rep", "hashes", "keys").dropDuplicates(["rep"])
+    every = materialise(sets.select("rep", F.explode("keys").alias("key")), "band-keys")
     crowded = every.groupBy("key").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1").select("key", "hub")
     band = materialise(every.join(crowded, "key"), "bands")
     spokes = band.where("hub < rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
     small = materialise(sets.select("rep", "hashes").join(band.select("rep").distinct(), "rep", "left_semi"), "band-sets")
+    for t in (own, every):
+        discard(t)
     found = materialise(similar_pairs(spokes, small, similarity), "similar-first")
     roots = connected_components(found)
     placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
@@ -259,8 +281,8 @@ def keep_first_similar(
     # what the least of a band was compared with is settled
     left, right = (open_.select("key", "hub", F.col("rep").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
     rest = left.join(right, ["key", "hub"]).where("a < b and ra <> rb and a <> hub").select("a", "b").distinct()
-    links = found.unionAll(materialise(similar_pairs(rest, small, similarity), "similar-rest"))
-    member = connected_components(links)
-    kept = distinct.join(member.where("node <> root"), F.col("rep") == F.col("node"), "left_anti").select(F.col("rep").alias(doc_id))
-    rows_ = docs.where(F.col(doc_id).isNotNull()).join(kept, doc_id, "left_semi").dropDuplicates([doc_id])
-    return rows_.unionByName(docs.where(F.col(doc_id).isNull()))
+    more = materialise(similar_pairs(rest, small, similarity), "similar-rest")
+    member = connected_components(found.unionAll(more))
+    group = distinct.join(member, F.col("rep") == F.col("node"), "left").groupBy(F.coalesce("root", "rep").alias("root")).agg(F.min("first").alias("k"))
+    kept = finished(group.select("k.*"), "similar-kept", distinct, band, small, found, roots, open_, more, member)
+    return _only(docs, kept, doc_id, text)
