@@ -12,10 +12,10 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import held_out, once, pieces_of, small_batches, text_function
+from .common import held_out, once, pieces_of, text_function
 
 _JUNK = bytes(c if c >= 128 or 97 <= c <= 122 or c == 39 else 32 for c in range(256))
 _LETTERS = re.compile(r"[^\W\d_]")
@@ -67,48 +67,68 @@ def identify_text(text: str | None, model: LanguageModel | None) -> tuple[str, f
     return model.languages[best], score, bool(gap >= max(1.0, model.margin * size[best]))
 
 
-def fit(texts: dict[str, list[str]], counts: dict[str, int] | None = None, dictionary_bytes: int = 128 * 1024, **options) -> LanguageModel:
-    """A dictionary of each language from its texts: equal shares of as many texts as fit, so that none rules."""
-    counts = counts or {k: len(v) for k, v in texts.items()}
-    order = sorted((k for k in texts if any(map(has_letter, texts[k]))), key=lambda k: (-counts.get(k, 0), k))
-    contents = []
-    for k in order:
-        rows = sorted({normal_bytes(t) for t in texts[k]} - {b""}, key=lambda b: (len(b), b))
-        share, left, out = 0, dictionary_bytes, []
-        for i, row in enumerate(rows):
-            share = left // (len(rows) - i)
-            part = row[: max(share, 64)][:left]
-            out.append(part)
-            left -= len(part)
-            if left <= 0:
-                break
-        contents.append((b" ".join(out) + b" " * 8)[: dictionary_bytes + 8])
-    return LanguageModel(tuple(order), tuple(contents), **options)
-
-
-def fit_on(docs: DataFrame, per_language: int = 800, max_chars: int = 20000, max_languages: int = 200, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> LanguageModel:
-    """Learn from at most ``per_language`` texts of at most ``max_chars`` characters of each language, chosen by a hash of
-    the id among the rows that are not held out; the ``max_languages`` most frequent languages are learned."""
-    own = docs.select(F.col(doc_id).alias("__id"), F.col(lang).alias("__l")).where("__l is not null").where(~held_out("__id"))
-    top = own.groupBy("__l").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "__l").limit(max_languages).collect()
-    counts = {r["__l"]: r["n"] for r in top}
+def content(texts: list[str], dictionary_bytes: int = 128 * 1024) -> bytes:
+    """The dictionary of one language: equal shares of as many of its texts as fit, so that none rules; empty if none has a letter."""
+    rows = sorted({normal_bytes(t) for t in texts if has_letter(t)} - {b""}, key=lambda b: (len(b), b))
+    if not rows:
+        return b""
+    left, out = dictionary_bytes, []
+    for i, row in enumerate(rows):
+        share = left // (len(rows) - i)
+        part = row[: max(share, 64)][:left]
+        out.append(part)
+        left -= len(part)
+        if left <= 0:
+            break
+    return (b" ".join(out) + b" " * 8)[: dictionary_bytes + 8]
+
+
+def fit(texts: dict[str, list[str]], counts: dict[str, int] | None = None, **options) -> LanguageModel:
+    """A dictionary of each language from its texts; languages without a letter are not learned."""
+    return assemble({k: content(v) for k, v in texts.items()}, counts or {k: len(v) for k, v in texts.items()}, **options)
+
+
+def assemble(contents: dict[str, bytes], counts: dict[str, int], **options) -> LanguageModel:
+    order = sorted((k for k, c in contents.items() if c), key=lambda k: (-counts.get(k, 0), k))
+    return LanguageModel(tuple(order), tuple(contents[k] for k in order), **options)
+
+
+def fit_on(docs: DataFrame, per_language: int = 800, max_chars: int = 20000, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> LanguageModel:
+    """Learn every language that has a labelled text which is not held out, from ``per_language`` of its texts: those of the
+    smallest hashes of id and text.  Of a longer text, ``max_chars`` characters from a place given by the hash are learned.
+
+    The sample of a language is cut into its dictionary in one task; what comes to the driver is 128 KB a language.  The
+    sample depends on the rows alone, not on their order or partitions; a row without an id counts like any other.
+    """
+    own = docs.select(F.col(doc_id).alias("__id"), F.col(lang).alias("__l"), F.col(text).alias("__t")).where("__l is not null and __t is not null").where(~held_out("__id"))
+    counts = {r["__l"]: r["n"] for r in own.groupBy("__l").agg(F.count("*").alias("n")).collect()}
     if not counts:
         return LanguageModel((), ())
-    n = F.create_map(*[F.lit(x) for kv in counts.items() for x in kv])
-    # A share of the rows by hash that holds about twice what is wanted, exact for small languages.
-    part = F.abs(F.xxhash64("__id", F.lit(7)) % 1_000_000) / 1_000_000.0
-    rows = docs.select(F.col(doc_id).alias("__id"), F.col(lang).alias("__l"), F.col(text).alias("__t")).where("__l is not null and __t is not null").where(~held_out("__id"))
-    rows = rows.where(F.col("__l").isin(list(counts))).where(part * n[F.col("__l")] < 2.0 * per_language).where(F.length("__t") <= max_chars)
-    texts: dict[str, list[str]] = {}
-    for r in rows.select("__l", "__t").collect():
-        if len(texts.setdefault(r["__l"], [])) < 2 * per_language:
-            texts[r["__l"]].append(r["__t"])
-    return fit({k: sorted(v)[:: max(1, len(v) // per_language)] for k, v in texts.items()}, counts)
+    hashed = own.withColumn("__h", F.xxhash64(F.lit(7), "__id", "__t"))
+    # a share of the rows by hash that holds twice what is wanted of a frequent language, and all of a rare one
+    frequent = {k: n for k, n in counts.items() if n > 2 * per_language}
+    if frequent:
+        n = F.create_map(*[F.lit(x) for kv in sorted(frequent.items()) for x in kv])
+        part = (F.col("__h").cast("double") + 2.0**63) / 2.0**64
+        hashed = hashed.where(F.coalesce(part * n[F.col("__l")] < 2.0 * per_language, F.lit(True)))
+    first = F.pmod(F.col("__h"), F.greatest(F.lit(1), F.length("__t") - max_chars + 1)).cast("int") + 1
+    cut = hashed.select("__l", "__h", F.substring(F.col("__t"), first, F.lit(max_chars)).alias("__t"))
+    place = F.row_number().over(Window.partitionBy("__l").orderBy("__h", "__t"))
+    chosen = cut.withColumn("__n", place).where(F.col("__n") <= per_language).select("__l", "__t")
+
+    def dictionary(key: tuple, rows: pa.Table) -> pa.Table:
+        return pa.table({"lang": pa.array([key[0].as_py()], pa.string()), "content": pa.array([content(rows.column("__t").to_pylist())], pa.binary())})
+
+    made = chosen.groupBy("__l").applyInArrow(dictionary, "lang string, content binary").collect()
+    return assemble({r["lang"]: bytes(r["content"]) for r in made}, counts)
 
 
 def identify(docs: DataFrame, model: LanguageModel, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, held_out, lang_pred, score, confident), one row for each row of ``docs``, over whole texts."""
-    small_batches(docs.sparkSession)
+    """(doc_id, held_out, lang_pred, score, confident), one row for each row of ``docs``, over whole texts.
+
+    Null and empty texts, and those without a letter, are ``und`` with score 0; of equally short encodings the language with
+    more labelled texts wins.  Repeated rows and null ids are kept; other columns are not read.
+    """
 
     def of(texts: list[str | None]) -> pa.Array:
         found = [identify_text(t, model) for t in texts]
