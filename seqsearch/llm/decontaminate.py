@@ -16,15 +16,14 @@ import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
-from .common import once, small_batches
+from .common import SLICE_ROWS, once, text_function
 
 _WORDS = re.compile(r"\w+")
 #: Characters of test items in one automaton; more items are taken in further blocks, each over all documents.
 BLOCK_CHARS = 2_000_000
 
-HITS = "doc_id bigint, item_id bigint, distance int, start bigint, stop bigint"
-
 
 def normalise(text: str | None) -> str:
     return " ".join(_WORDS.findall((text or "").lower()))
@@ -132,7 +131,7 @@ class Matcher:
 
 def item_blocks(items: DataFrame, item_id: str, text: str) -> Iterator[list[tuple[int, str]]]:
     """The items, normalised and distinct, in blocks of bounded size.  Empty items match nothing and are left out."""
-    own = items.select(F.col(item_id).cast("bigint").alias("id"), F.col(text).alias("t")).where("id is not null and t is not null")
+    own = items.select(F.col(item_id).alias("id"), F.col(text).alias("t")).where("id is not null and t is not null")
     total = own.agg(F.sum(F.length("t"))).first()[0] or 0
     n = int(total * 1.2) // BLOCK_CHARS + 1
     for k in range(n):
@@ -148,8 +147,10 @@ def contaminated(docs: DataFrame, items: DataFrame, rate: float = 0.05, doc_id:
     ``rate`` edits a character.  Documents without such a place have no row; null and empty texts have none.
     A repeated document repeats its rows.  Items are compared in blocks, each block with all documents.
     """
-    small_batches(docs.sparkSession)
-    own = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"))
+    own = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
+    kinds = {"doc_id": own.schema["doc_id"].dataType, "item_id": items.schema[item_id].dataType}
+    hits = ", ".join([*(f"{k} {t.simpleString()}" for k, t in kinds.items()), "distance int, start bigint, stop bigint"])
+    types = (*map(to_arrow_type, kinds.values()), pa.int32(), pa.int64(), pa.int64())
     out = None
     for block in item_blocks(items, item_id, item_text):
         sent, key = docs.sparkSession.sparkContext.broadcast(block), uuid.uuid4().hex
@@ -157,21 +158,22 @@ def contaminated(docs: DataFrame, items: DataFrame, rate: float = 0.05, doc_id:
         def scan(batches, sent=sent, key=key):
             matcher = once(("items", key), lambda: Matcher(sent.value, rate))
             for batch in batches:
-                rows = [(d, *h) for d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) for h in matcher.hits(t)]
-                kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64())
-                columns = list(zip(*rows, strict=True)) or [()] * 5
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["doc_id", "item_id", "distance", "start", "stop"])
+                for at in range(0, batch.num_rows, SLICE_ROWS):
+                    ids, texts = (c.to_pylist() for c in batch.slice(at, SLICE_ROWS).columns)
+                    rows = [(d, *h) for d, t in zip(ids, texts, strict=True) for h in matcher.hits(t)]
+                    columns = list(zip(*rows, strict=True)) or [()] * 5
+                    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, types, strict=True)], names=["doc_id", "item_id", "distance", "start", "stop"])
 
-        part = own.mapInArrow(scan, HITS)
+        part = own.mapInArrow(scan, hits)
         out = part if out is None else out.unionAll(part)
-    return own.sparkSession.createDataFrame([], HITS) if out is None else out
+    return own.sparkSession.createDataFrame([], hits) if out is None else out
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, rate: float = 0.05, text: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
-    """The rows of ``docs``, all columns, in which no item stands."""
-    from .common import text_function
+    """The rows of ``docs``, all columns, in which no item stands.
 
-    small_batches(docs.sparkSession)
+    Null and empty texts hold no item and stay; repeated rows go or stay together; with no items all rows stay.
+    """
     for block in item_blocks(items, item_id, item_text):
         sent, key = docs.sparkSession.sparkContext.broadcast(block), uuid.uuid4().hex
 

@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out, once, pieces_of, small_batches, text_function
+from .common import held_out, once, pieces_of, text_function
 
 _NOT_LETTERS = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))
 _WORD = re.compile(r"[^\W\d_]+")
@@ -156,7 +156,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, per_label: int, max_char
     chosen = [marks.where(F.col("__y") == y).orderBy(F.xxhash64("__id"), "__id").limit(k) for y, k in ((1, per_label), (0, 2 * per_label))]
     ids = chosen[0].unionAll(chosen[1])
     own = docs.select(F.col(doc_id).alias("__id"), F.col(text).alias("__t")).where(F.length("__t") <= max_chars)
-    rows = own.join(F.broadcast(ids), "__id").select("__y", "__t").collect()
+    # one text of a repeated id, so that no id can bring more than its share
+    rows = own.join(F.broadcast(ids), "__id").groupBy("__id", "__y").agg(F.min("__t").alias("__t")).select("__y", "__t").collect()
     total = sum(n.values())
     return [r["__t"] for r in rows if r["__y"]], [r["__t"] for r in rows if not r["__y"]], n.get(1, 0) / total if total else None
 
@@ -175,13 +176,14 @@ def toxicity(model: ToxicityModel | None):
 
 def score(docs: DataFrame, model: ToxicityModel | None, doc_id: str = "doc_id", text: str = "text", threshold: float = 0.3) -> DataFrame:
     """(doc_id, held_out, score, predicted), one row for each row of ``docs``; its other columns are not read."""
-    small_batches(docs.sparkSession)
     found: Column = toxicity(model)(F.col(text))
     own = docs.select(F.col(doc_id).alias("doc_id"), held_out(doc_id).alias("held_out"), found.alias("score"))
     return own.withColumn("predicted", (F.col("score") >= threshold).cast("int"))
 
 
 def drop_toxic(docs: DataFrame, model: ToxicityModel | None, text: str = "text", threshold: float = 0.3) -> DataFrame:
-    """The rows of ``docs``, all columns, whose score is below the threshold."""
-    small_batches(docs.sparkSession)
+    """The rows of ``docs``, all columns, whose score is below the threshold.
+
+    A null or empty text has the score of a text without savings; repeated rows go or stay together; with no model all stay.
+    """
     return docs.where(toxicity(model)(F.col(text)) < threshold)
