@@ -1,9 +1,9 @@
 """License scans by ordered signature rules.
 
 A rule is a regular expression over the words of a text (A-Z in lower case, ASCII punctuation dropped, one blank between
-words), with keywords that any match must hold, a label, a priority and a weight.  A text's words fetch the rules whose
-rarest keyword they hold; only rules with all keywords run.  Of the matches, in order of priority and then length, one is dropped
-if an accepted match of another rule contains its interval.
+words), with keywords that any match must hold, a label, a priority and a weight; ``license_rules`` has them.  A text's words
+fetch the rules whose rarest keyword they hold; only rules with all keywords run.  Of the matches, in order of priority and
+then length, one is dropped if an accepted match contains its interval; equal intervals go to the rule that comes first.
 """
 
 from __future__ import annotations
@@ -11,11 +11,12 @@ from __future__ import annotations
 import re
 from dataclasses import dataclass
 
-import pyarrow as pa
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import once, text_function
+from .license_rules import LINES
 
 _WORD_BYTES = bytes(c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
@@ -36,95 +37,30 @@ class Signature:
     weight: float  # of the evidence, 0 to 1
 
 
-def _named() -> list[tuple[str, str, str]]:
-    """(label, name in words, identifier in words) of known licenses, by family and version."""
-    out = []
-    for family, name, versions in (
-        ("gpl", "general public license", ("1", "2", "3")),
-        ("lgpl", "lesser general public license", ("2", "2 1", "3")),
-        ("agpl", "affero general public license", ("1", "3")),
-        ("apache", "apache (?:software )?license", ("1", "1 1", "2")),
-        ("mpl", "mozilla public license", ("1", "1 1", "2")),
-        ("epl", "eclipse public license", ("1", "2")),
-        ("cddl", "common development and distribution license", ("1", "1 1")),
-        ("cpl", "common public license", ("1",)),
-        ("eupl", "european union public licen[cs]e", ("1", "1 1", "1 2")),
-        ("osl", "open software license", ("1", "2", "2 1", "3")),
-        ("afl", "academic free license", ("1 1", "1 2", "2", "2 1", "3")),
-        ("artistic", "artistic license", ("1", "2")),
-        ("lppl", "latex project public license", ("1", "1 1", "1 2", "1 3")),
-        ("ofl", "(?:sil )?open font license", ("1", "1 1")),
-        ("gfdl", "free documentation license", ("1 1", "1 2", "1 3")),
-        ("zpl", "zope public license", ("1 1", "2", "2 1")),
-        ("php", "php license", ("3", "3 1")),
-        ("python", "(?:python|psf) license", ("2",)),
-        ("boost", "boost software license", ("1",)),
-    ):
-        for v in versions:
-            dashed = v.replace(" ", ".")
-            out.append((f"{family}-{dashed}", f"{name} (?:as published by the [a-z ]{{1,40}} )?(?:either )?(?:v|version |v )?{v}", f"{family} {v}"))
-    for kind in ("by", "by sa", "by nc", "by nd", "by nc sa", "by nc nd"):
-        words = {"by": "attribution", "sa": "share ?alike", "nc": "non ?commercial", "nd": "no ?deriv(?:ative)?s?(?: works)?"}
-        name = " ".join(words[k] for k in kind.split())
-        label = "cc-" + kind.replace(" ", "-")
-        for v in ("1 0", "2 0", "2 5", "3 0", "4 0"):
-            out.append((f"{label}", f"creative commons {name} (?:international |unported |generic )?(?:license |licence )?(?:version )?{v}", f"cc {kind} {v}"))
-        out.append((label, f"creative commons {name}", f"cc {kind}"))
-    return out
+#: Kind of a rule: priority and weight of its evidence.
+KINDS = {"id": (90, 1.0), "base": (85, 1.0), "grant": (80, 1.0), "url": (75, 0.95), "text": (65, 0.95), "title": (60, 0.9), "name": (50, 0.8), "hint": (10, 0.4)}
+_GROUP = re.compile(r"\(\?:([^()]*)\)(\?|\{[0-9,]+\})?")
+
+
+def keywords(pattern: str) -> tuple[str, ...]:
+    """The whole words that every match of a pattern has.
+
+    A group all whose branches end (or all start) with a blank stands between words and is left out; any other group, and any
+    other sign of a regular expression, spoils the word that it touches.
+    """
+    text = pattern
+    while m := _GROUP.search(text):
+        branches = m[1].split("|")
+        between = all(x.endswith(" ") for x in branches) or all(x.startswith(" ") for x in branches)
+        text = text[: m.start()] + ("" if between else "*") + text[m.end() :]
+    text = re.sub(r"\[[^]]*\]", "*", re.sub(r" \?", "* *", text))
+    return tuple(dict.fromkeys(w for w in text.split() if re.fullmatch(r"[a-z0-9]+", w)))
 
 
 def _rules() -> tuple[Signature, ...]:
-    rules: list[Signature] = []
-
-    def add(pattern: str, keywords: str, label: str, priority: int, weight: float) -> None:
-        rules.append(Signature(pattern, tuple(keywords.split()), label, priority, weight))
-
-    for label, name, identifier in _named():
-        start = re.split(r"[^a-z ]", name)[0].split()
-        keys = " ".join(start[: 1 if start[:1] != [""] else 0]) or "license"
-        version = identifier.split()[-1]
-        tail = r"(?: 0)?(?: or (?:at your option )?(?:any )?later(?: version)?| only)?"
-        add(rf"spdx license identifier {identifier}{tail}", f"spdx {identifier.split()[0]}", label, 90, 1.0)
-        add(rf"(?:licensed|released|distributed|available|published) under (?:the )?(?:terms of the )?(?:gnu )?{name}{tail}", f"under {keys}", label, 80, 1.0)
-        add(rf"(?:gnu )?{name}{tail}", keys, label, 60, 0.9)
-        add(rf"(?:licensed|released|distributed|available) under (?:the )?(?:gnu )?{identifier.rsplit(' ', len(identifier.split()) - 1)[0] if not identifier.startswith('cc') else identifier}{'' if identifier.startswith('cc') else ' (?:v|version |v )?' + ' '.join(identifier.split()[1:])}{tail}", f"under {identifier.split()[0]}", label, 70, 1.0)
-        if identifier.startswith("cc "):
-            add(identifier, f"cc by {version}" if version.isalnum() and version != "0" else "cc by", label, 50, 0.8)
-    for label, name in (
-        ("mit", "mit"), ("isc", "isc"), ("zlib", "zlib"), ("unlicense", "unlicense"), ("wtfpl", "wtfpl"), ("x11", "x11"),
-        ("ncsa", "ncsa"), ("postgresql", "postgresql"), ("openssl", "openssl"), ("vim", "vim"), ("ruby", "ruby"), ("w3c", "w3c"),
-        ("bsd-2-clause", "bsd 2 clause"), ("bsd-3-clause", "bsd 3 clause"), ("bsd-4-clause", "bsd 4 clause"), ("0bsd", "0bsd"),
-        ("ms-pl", "microsoft public"), ("ms-rl", "microsoft reciprocal"), ("json", "json"), ("beerware", "beerware"),
-    ):
-        first = name.split()[0]
-        add(rf"spdx license identifier {name}", f"spdx {first}", label, 90, 1.0)
-        add(rf"(?:licensed|released|distributed|available) under (?:the )?(?:terms of the )?{name}(?: license| licence)?", f"under {first}", label, 80, 1.0)
-        add(rf"(?:under )?the {name} (?:license|licence)", first, label, 60, 0.9)
-        add(rf"{name} licensed", f"{first} licensed", label, 55, 0.8)
-    for text, keys, label in (
-        ("permission is hereby granted free of charge to any person obtaining a copy", "permission hereby granted obtaining", "mit"),
-        ("the software is provided as is without warranty of any kind express or implied", "software provided warranty implied", "mit"),
-        ("permission to use copy modify and or distribute this software for any purpose", "permission modify distribute purpose", "isc"),
-        ("redistribution and use in source and binary forms with or without modification are permitted", "redistribution binary forms permitted", "bsd"),
-        ("neither the name of [a-z0-9 ]{1,80} nor the names of its contributors", "neither names contributors", "bsd-3-clause"),
-        ("all advertising materials mentioning features or use of this software", "advertising mentioning", "bsd-4-clause"),
-        ("this is free and unencumbered software released into the public domain", "unencumbered domain", "unlicense"),
-        ("dedicated to the public domain", "dedicated domain", "public-domain"),
-        ("cc0(?: 1 0)?(?: universal)?", "cc0", "cc0-1.0"),
-        ("creative commons zero(?: 1 0)?(?: universal)?", "commons zero", "cc0-1.0"),
-        ("do what the fuck you want to public license", "want public license", "wtfpl"),
-        ("this program is free software you can redistribute it and or modify it", "program redistribute modify", "gpl"),
-        ("the origin of this software must not be misrepresented", "origin misrepresented", "zlib"),
-        ("all rights reserved", "rights reserved", "all-rights-reserved"),
-        ("proprietary and confidential", "proprietary confidential", "proprietary"),
-        ("unauthorized copying of this file via any medium is strictly prohibited", "unauthorized copying prohibited", "proprietary"),
-    ):
-        add(text, keys, label, 65 if label != "all-rights-reserved" else 20, 0.9 if label != "all-rights-reserved" else 0.5)
-    for phrase, label in BASE_PHRASES:
-        add(phrase, " ".join(w for w in phrase.split() if w not in ("the", "under", "version", "2")), label, 85, 1.0)
-    add("(?:gnu )?gpl", "gpl", "gpl", 10, 0.6)
-    add("(?:gnu )?general public license", "general public license", "gpl", 10, 0.6)
-    add("licen[cs]ed under", "under", "other-license", 5, 0.3)
+    rows = [tuple(x.strip() for x in line.split(" | ")) for line in LINES.strip().splitlines()]
+    rows += [(label, "base", phrase) for phrase, label in BASE_PHRASES]
+    rules = [Signature(pattern, keywords(pattern), label, *KINDS[kind]) for label, kind, pattern in rows]
     return tuple(sorted(rules, key=lambda r: (-r.priority, r.pattern)))
 
 
@@ -163,15 +99,19 @@ class Scanner:
             return []
         have_all = set(words)
         tried = sorted(i for k in have for i in self.by_key[k] if self.rules[i][2] <= have_all)
-        found = [(i, m.start(), m.end()) for i in tried for m in self.rules[i][1].finditer(framed)]
-        found.sort(key=lambda x: (-self.rules[x[0]][0].priority, x[1] - x[2], x[1], x[0]))
+        found = [(-self.rules[i][0].priority, m.start() - m.end(), m.start(), i) for i in tried for m in self.rules[i][1].finditer(framed)]
+        found.sort()
         kept: list[tuple[int, int, int]] = []
-        spans: dict[int, list[tuple[int, int]]] = {}  # accepted intervals by the 4 kB cells that they touch
-        for i, a, b in found:
-            if not any(x <= a and b <= y for x, y in spans.get(a >> 12, ())):
+        spans: dict[int, list[tuple[int, int]]] = {}  # accepted intervals by the cells of 64 bytes that they touch
+        for _, size, a, i in found:
+            b, cell = a - size, a >> 6
+            for x, y in spans.get(cell, ()):
+                if x <= a and b <= y:
+                    break
+            else:
                 kept.append((a, b, i))
-                for cell in range(a >> 12, (b >> 12) + 1):
-                    spans.setdefault(cell, []).append((a, b))
+                for c in range(cell, (b >> 6) + 1):
+                    spans.setdefault(c, []).append((a, b))
         return sorted(kept)
 
     def scan(self, text: str | None) -> dict:
@@ -179,8 +119,10 @@ class Scanner:
         framed = b" %b " % b" ".join(words)
         base = self.base(framed) if len(words) > 2 else []
         found = self.detections(words, framed)
-        at = {p: framed.count(b" ", 0, p) for p in {p for p, _ in base} | {a - 1 for a, _, _ in found} | {b for _, b, _ in found}}
-        starts = [at[p] for p, _ in base]
+        blanks = np.cumsum([0, *map(len, words)]) + np.arange(len(words) + 1)  # before each word, and the last
+        starts = np.searchsorted(blanks, [p for p, _ in base]).tolist()
+        first = np.searchsorted(blanks, [a - 1 for a, _, _ in found]).tolist()
+        after = np.searchsorted(blanks, [b for _, b, _ in found]).tolist()
         rules = [self.rules[i][0] for _, _, i in found]
         base_labels = {label for _, label in base}
         weights = [r.weight for r in rules] + [1.0] * bool(base)
@@ -195,7 +137,7 @@ class Scanner:
             "base_labels": ",".join(sorted(base_labels)),
             "labels": ",".join(sorted(base_labels | {r.label for r in rules})),
             "score": 1.0 - miss,
-            "detections": [{"label": r.label, "first_word": at[a - 1], "after_word": at[b], "weight": r.weight} for (a, b, _), r in zip(found, rules, strict=True)],
+            "detections": [{"label": r.label, "first_word": i, "after_word": j, "weight": r.weight} for r, i, j in zip(rules, first, after, strict=True)],
         }
 
 
@@ -205,7 +147,9 @@ _KIND = "struct<n_words:bigint,n_base:bigint,first_word:bigint,last_word:bigint,
 def scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, detections), a row for each row.
 
-    A null or empty text has no words, empty labels and score 0.  Other columns of ``docs`` are not read.
+    A null or empty text has no words, empty labels and score 0.  Of matches of equal priority and length the earlier in the
+    text is taken first, of equal places the rule of the smaller pattern.  Repeated rows and null ids are kept; other columns
+    of ``docs`` are not read.
     """
 
     def of(texts: list[str | None]) -> list[dict]:
