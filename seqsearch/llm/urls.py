@@ -14,6 +14,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .url_rules import LINES
+
 #: Rules beyond this many are joined rather than kept in the plan.
 PLAN_RULES = 5_000
 
@@ -30,7 +32,9 @@ class SiteRule:
 
     @property
     def tokens(self) -> list[str]:
-        return [t for t in _split(self.text.lower()) if t]
+        """The whole tokens of every URL that fits: a path that ends within a token only starts one of the URL's."""
+        found = _split(self.text.lower())
+        return found[:-1] if self.path[-1:].isascii() and self.path[-1:].isalnum() else found
 
 
 @dataclass(frozen=True)
@@ -56,15 +60,28 @@ SITE_RULES = (
     SiteRule("net", "/fr/", "block"),
 )
 
-PATTERN_RULES = (
-    *(PatternRule(rf"[/._-]{w}[/._-]", (w,)) for w in ("ads", "adserver", "banner", "popup", "tracker", "casino", "porn", "xxx", "warez", "torrent")),
-    *(PatternRule(rf"://([^/?#]*[.-])?{a}-{b}[.-]", (a, b)) for a in ("spam", "link", "click", "content") for b in ("farm", "mill", "bait")),
-    PatternRule(r"[?&]redirect=https?(:|%3a)", ("redirect",)),
-    PatternRule(r"[?&](session|sid|phpsessid)=[0-9a-f]{16,}", ()),
-    PatternRule(r"/wp-login\.php", ("wp", "login", "php")),
-    PatternRule(r"/cgi-bin/", ("cgi", "bin")),
-    PatternRule(r"://[0-9]{1,3}(\.[0-9]{1,3}){3}[:/]", ()),
-)
+def _pattern_rules() -> tuple[PatternRule, ...]:
+    rows = [line.split(" | ", 2) if line.count(" | ") > 1 else [line.split(" ", 1)[0], "", line.split(" | | ")[1]] for line in LINES.strip().splitlines()]
+    return tuple(PatternRule(pattern, tuple(literals.split()), verdict) for verdict, literals, pattern in rows)
+
+
+PATTERN_RULES = _pattern_rules()
+
+
+def rules_from(table: DataFrame) -> tuple[list[SiteRule], list[PatternRule]]:
+    """(site rules, pattern rules) of a table (host, path, pattern, literals, verdict), in order of its column ``rank``; a rule
+    with a null pattern is a site rule.  At most ``PLAN_RULES`` rows; larger tables are for :func:`judge_by_join`."""
+    rows = table.select("rank", "host", "path", "pattern", "literals", "verdict").limit(PLAN_RULES + 1).collect()
+    if len(rows) > PLAN_RULES:
+        raise ValueError(f"more than {PLAN_RULES} rules: use judge_by_join")
+    rows.sort(key=lambda r: r["rank"])
+    sites = [SiteRule(r["host"], r["path"] or "/", r["verdict"]) for r in rows if r["pattern"] is None]
+    return sites, [PatternRule(r["pattern"], tuple(r["literals"] or ()), r["verdict"]) for r in rows if r["pattern"] is not None]
+
+
+def _low(url: Column) -> Column:
+    """A-Z in lower case, null as empty."""
+    return F.translate(F.coalesce(url, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
@@ -79,8 +96,7 @@ def host_and_path(url: Column) -> tuple[Column, Column]:
 
 def url_tokens(url: Column) -> Column:
     """The distinct runs of ASCII letters and digits, in lower case."""
-    lower = F.translate(F.coalesce(url, F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    return F.array_distinct(F.filter(F.split(lower, "[^a-z0-9]+"), lambda t: t != ""))
+    return F.array_distinct(F.filter(F.split(_low(url), "[^a-z0-9]+"), lambda t: t != ""))
 
 
 def rarest_tokens(urls: DataFrame, rules: Sequence, url: str = "url") -> dict[str, int]:
@@ -144,7 +160,7 @@ def judge(urls: DataFrame, site_rules: Sequence[SiteRule] = SITE_RULES, pattern_
     else:
         candidates = always
     own = own.withColumn("__c", candidates)
-    lower = F.lower(F.coalesce(F.col("__url"), F.lit("")))
+    lower = _low(F.col("__url"))
     own = own.withColumn("__fit", F.filter("__c", lambda r: _fits(r, F.col("host"), F.col("path"), lower)))
     return own.select(*keep, "host", "path", *_decide(F.col("__fit"), default), F.size("__c").alias("n_candidates"))
 
@@ -164,7 +180,7 @@ def judge_by_join(urls: DataFrame, rules: DataFrame, url: str = "url", key: str
     literal: URLs are joined to their candidates on the token.  ``key`` must be unique.  Each URL gives a row for each of its
     tokens; a token that very many URLs have is the rarest of few rules, and the join on it can be split."""
     host, path = host_and_path(F.col(url))
-    own = urls.select(F.col(key).alias("__key"), F.lower(F.coalesce(F.col(url), F.lit(""))).alias("__url"), host.alias("host"), path.alias("path"), F.explode_outer(F.array_union(url_tokens(F.col(url)), F.array(F.lit("")))).alias("token"))
+    own = urls.select(F.col(key).alias("__key"), _low(F.col(url)).alias("__url"), host.alias("host"), path.alias("path"), F.explode_outer(F.array_union(url_tokens(F.col(url)), F.array(F.lit("")))).alias("token"))
     r = rules.select("token", F.struct("site", "host", "path", "pattern", "verdict", "size", "rank").alias("r"))
     tried = own.join(r, "token").where(_fits(F.col("r"), own["host"], own["path"], F.col("__url")))
     best = tried.groupBy("__key").agg(F.max(F.when(F.col("r.site"), F.struct("r.size", "r.rank", F.concat("r.host", "r.path").alias("rule"), "r.verdict"))).alias("s"), F.max(F.when(~F.col("r.site"), F.struct("r.rank", "r.pattern", "r.verdict"))).alias("p"))
@@ -193,6 +209,6 @@ def verdict_sql(pages: str = "pages", site_rules: Sequence[SiteRule] = SITE_RULE
     w AS (SELECT row_number() OVER () AS n, page_id, url, {low % "regexp_extract(coalesce(rest, ''), '^([^/?#]*)', 1)"} AS host, regexp_extract(coalesce(rest, ''), '^[^/?#]*([^?#]*)', 1) AS path FROM u),
     b AS (SELECT w.n, arg_max(s.h || s.p, length(s.h || s.p) * 1000000 - s.i) AS rule, arg_max(s.v, length(s.h || s.p) * 1000000 - s.i) AS v
           FROM w JOIN s ON (w.host = s.h OR ends_with(w.host, '.' || s.h)) AND starts_with(w.path, s.p) GROUP BY w.n),
-    c AS (SELECT w.n, arg_min(x.re, x.i) AS re, arg_min(x.v, x.i) AS v FROM w JOIN x ON regexp_matches(lower(w.url), x.re) GROUP BY w.n)
+    c AS (SELECT w.n, arg_min(x.re, x.i) AS re, arg_min(x.v, x.i) AS v FROM w JOIN x ON regexp_matches({low % 'w.url'}, x.re) GROUP BY w.n)
     SELECT page_id, host, path, b.rule AS rule, coalesce(b.v, c.v, {q(default)}) AS verdict, c.re AS pattern
     FROM w LEFT JOIN b ON w.n = b.n LEFT JOIN c ON w.n = c.n"""
