@@ -6,19 +6,22 @@ texts.  Every text is cut into short overlapping windows; each is compressed wit
 bytes, the window holds toxic segments.  A text's largest savings are turned into a probability by a logistic curve that is
 calibrated on labelled texts which neither dictionary has seen.
 
-The typical segments are words that stand in many *different* places of toxic texts (distinct pairs with the word before)
-and in few of ordinary ones; counting places rather than texts keeps copied texts from making their words typical.
+The typical segments are words, and the stems that they share, that stand in many *different* places of toxic texts (distinct
+pairs with the word before) and in few of ordinary ones; counting places rather than texts keeps copied texts from making
+their words typical.  How typical they must be is chosen by cross-fitting.
 """
 
 from __future__ import annotations
 
+import pickle
 import re
 from collections import Counter
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pyarrow as pa
 import zstandard
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import held_out, once, pieces_of, text_function
@@ -64,13 +67,15 @@ def savings(text: str | None, model: ToxicityModel) -> np.ndarray:
 
 
 def features(saved: np.ndarray) -> np.ndarray:
-    """The three largest savings, how many windows save a word's worth, and the number of windows (log)."""
-    top = np.zeros(3)
-    k = min(3, len(saved))
+    """The four largest savings, how many windows save 2, 3, 4, 5, 6 bytes, all bytes saved and their mean, and the number of windows."""
+    top, n = np.zeros(4), len(saved)
+    k = min(4, n)
     if k:
-        top[:k] = np.sort(np.partition(saved, len(saved) - k)[len(saved) - k :])[::-1]
-    strong = [np.log1p((saved >= t).sum()) for t in (4, 6)] if k else [0.0, 0.0]
-    return np.array([*top, *strong, np.log1p(len(saved)), 1.0])
+        top[:k] = np.sort(np.partition(saved, n - k)[n - k :])[::-1]
+    won = int(np.clip(saved, 0, None).sum())
+    strong = [np.log1p((saved >= t).sum()) for t in (2, 3, 4, 5, 6)]
+    long = np.log1p(n)
+    return np.array([*top, *strong, np.log1p(won), won / max(1, n), long, long * long / 10, 1.0])
 
 
 def score_text(text: str | None, model: ToxicityModel | None) -> float:
@@ -81,57 +86,79 @@ def score_text(text: str | None, model: ToxicityModel | None) -> float:
     return float(1 / (1 + np.exp(-np.clip(z, -30, 30))))
 
 
-def typical_segments(toxic: list[str], ordinary: list[str], min_z: float = 6.0) -> list[str]:
-    """Words of toxic texts with many more distinct places per text than in ordinary ones, the least typical first."""
+def typical_segments(toxic: list[str], ordinary: list[str], stem: int = 5, least_z: float = 6.0) -> list[tuple[float, str]]:
+    """(z, segment), the least typical first: words, ended by a blank, and stems of ``stem`` letters or more, with at least
+    four times as many distinct places per toxic text as per ordinary one.  A stem that one longer segment is as typical as
+    is left out."""
 
     def places(texts: list[str]) -> Counter:
         pairs: set[tuple[str, str]] = set()
         for t in texts:
             words = ["", *_WORD.findall(t.lower())]
             pairs.update(zip(words, words[1:], strict=False))
-        return Counter(w for _, w in pairs)
+        by_word = Counter(w for _, w in pairs)
+        out: Counter = Counter()
+        for w, n in by_word.items():
+            out[w + " "] += n
+            for k in range(stem, len(w) + 1):
+                out[w[:k]] += n
+        return out
 
     a, b, n, m = places(toxic), places(ordinary), len(toxic), len(ordinary)
-    found = []
+    found: dict[str, float] = {}
     for w, x in a.items():
         rate, plain = x / n, (b[w] + 0.5) / m
         if x >= 3 and rate >= 4 * plain:
             mean = (x + b[w] + 0.5) / (n + m)
-            found.append(((rate - plain) / np.sqrt(mean * (1 / n + 1 / m)), w))
-    return [w for z, w in sorted(found) if z >= min_z]
+            z = float((rate - plain) / np.sqrt(mean * (1 / n + 1 / m)))
+            if z >= least_z:
+                found[w] = z
+    best_longer: dict[str, float] = {}
+    for w, z in found.items():
+        best_longer[w[:-1]] = max(z, best_longer.get(w[:-1], 0.0))
+    return sorted((z, w) for w, z in found.items() if best_longer.get(w, 0.0) < z)
 
 
-def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, dictionary_bytes: int = 64000, window: int = 48, step: int = 32, level: int = 3, folds: int = 4) -> ToxicityModel | None:
-    """Fit on two lists of texts.  ``share_toxic`` is the share of label 1 among all labels, if the lists don't keep it.
-
-    The curve is calibrated by cross-fitting: the savings of a text come from dictionaries made without it.  With no
-    texts of either label there is no model.
-    """
-    if not toxic or not ordinary:
-        return None
-    toxic, ordinary = sorted(set(toxic)), sorted(set(ordinary))
-
-    def dictionaries(a: list[str], b: list[str], weights: tuple[float, ...] = ()) -> ToxicityModel:
-        samples = [w for t in b for w in pieces_of(normal_bytes(t), 256, 256)]
-        samples = samples[:: max(1, len(samples) // 20000)]
-        try:
-            plain = zstandard.train_dictionary(dictionary_bytes, samples).as_bytes()[-dictionary_bytes:]
-        except zstandard.ZstdError:  # too few samples to train on
-            plain = b"".join(samples)[-dictionary_bytes:]
-        plain = (plain or b" ") * (8 // max(1, len(plain)) + 1)
-        words = typical_segments(a, b)
-        return ToxicityModel(plain, plain + b" " + b"".join(w.encode() + b" " for w in words), weights, window, step, level, tuple(words))
-
-    rows, y = [], []
-    folds = max(2, min(folds, len(toxic), len(ordinary))) if min(len(toxic), len(ordinary)) > 1 else 1
-    for k in range(folds):
-        out = [x for i, x in enumerate(toxic) if i % folds == k], [x for i, x in enumerate(ordinary) if i % folds == k]
-        into = ([x for i, x in enumerate(toxic) if i % folds != k], [x for i, x in enumerate(ordinary) if i % folds != k]) if folds > 1 else out
-        model = dictionaries(*into)
-        for label, texts in enumerate(reversed(out)):
-            rows += [features(savings(t, model)) for t in texts]
-            y += [label] * len(texts)
-    x, y = np.array(rows), np.array(y, float)
+@dataclass(frozen=True)
+class FitOptions:
+    dictionary_bytes: int = 64000
+    training_windows: int = 20000  # at most so many windows of 256 bytes, evenly over the ordinary texts, train their dictionary
+    window: int = 48
+    step: int = 32
+    level: int = 3
+    folds: int = 4
+    min_z: tuple[float, ...] = (6.0, 9.0)  # least z of a typical segment: one is chosen
+
+
+def _dictionaries(toxic: list[str], ordinary: list[str], o: FitOptions) -> dict[float, ToxicityModel]:
+    """For each least z a model without weights; all share the ordinary dictionary."""
+    samples = [w for t in ordinary for w in pieces_of(normal_bytes(t), 256, 256)]
+    samples = samples[:: max(1, len(samples) // o.training_windows)]
+    try:
+        plain = zstandard.train_dictionary(o.dictionary_bytes, samples).as_bytes()[-o.dictionary_bytes :]
+    except zstandard.ZstdError:  # too few samples to train on
+        plain = b"".join(samples)[-o.dictionary_bytes :]
+    plain = (plain or b" ") * (8 // max(1, len(plain)) + 1)
+    typical = typical_segments(toxic, ordinary, least_z=min(o.min_z))
+    out = {}
+    for least in o.min_z:
+        words = [w for z, w in typical if z >= least]
+        content = plain + b" " + b" ".join(w.encode() for w in words) + b" "  # whole words keep their blank, and one between
+        out[least] = ToxicityModel(plain, content, (), o.window, o.step, o.level, tuple(w.strip() for w in words))
+    return out
+
+
+def _fold(toxic: list[str], ordinary: list[str], k: int, folds: int, o: FitOptions) -> tuple[list[int], dict[float, list]]:
+    """Labels of the texts of one fold, and for each least z their features by dictionaries made without them."""
+    out = [[x for i, x in enumerate(texts) if i % folds == k] for texts in (ordinary, toxic)]
+    rest = [[x for i, x in enumerate(texts) if i % folds != k] for texts in (ordinary, toxic)] if folds > 1 else out
+    models = _dictionaries(rest[1], rest[0], o)
+    rows = {z: [features(savings(t, m)).tolist() for texts in out for t in texts] for z, m in models.items()}
+    return [label for label, texts in enumerate(out) for _ in texts], rows
+
+
+def _curve(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, float]:
+    """Weights of a logistic curve, and its loss."""
     w = np.zeros(x.shape[1])
     ridge = np.full(len(w), 0.05)
     ridge[-1] = 1e-6
@@ -143,9 +170,44 @@ def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None,
         w -= move
         if np.abs(move).max() < 1e-9:
             break
+    z = np.clip(x @ w, -30, 30)
+    return w, float(np.mean(np.log1p(np.exp(z)) - y * z))
+
+
+def fit(toxic: list[str], ordinary: list[str], share_toxic: float | None = None, options: FitOptions = FitOptions(), spark: SparkSession | None = None) -> ToxicityModel | None:
+    """Fit on two lists of texts.  ``share_toxic`` is the share of label 1 among all labels, if the lists don't keep it.
+
+    The curve is calibrated by cross-fitting: the savings of a text come from dictionaries made without it.  With ``spark``
+    each fold, and the final dictionaries, are a task.  With no texts of either label there is no model.
+    """
+    if not toxic or not ordinary:
+        return None
+    toxic, ordinary = sorted(set(toxic)), sorted(set(ordinary))
+    folds = max(2, min(options.folds, len(toxic), len(ordinary))) if min(len(toxic), len(ordinary)) > 1 else 1
+    if spark is None:
+        done = [_fold(toxic, ordinary, k, folds, options) for k in range(folds)]
+        models = _dictionaries(toxic, ordinary, options)
+    else:
+        sent = spark.sparkContext.broadcast((toxic, ordinary))
+
+        def run(batches):
+            for batch in batches:
+                for k in batch.column(0).to_pylist():
+                    made = _fold(*sent.value, k, folds, options) if k < folds else {z: (m.ordinary, m.toxic, m.segments) for z, m in _dictionaries(*sent.value, options).items()}
+                    yield pa.RecordBatch.from_arrays([pa.array([k]), pa.array([pickle.dumps(made)], pa.binary())], names=["k", "made"])
+
+        parts = spark.range(0, folds + 1, 1, folds + 1).mapInArrow(run, "k bigint, made binary").collect()  # a few numbers for each text of the sample
+        got = {r["k"]: pickle.loads(bytes(r["made"])) for r in parts}
+        sent.destroy()
+        done = [got[k] for k in range(folds)]
+        models = {z: ToxicityModel(a, b, (), options.window, options.step, options.level, words) for z, (a, b, words) in got[folds].items()}
+    y = np.array([label for labels, _ in done for label in labels], float)
+    curves = {z: _curve(np.array([x for _, rows in done for x in rows[z]]), y) for z in options.min_z}
+    best = min(options.min_z, key=lambda z: (curves[z][1], z))
+    w = curves[best][0]
     if share_toxic is not None and 0 < share_toxic < 1:
         w[-1] += np.log(share_toxic / (1 - share_toxic)) - np.log(len(toxic) / len(ordinary))
-    return dictionaries(toxic, ordinary, tuple(w.tolist()))
+    return replace(models[best], weights=tuple(w.tolist()))
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_label: int, max_chars: int, doc_id: str, text: str, label: str):
@@ -166,7 +228,7 @@ def fit_on(docs: DataFrame, labels: DataFrame, per_label: int = 3000, max_chars:
     """Fit on ``per_label`` toxic and twice as many ordinary texts, chosen by a hash of their id among the rows that are
     not held out and have at most ``max_chars`` characters: at most 9,000 texts whatever the size of the tables."""
     toxic, ordinary, share = labelled_sample(docs, labels, per_label, max_chars, doc_id, text, label)
-    return fit(toxic, ordinary, share)
+    return fit(toxic, ordinary, share, spark=docs.sparkSession)
 
 
 def toxicity(model: ToxicityModel | None):
