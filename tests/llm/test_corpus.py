@@ -311,8 +311,8 @@ def test_toxicity_query_against_brute_force(spark):
             w = data[at : at + model.window]
             saved.append(len(tools[0].compress(w)) - len(tools[1].compress(w)))
             at += model.step
-        top = (sorted(saved, reverse=True) + [0, 0, 0])[:3]
-        x = [*top, *(np.log1p(sum(s >= t for s in saved)) for t in (4, 6)), np.log1p(len(saved)), 1.0]
+        top, won, long = (sorted(saved, reverse=True) + [0] * 4)[:4], sum(s for s in saved if s > 0), np.log1p(len(saved))
+        x = [*top, *(np.log1p(sum(s >= t for s in saved)) for t in (2, 3, 4, 5, 6)), np.log1p(won), won / max(1, len(saved)), long, long**2 / 10, 1.0]
         z = sum(a * b for a, b in zip(x, model.weights, strict=True))
         want = 1 / (1 + np.exp(-min(30, max(-30, z))))
         assert abs(r["score"] - want) < 1e-9 and r["predicted"] == int(r["score"] >= 0.3)
@@ -324,7 +324,24 @@ def test_toxicity_on_held_out(spark):
     got = toxicity.score(docs, toxicity.fit_on(docs, labels)).where("held_out").join(labels, "doc_id").select("score", "toxic").toPandas()
     s, y = got["score"].to_numpy(), got["toxic"].to_numpy()
     auc = np.mean((s[y == 1][:, None] > s[y == 0]) + 0.5 * (s[y == 1][:, None] == s[y == 0]))
-    assert auc > 0.93 and np.mean(s[y == 1] >= 0.3) > 0.7 and np.mean(s[y == 0] >= 0.3) < 0.05  # about 320 toxic texts to learn from
+    assert auc > 0.94 and np.mean(s[y == 1] >= 0.3) > 0.8 and np.mean(s[y == 0] >= 0.3) < 0.05  # about 320 toxic texts to learn from
+
+
+def test_stems_are_typical_segments():
+    rng = random.Random(4)
+    ends = ["".join(rng.choice("aeiou") for _ in range(3)) for _ in range(40)]
+    plain = [" ".join(rng.choice(["alpha", "beta", "gamma", "delta"]) + rng.choice(ends) for _ in range(30)) for _ in range(120)]
+    toxic = [t + " vexmor" + ends[k % 40] + " end" for k, t in enumerate(plain[:60])]
+    found = toxicity.typical_segments(toxic, plain[60:])
+    assert found == sorted(found) and found[-1][1] in ("vexmor", "end ") and "vexmor" in [w for _, w in found]
+
+
+def test_toxicity_fit_in_tasks(spark):
+    rng = random.Random(5)
+    words = ["".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 7))) for _ in range(200)]
+    plain = [" ".join(rng.choice(words) for _ in range(60)) for _ in range(80)]
+    toxic = [t + " vexmor " + rng.choice(words) + " qulzact" for t in plain[:40]]
+    assert toxicity.fit(toxic, plain[40:], 0.1) == toxicity.fit(toxic, plain[40:], 0.1, spark=spark)
 
 
 # --- 5: decontamination ----------------------------------------------------------------------------------------------
