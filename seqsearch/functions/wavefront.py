@@ -16,16 +16,27 @@ from ..config import MetricParams
 INF = np.inf
 
 
-def pad(rows: Sequence, fill: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
+def pad(rows: Sequence, fill: float = 0.0, kind: type = float) -> tuple[np.ndarray, np.ndarray]:
     """Rows of different length as a matrix, and their lengths."""
     sizes = np.fromiter((len(r) for r in rows), np.int64, len(rows))
-    out = np.full((len(rows), int(sizes.max(initial=0))), fill)
+    out = np.full((len(rows), int(sizes.max(initial=0))), fill, kind)
     if out.size:
         out[np.arange(out.shape[1]) < sizes[:, None]] = np.concatenate([np.asarray(r, float) for r in rows if len(r)])
     return out, sizes
 
 
-def sweep(m: np.ndarray, n: np.ndarray, cell: Callable, edge_i: np.ndarray, edge_j: np.ndarray, stop_above: np.ndarray | None = None):
+def number_kind(a: Sequence, b: Sequence, *prices: float) -> type:
+    """Single precision where it is exact: all values are multiples of 1/16 and no sum of a path reaches 2**19."""
+    if any(p * 16 != int(p * 16) for p in prices if np.isfinite(p)):
+        return float
+    longest = max((len(r) for r in a), default=0) + max((len(r) for r in b), default=0)
+    tokens = [np.asarray(r) for r in (*a, *b) if len(r)]
+    whole = all(np.issubdtype(r.dtype, np.integer) or bool((r == np.floor(r)).all()) for r in tokens)
+    most = max((float(np.abs(r).max()) for r in tokens), default=0.0)
+    return np.float32 if whole and most < 2**19 and longest * (1 + most) * (1 + sum(map(abs, prices))) * 2 < 2**19 else float
+
+
+def sweep(m: np.ndarray, n: np.ndarray, cell: Callable, edge_i: np.ndarray, edge_j: np.ndarray, stop_above: np.ndarray | None = None, kind: type = float):
     """(value in the last cell of each pair, number of cells visited).
 
     ``cell(I, J, before2, up, left)`` gets 0-based slices of both sequences and the three neighbours.  ``stop_above``: a pair
@@ -33,12 +44,12 @@ def sweep(m: np.ndarray, n: np.ndarray, cell: Callable, edge_i: np.ndarray, edge
     """
     wide, high = int(m.max(initial=0)), int(n.max(initial=0))
     count = len(m)
-    before2 = np.full((count, wide + 1), INF)
+    before2 = np.full((count, wide + 1), INF, kind)
     before = before2.copy()
     out = np.full(count, INF)
     alive, low_before, cells = np.ones(count, bool), np.full(count, -INF), 0
     for d in range(wide + high + 1):
-        now = np.full((count, wide + 1), INF)
+        now = np.full((count, wide + 1), INF, kind)
         a, b = max(1, d - high), min(wide, d - 1)
         if a <= b:
             i = slice(a, b + 1)
@@ -73,7 +84,8 @@ def _origin(count: int, size: int) -> np.ndarray:
 
 def lcss(a, b, p: MetricParams = MetricParams()) -> np.ndarray:
     """Length of the longest common subsequence, with tolerance and window."""
-    (x, m), (y, n) = pad(a, np.nan), pad(b, np.nan)
+    kind = number_kind(a, b)
+    (x, m), (y, n) = pad(a, np.nan, kind), pad(b, np.nan, kind)
     zero_i, zero_j = np.zeros((len(m), x.shape[1] + 1)), np.zeros((len(m), y.shape[1] + 1))
 
     def cell(i, j, diagonal, up, left):
@@ -83,11 +95,12 @@ def lcss(a, b, p: MetricParams = MetricParams()) -> np.ndarray:
             same &= np.abs(pos_i - pos_j) <= p.lcss_delta
         return np.where(same, diagonal + 1, np.maximum(up, left))
 
-    return sweep(m, n, cell, zero_i, zero_j)[0]
+    return sweep(m, n, cell, zero_i, zero_j, kind=kind)[0]
 
 
 def edr(a, b, p: MetricParams = MetricParams(), stop_above=None) -> np.ndarray:
-    (x, m), (y, n) = pad(a, np.nan), pad(b, np.nan)
+    kind = number_kind(a, b)
+    (x, m), (y, n) = pad(a, np.nan, kind), pad(b, np.nan, kind)
     edge_i = np.broadcast_to(np.arange(x.shape[1] + 1.0), (len(m), x.shape[1] + 1))
     edge_j = np.broadcast_to(np.arange(y.shape[1] + 1.0), (len(m), y.shape[1] + 1))
 
@@ -95,11 +108,12 @@ def edr(a, b, p: MetricParams = MetricParams(), stop_above=None) -> np.ndarray:
         differ = ~(np.abs(x[:, i] - y[:, j]) <= p.edr_eps)
         return np.minimum(diagonal + differ, np.minimum(up, left) + 1)
 
-    return sweep(m, n, cell, edge_i, edge_j, stop_above)[0]
+    return sweep(m, n, cell, edge_i, edge_j, stop_above, kind)[0]
 
 
 def erp(a, b, p: MetricParams = MetricParams(), stop_above=None) -> np.ndarray:
-    (x, m), (y, n) = pad(a), pad(b)
+    kind = number_kind(a, b, p.beta, p.gap)
+    (x, m), (y, n) = pad(a, 0.0, kind), pad(b, 0.0, kind)
     gap_x, gap_y = p.beta * np.abs(x - p.gap), p.beta * np.abs(y - p.gap)
     zero = np.zeros((len(m), 1))
     edge_i, edge_j = np.hstack([zero, np.cumsum(gap_x, 1)]), np.hstack([zero, np.cumsum(gap_y, 1)])
@@ -107,37 +121,40 @@ def erp(a, b, p: MetricParams = MetricParams(), stop_above=None) -> np.ndarray:
     def cell(i, j, diagonal, up, left):
         return np.minimum(diagonal + np.abs(x[:, i] - y[:, j]), np.minimum(up + gap_x[:, i], left + gap_y[:, j]))
 
-    return sweep(m, n, cell, edge_i, edge_j, stop_above)[0]
+    return sweep(m, n, cell, edge_i, edge_j, stop_above, kind)[0]
 
 
 def dtw(a, b, p: MetricParams = MetricParams(), stop_above=None) -> np.ndarray:
-    (x, m), (y, n) = pad(a, np.nan), pad(b, np.nan)
+    kind = number_kind(a, b)
+    (x, m), (y, n) = pad(a, np.nan, kind), pad(b, np.nan, kind)
     band = None if p.dtw_band is None else np.maximum(p.dtw_band, np.abs(m - n))
 
     def cell(i, j, diagonal, up, left):
         gap = np.abs(x[:, i] - y[:, j])
-        cost = gap if p.dtw_cost == "abs" else (gap != 0).astype(float)
+        cost = gap if p.dtw_cost == "abs" else (gap != 0).astype(kind)
         best = np.minimum(diagonal, np.minimum(up, left)) + cost
         if band is not None:
             pos_i, pos_j = np.arange(x.shape[1])[i], np.arange(y.shape[1])[j]
             best = np.where(np.abs(pos_i - pos_j)[None, :] <= band[:, None], best, INF)
         return best
 
-    return sweep(m, n, cell, _origin(len(m), x.shape[1]), _origin(len(m), y.shape[1]), stop_above)[0]
+    return sweep(m, n, cell, _origin(len(m), x.shape[1]), _origin(len(m), y.shape[1]), stop_above, kind)[0]
 
 
 def twed(a, b, ta=None, tb=None, p: MetricParams = MetricParams(), stop_above=None, count_cells: bool = False):
     """Time-warp edit distance; times default to positions 1, 2, ...  Before the first item stands a sentinel at time 0."""
-    (x, m), (y, n) = pad(a, np.nan), pad(b, np.nan)
+    longest = max((len(r) for r in (*a, *b)), default=0)
+    kind = number_kind(a, b, p.nu * max(1, 2 * longest), p.nu, p.lam) if ta is None and tb is None else float
+    (x, m), (y, n) = pad(a, np.nan, kind), pad(b, np.nan, kind)
     wide, high = x.shape[1], y.shape[1]
-    s = np.broadcast_to(np.arange(1.0, wide + 1), x.shape) if ta is None else pad(ta)[0]
-    t = np.broadcast_to(np.arange(1.0, high + 1), y.shape) if tb is None else pad(tb)[0]
-    zero, nothing = np.zeros((len(m), 1)), np.full((len(m), 1), INF)
+    s = np.broadcast_to(np.arange(1, wide + 1, dtype=kind), x.shape) if ta is None else pad(ta)[0]
+    t = np.broadcast_to(np.arange(1, high + 1, dtype=kind), y.shape) if tb is None else pad(tb)[0]
+    zero, nothing = np.zeros((len(m), 1), kind), np.full((len(m), 1), INF, kind)
     x0, y0 = np.hstack([nothing, x])[:, :wide], np.hstack([nothing, y])[:, :high]
     s0, t0 = np.hstack([zero, s])[:, :wide], np.hstack([zero, t])[:, :high]
 
     def gap(u, v):
-        differ = (u != v).astype(float)
+        differ = (u != v).astype(kind)
         if p.twed_cost == "discrete":
             return differ
         with np.errstate(invalid="ignore"):
@@ -153,7 +170,7 @@ def twed(a, b, ta=None, tb=None, p: MetricParams = MetricParams(), stop_above=No
         drop_y = left + gap(y[:, j], y0[:, j]) + p.nu * (t[:, j] - t0[:, j]) + p.lam
         return np.minimum(both, np.minimum(drop_x, drop_y))
 
-    out, cells = sweep(m, n, cell, _origin(len(m), wide), _origin(len(m), high), stop_above)
+    out, cells = sweep(m, n, cell, _origin(len(m), wide), _origin(len(m), high), stop_above, kind)
     return (out, cells) if count_cells else out
 
 

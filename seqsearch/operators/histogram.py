@@ -1,10 +1,12 @@
-"""Token histograms, their cosine by inverted postings, and the index on disk."""
+"""Token histograms and their cosine by inverted postings."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.times import let
+
 
 def word_counts(sequences: DataFrame) -> DataFrame:
     """POSTING: (seq_id, word, cnt).  A sequence is one row, so nearly all counting is done before the shuffle."""
@@ -39,22 +41,34 @@ def histogram(sequences: DataFrame, norm: str = "l2") -> DataFrame:
 
 
 def dense_histogram(sequences: DataFrame, vocabulary: int) -> DataFrame:
-    """(seq_id, hist): the l2-normalised histogram as an array of ``vocabulary`` numbers."""
-    count = F.transform(F.sequence(F.lit(0), F.lit(vocabulary - 1)), lambda k: F.size(F.filter("tokens", lambda w: w == k)).cast("double"))
-    rows = sequences.select("seq_id", count.alias("h"), F.sqrt(norm_of("tokens").cast("double")).alias("n"))
-    return rows.select("seq_id", F.transform("h", lambda x: F.when(F.col("n") > 0, x / F.col("n")).otherwise(0.0)).alias("hist"))
+    """(seq_id, hist): the l2-normalised histogram as an array of ``vocabulary`` numbers, from one sort of the tokens."""
+    rows = sequences.select("seq_id", runs("tokens").alias("runs"), F.sqrt(norm_of("tokens").cast("double")).alias("n"))
+    rows = rows.select("seq_id", F.map_from_entries("runs").alias("m"), "n")
+    value = lambda k: F.coalesce(F.try_element_at("m", k.cast("int")) / F.col("n"), F.lit(0.0))
+    return rows.select("seq_id", F.transform(F.sequence(F.lit(0), F.lit(vocabulary - 1)), value).alias("hist"))
+
+
+def runs(tokens: str) -> Column:
+    """Array of (word, count) of a sequence, by word, without a shuffle: each end of a run in the sorted tokens, less the one before."""
+    def counted(w: Column) -> Column:
+        n = F.size(w)
+        ends = F.filter(F.sequence(F.lit(1), n), lambda i: (i == n) | (F.element_at(w, i) != F.get(w, i)))
+        ends = F.when(n > 0, ends).otherwise(F.array().cast("array<int>"))
+        return let(ends, lambda e: F.transform(e, lambda i, k: F.struct(F.element_at(w, i).alias("word"), (i - F.when(k > 0, F.get(e, k - 1)).otherwise(0)).alias("cnt"))))
+
+    return let(F.array_sort(tokens), counted)
 
 
-def cosine_pairs(queries: DataFrame, base: DataFrame, exclude_self: bool = True, broadcast_rows: int = 200_000) -> DataFrame:
+def cosine_pairs(queries: DataFrame, base: DataFrame, exclude_self: bool = True, broadcast_rows: int = 200_000, postings: DataFrame | None = None) -> DataFrame:
     """(query_id, cand_id, dot, cosine) of all pairs that share a word: the join of both sides' postings on the word.
 
     Dot products and norms are integers until the last division.  The queries' postings are broadcast if their number, which is
-    counted first, is small; the sums are pre-aggregated before the shuffle by pair.
+    counted first, is small; the sums are pre-aggregated before the shuffle by pair.  ``postings`` are the base's, if stored.
     """
     q = queries.select("seq_id", "tokens", norm_of("tokens").alias("n2"))
     s = base.select("seq_id", "tokens", norm_of("tokens").alias("n2"))
     left = word_counts(q).select(F.col("seq_id").alias("query_id"), "word", F.col("cnt").alias("cq"))
-    right = word_counts(s).select(F.col("seq_id").alias("cand_id"), "word", F.col("cnt").alias("cs"))
+    right = (word_counts(s) if postings is None else postings).select(F.col("seq_id").alias("cand_id"), "word", F.col("cnt").alias("cs"))
     small = queries.select(F.sum(F.least("len", F.lit(10_000))).alias("n")).first()["n"] or 0
     joined = right.join(F.broadcast(left) if small <= broadcast_rows else left, "word")
     if exclude_self:
@@ -64,52 +78,13 @@ def cosine_pairs(queries: DataFrame, base: DataFrame, exclude_self: bool = True,
     return dots.join(nq, "query_id").join(ns, "cand_id").select("query_id", "cand_id", "dot", (F.col("dot") / F.sqrt(F.col("nq").cast("double") * F.col("ns").cast("double"))).alias("cosine"))
 
 
-def build_index(sequences: DataFrame, path: str, buckets: int = 16) -> None:
-    """Write postings (partitioned by word bucket) and norms; later batches append."""
-    counts = word_counts(sequences).withColumn("bucket", F.pmod("word", F.lit(buckets)))
-    counts.write.mode("append").partitionBy("bucket").parquet(f"{path}/postings")
-    sequences.select("seq_id", norm_of("tokens").alias("norm2")).write.mode("append").parquet(f"{path}/norms")
-
-
-def merge_index(spark, path: str, new: DataFrame, buckets: int = 16) -> int:
-    """Add the sequences that the index does not hold yet; returns how many."""
-    have = spark.read.schema("seq_id bigint, norm2 bigint").parquet(f"{path}/norms").select("seq_id")
-    fresh = new.join(have, "seq_id", "left_anti").dropDuplicates(["seq_id"])
-    n = fresh.count()
-    if n:
-        build_index(fresh, path, buckets)
-    return n
-
-
-def remove_from_index(spark, path: str, ids: DataFrame) -> None:
-    """Mark sequences as removed: readers leave them out, compaction drops them."""
-    ids.select("seq_id").write.mode("append").parquet(f"{path}/removed")
-
-
-def read_index(spark, path: str) -> tuple[DataFrame, DataFrame]:
-    """(postings, norms) without what was removed."""
-    postings, size = spark.read.parquet(f"{path}/postings"), spark.read.parquet(f"{path}/norms")
-    try:
-        gone = spark.read.parquet(f"{path}/removed").distinct()
-    except Exception as e:
-        if "PATH_NOT_FOUND" not in str(e):
-            raise
-        return postings, size
-    return postings.join(gone, "seq_id", "left_anti"), size.join(gone, "seq_id", "left_anti")
-
-
-def compact_index(spark, path: str, to: str, buckets: int = 16) -> None:
-    """Rewrite the index without removed sequences, one set of files a bucket."""
-    postings, size = read_index(spark, path)
-    postings.repartition(buckets, "bucket").write.partitionBy("bucket").parquet(f"{to}/postings")
-    size.write.parquet(f"{to}/norms")
-
-
 def cluster_histograms(sequences: DataFrame, k: int, vocabulary: int, seed: int = 7) -> DataFrame:
-    """(seq_id, cluster): k-means over the histograms."""
+    """(seq_id, cluster): k-means over the histograms, as sparse vectors of length one."""
     from pyspark.ml.clustering import KMeans
-    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.feature import CountVectorizerModel, Normalizer
 
-    rows = dense_histogram(sequences, vocabulary).select("seq_id", array_to_vector("hist").alias("features"))
+    words = sequences.select("seq_id", F.transform("tokens", lambda w: w.cast("string")).alias("words"))
+    counts = CountVectorizerModel.from_vocabulary([str(w) for w in range(vocabulary)], "words", "raw").transform(words)
+    rows = Normalizer(inputCol="raw", outputCol="features").transform(counts)
     model = KMeans(k=k, seed=seed, featuresCol="features", predictionCol="cluster").fit(rows)
     return model.transform(rows).select("seq_id", "cluster")

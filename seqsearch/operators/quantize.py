@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
@@ -88,16 +90,18 @@ def revive(codebook: DataFrame, assigned: DataFrame, patches: DataFrame, seed: i
     """CODEBOOK whose codes without a hit in the epoch are patches of the batch, drawn by a hash; count 1, sum the patch."""
     dead = codebook.join(assigned.select("code").distinct(), "code", "left_anti")
     dead = dead.select("code", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("code")).alias("k"))  # at most K rows
-    epoch = F.lit(seed).cast("string")
-    drawn = F.md5(F.concat_ws("|", epoch, F.col("clip_id").cast("string"), F.col("patch_idx").cast("string")))
-    most = codebook.count()
-    taken = patches.select(drawn.alias("h"), "clip_id", "patch_idx", "vec").orderBy("h", "clip_id", "patch_idx").limit(most)
-    taken = taken.select("vec", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("h", "clip_id", "patch_idx")).alias("k"))
+    taken = _drawn(patches, seed, codebook.count()).select("vec", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("h", "clip_id", "patch_idx")).alias("k"))  # K rows
     new = dead.join(taken, "k").select("code", "vec")
     rows = codebook.join(F.broadcast(new), "code", "left")
     return rows.select("code", F.coalesce("vec", "centroid").alias("centroid"), F.when(F.col("vec").isNotNull(), 1.0).otherwise(F.col("ema_n")).alias("ema_n"), F.coalesce("vec", "ema_m").alias("ema_m"), "epoch")
 
 
+def _drawn(patches: DataFrame, seed: int, most: int) -> DataFrame:
+    """``most`` patches drawn by a hash, in its order."""
+    h = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("clip_id").cast("string"), F.col("patch_idx").cast("string")))
+    return patches.select(h.alias("h"), "clip_id", "patch_idx", "vec").orderBy("h", "clip_id", "patch_idx").limit(most)
+
+
 def usage(assigned: DataFrame, codes: int, codebook: DataFrame | None = None, threshold: float = 0.0) -> DataFrame:
     """(usage): percent of the codes with a hit; with a codebook, of those whose moving count exceeds the threshold."""
     if codebook is not None:
@@ -158,29 +162,81 @@ def initial_codebook(patches: DataFrame, codes: int, seed: int = 7, collapsed: b
     return rows.select(F.col("code").cast("int"), F.col("vec").alias("centroid"), F.lit(1.0).alias("ema_n"), F.col("vec").alias("ema_m"), F.lit(0).alias("epoch"))
 
 
+def epoch_sums(patches: DataFrame, codebook: DataFrame, decimals: int = 9) -> DataFrame:
+    """(code, hits, error, total): one epoch in one pass.  Every partition assigns its patches by matrix products and sums them by
+    code; a partition's row for each code that it hit is all that is shuffled."""
+    return _epoch(patches, *codebook_rows(codebook), decimals)
+
+
+def _epoch(patches: DataFrame, numbers: np.ndarray, centroids: np.ndarray, decimals: int = 9) -> DataFrame:
+    def run(batches):
+        hits, error, total = np.zeros(len(numbers), np.int64), np.zeros(len(numbers)), np.zeros(centroids.shape)
+        square = (centroids * centroids).sum(1)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x = np.stack(batch.column(0).to_numpy(zero_copy_only=False)).astype(float)
+            d = np.round(np.maximum((x * x).sum(1)[:, None] - 2 * x @ centroids.T + square, 0), decimals)
+            best = d.argmin(1)
+            hits += np.bincount(best, minlength=len(numbers))
+            error += np.bincount(best, weights=d[np.arange(len(d)), best], minlength=len(numbers))
+            np.add.at(total, best, x)
+        hit = np.flatnonzero(hits)
+        yield pa.RecordBatch.from_arrays([pa.array(numbers[hit], pa.int32()), pa.array(hits[hit]), pa.array(error[hit]), pa.array(list(total[hit]), pa.list_(pa.float64()))], names=["code", "hits", "error", "total"])
+
+    parts = patches.select("vec").mapInArrow(run, "code int, hits bigint, error double, total array<double>")
+
+    def add(key: tuple, rows: pa.Table) -> pa.Table:
+        total = np.stack(rows.column("total").to_numpy(zero_copy_only=False)).sum(0)
+        return pa.table({"code": pa.array([key[0].as_py()], pa.int32()), "hits": [sum(rows.column("hits").to_pylist())], "error": [float(sum(rows.column("error").to_pylist()))], "total": pa.array([total.tolist()], pa.list_(pa.float64()))})
+
+    return parts.groupBy("code").applyInArrow(add, "code int, hits bigint, error double, total array<double>")
+
+
 def fit_codebook(patches: DataFrame, params: CodebookParams = CodebookParams(), start: DataFrame | None = None) -> tuple[DataFrame, list[dict]]:
     """(CODEBOOK, history): epochs of assignment, moving averages and revival.
 
-    Each epoch is one pass over the patches (or a hashed share of them).  What returns to the driver is the codebook, K rows of
-    a bounded length, which also cuts the lineage.
+    Each epoch is one pass over the patches (or a hashed share of them), which are kept between epochs; a second one draws
+    patches for revival only if codes are dead.  What returns to the driver is K rows of a bounded length.
     """
     spark = patches.sparkSession
-    book = start if start is not None else initial_codebook(patches, params.codes, params.seed)
-    book = spark.createDataFrame(book.collect(), CODEBOOK)
-    history = []
+    own = not patches.storageLevel.useMemory
+    if own:
+        patches = patches.persist()
+    book = sorted((start if start is not None else initial_codebook(patches, params.codes, params.seed)).collect())
+    codes = np.array([r["code"] for r in book], np.int32)
+    place = {int(c): i for i, c in enumerate(codes)}
+    centroid, n, m = (np.array([r[c] for r in book], float) for c in ("centroid", "ema_n", "ema_m"))
+    age, history = (book[0]["epoch"] if book else 0), []
     for epoch in range(params.epochs):
         batch = patches
         if params.batch_fraction < 1:
             draw = F.pmod(F.xxhash64(F.lit(params.seed), F.lit(epoch), "clip_id", "patch_idx"), F.lit(1_000_000))
             batch = patches.where(draw < int(params.batch_fraction * 1_000_000))
-        found = assign(batch, book, "arrow")
-        new = ema_step(book, code_sums(batch, found), params.alpha, params.eps)
-        if params.revive:
-            new = revive(new, found, batch, params.seed + epoch)
-        report = found.agg((F.count_distinct("code") / params.codes * 100).alias("usage"), F.avg("dist2").alias("error")).first()
-        book = spark.createDataFrame(new.collect(), CODEBOOK)
-        history.append({"epoch": epoch, "usage": report["usage"], "error": report["error"]})
-    return book, history
+        sums = _epoch(batch, codes, centroid).collect()  # K rows at most
+        hits, total = np.zeros(len(codes)), np.zeros(centroid.shape)
+        for r in sums:
+            hits[place[r["code"]]], total[place[r["code"]]] = r["hits"], r["total"]
+        n, m = params.alpha * n + (1 - params.alpha) * hits, params.alpha * m + (1 - params.alpha) * total  # as ema_step
+        centroid = m / np.maximum(n, params.eps)[:, None]
+        dead = np.flatnonzero(hits == 0)
+        if params.revive and len(dead):  # as revive
+            taken = _drawn(batch, params.seed + epoch, len(dead)).select("vec").collect()
+            dead = dead[: len(taken)]
+            if len(dead):
+                centroid[dead] = m[dead] = np.array([r["vec"] for r in taken], float)
+                n[dead] = 1.0
+        seen = float(hits.sum())
+        history.append({"epoch": epoch, "usage": len(sums) / params.codes * 100, "error": sum(r["error"] for r in sums) / seen if seen else None})
+    if own:
+        patches.unpersist()
+    rows = [(int(c), centroid[i].tolist(), float(n[i]), m[i].tolist(), age + params.epochs) for i, c in enumerate(codes)]
+    return spark.createDataFrame(rows, CODEBOOK), history
+
+
+def codebook_sweep(patches: DataFrame, base: CodebookParams = CodebookParams(), codes: tuple[int, ...] = (8, 16, 32, 64)) -> list[dict]:
+    """The last line of the history for each number of codes, with and without revival."""
+    return [{"codes": k, "revive": r, **fit_codebook(patches, replace(base, codes=k, revive=r))[1][-1]} for k in codes for r in (False, True)]
 
 
 def quantiser_report(history: list[dict]) -> dict:
@@ -200,6 +256,12 @@ def reconstruct(sequences: DataFrame, codebook: DataFrame) -> DataFrame:
     return rows.join(F.broadcast(codebook.select("code", F.col("centroid").alias("vec"))), "code").select("clip_id", "patch_idx", "vec")
 
 
+def embedding_tokens(embeddings: DataFrame, codebook: DataFrame, frames: int = 20, length: int = 2) -> DataFrame:
+    """SEQ of vectors read as latents: a clip is so many consecutive ids, a token the nearest code of a patch."""
+    lat = embeddings.select(F.floor(F.col("vec_id") / frames).alias("clip_id"), (F.col("vec_id") % frames).cast("int").alias("t"), F.transform("embedding", lambda x: x.cast("double")).alias("latent"))
+    return token_sequences(assign(patchify(lat, length), codebook, "arrow"))
+
+
 def compression(assigned: DataFrame, width: int, length: int) -> DataFrame:
     """(patches, floats_before, tokens_after, tokens_per_frame)."""
     return assigned.agg(F.count("*").alias("patches")).select("patches", (F.col("patches") * width * length).alias("floats_before"), F.col("patches").alias("tokens_after"), F.lit(1 / length).alias("tokens_per_frame"))

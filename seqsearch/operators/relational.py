@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -112,3 +114,18 @@ def stratified(df: DataFrame, by: str, k: int, key: str, seed: int = 7) -> DataF
     """k rows of each stratum, by a hash of the key: the same on every run."""
     h = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col(key).cast("string")))
     return df.withColumn("__n", F.row_number().over(Window.partitionBy(by).orderBy(h, key))).where(F.col("__n") <= k).drop("__n")
+
+
+def like_length_pairs(sequences: DataFrame, ratio: float) -> DataFrame:
+    """(a, b), a < b, of all sequences whose lengths differ by a factor of ``ratio`` at most; an empty one meets only empty ones.
+
+    Lengths fall into bands of one factor each, so that a pair is in the same band or the next: an equi-join on the band, where
+    one side is in two, with the lengths as residual.
+    """
+    band = F.floor(F.log(F.greatest(F.col("len"), F.lit(1)).cast("double")) / math.log(ratio) + 1e-9)
+    rows = sequences.select(F.col("seq_id").alias("id"), F.col("len").alias("n"), F.when(F.col("len") > 0, band).otherwise(F.lit(-9)).cast("int").alias("band"))
+    left = rows.select(F.col("id").alias("x"), F.col("n").alias("m"), "band")
+    right = rows.select(F.col("id").alias("y"), "n", F.explode(F.array("band", F.col("band") + 1)).alias("band"))
+    near = left.join(right, "band").where(F.greatest("m", "n") <= ratio * F.least("m", "n"))
+    # in neighbouring bands the longer one is on the left; in the same band each pair comes from either side
+    return near.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()

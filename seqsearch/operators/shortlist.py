@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..config import SHORTLIST_CAP
 from .histogram import cosine_pairs
+from .onepass import query_block, top_cosine
 
 
 def shortlist_size(n: int | Column, policy: str = "printed", cap: int = SHORTLIST_CAP):
@@ -24,22 +25,30 @@ def ranked(pairs: DataFrame, by: str, k: int | None = None, decimals: int = 9) -
     return out.where(F.col("rank") <= k) if k is not None else out
 
 
-def shortlist(queries: DataFrame, base: DataFrame, policy: str = "printed", cap: int = SHORTLIST_CAP, n: int | None = None, exclude_self: bool = True, fill: bool = True) -> DataFrame:
+def shortlist(queries: DataFrame, base: DataFrame, policy: str = "printed", cap: int = SHORTLIST_CAP, n: int | None = None, exclude_self: bool = True, fill: bool = True, postings: DataFrame | None = None) -> DataFrame:
     """(query_id, cand_id, cosine, rank): the L most similar of the base for each query, ties by id.
 
     ``n`` is the size of the base, from the index's metadata if known.  Where fewer than L share a word with the query, the
-    rest is filled in order of id (``fill``); only queries that need it meet candidates that they share nothing with.
+    rest is filled in order of id (``fill``).  Queries that may be broadcast meet the base in one pass that keeps L of each
+    query in a partition; others meet it by a join of postings, where only queries that need it meet candidates that they share
+    nothing with.
     """
-    n = base.count() if n is None else n
-    size = shortlist_size(n, policy, cap)
-    top = ranked(cosine_pairs(queries, base, exclude_self).select("query_id", "cand_id", "cosine"), "cosine", size)
+    if n is None and policy != "fixed":
+        n = base.count()
+    size = shortlist_size(n or 0, policy, cap)
+    if fill:
+        block = query_block(queries, size)
+        near = block and top_cosine(block, base, size, exclude_self)
+        if near is not None:
+            return ranked(near, "cosine", size).select("query_id", "cand_id", "cosine", "rank")
+    top = ranked(cosine_pairs(queries, base, exclude_self, postings=postings).select("query_id", "cand_id", "cosine"), "cosine", size)
     if not fill:
         return top
     have = top.groupBy("query_id").agg(F.count("*").alias("have"))
     short = queries.select(F.col("seq_id").alias("query_id")).join(have, "query_id", "left").where(F.coalesce("have", F.lit(0)) < size).select("query_id", F.coalesce("have", F.lit(0)).alias("have"))
     # the first ids of the base: as many as any query can lack, besides those that it has
     spare = base.select(F.col("seq_id").alias("cand_id")).orderBy("cand_id").limit(2 * size + 1)
-    lack = short.join(F.broadcast(spare), F.lit(True)).join(top.select("query_id", "cand_id"), ["query_id", "cand_id"], "left_anti")
+    lack = short.join(spare, F.lit(True)).join(top.select("query_id", "cand_id"), ["query_id", "cand_id"], "left_anti")
     if exclude_self:
         lack = lack.where("query_id <> cand_id")
     w = Window.partitionBy("query_id").orderBy("cand_id")

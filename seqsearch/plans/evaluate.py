@@ -31,6 +31,15 @@ def filter_classes(sequences: DataFrame, min_per_class: int = 2, max_per_class:
     return out
 
 
+def at_level(sequences: DataFrame, level: str, genres: int = 10) -> DataFrame:
+    """The truth at a level of the labels: choreography (the class itself) or genre (classes in ``genres`` groups, by number)."""
+    if level == "choreography":
+        return sequences
+    if level != "genre":
+        raise ValueError(level)
+    return sequences.withColumn("class_id", F.pmod(F.col("class_id").cast("bigint"), F.lit(genres)).cast("string"))
+
+
 def query_scores(ranked: DataFrame, truth: DataFrame, queries: DataFrame | None = None, k: int = 3) -> DataFrame:
     """(query_id, class_id, best_rank, score): the first rank of the same class within k, and what it counts.
 

@@ -4,14 +4,16 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..config import SHORTLIST_CAP, TOP_K, WEIGHTS, MetricParams, check_weights
-from ..functions.metrics import attach_tokens, combine, pair_metric
+from ..functions.metrics import USER_METRICS, attach_tokens, combine, pair_metric
 from ..operators.histogram import cosine_pairs
 from ..operators.periodicity import periodicity
 from ..operators.shortlist import ranked, shortlist
+from ..operators.onepass import QueryBlock, query_block, scan, top_cosine, top_vectors
 
 
 @dataclass(frozen=True)
@@ -44,7 +46,10 @@ def score_pairs(pairs: DataFrame, queries: DataFrame, base: DataFrame, plan: Ret
 
 
 def all_pairs(queries: DataFrame, base: DataFrame, exclude_self: bool = True, max_len_ratio: float | None = None) -> DataFrame:
-    """(query_id, cand_id) of a stated set of queries against the whole base: the exhaustive baseline's pairs."""
+    """(query_id, cand_id) of a stated set of queries against the whole base: the exhaustive baseline's pairs.
+
+    Only ids and lengths meet; Spark broadcasts the smaller side if its size allows, and else deals out blocks of both.
+    """
     q = queries.select(F.col("seq_id").alias("query_id"), F.col("len").alias("m"))
     s = base.select(F.col("seq_id").alias("cand_id"), F.col("len").alias("n"))
     on = F.lit(True)
@@ -52,20 +57,45 @@ def all_pairs(queries: DataFrame, base: DataFrame, exclude_self: bool = True, ma
         on = on & (F.col("query_id") != F.col("cand_id"))
     if max_len_ratio is not None:
         on = on & (F.greatest("m", "n") <= max_len_ratio * F.least("m", "n"))
-    return s.join(F.broadcast(q), on).select("query_id", "cand_id")
+    return s.join(q, on).select("query_id", "cand_id")
 
 
-def retrieve(queries: DataFrame, base: DataFrame, plan: RetrievalPlan = RetrievalPlan(), n: int | None = None, periodic_only: bool = False) -> DataFrame:
-    """RANKED: histogram shortlist, then the weighted similarities of the shortlisted."""
+def retrieve(queries: DataFrame, base: DataFrame, plan: RetrievalPlan = RetrievalPlan(), n: int | None = None, periodic_only: bool = False, postings: DataFrame | None = None) -> DataFrame:
+    """RANKED: histogram shortlist, then the weighted similarities of the shortlisted.  ``n`` and ``postings`` are the base's size
+    and postings, if an index has them."""
     if periodic_only:
-        base = base.join(periodicity(base).where("is_periodic").select("seq_id"), "seq_id", "left_semi")
-    pairs = shortlist(queries, base, plan.policy, plan.cap, n, plan.exclude_self)
+        base, n, postings = base.join(periodicity(base).where("is_periodic").select("seq_id"), "seq_id", "left_semi"), None, None
+    pairs = shortlist(queries, base, plan.policy, plan.cap, n, plan.exclude_self, postings=postings)
     return _answer(score_pairs(pairs, queries, base, plan), plan.k)
 
 
+def _scanned(queries: DataFrame, base: DataFrame, plan: RetrievalPlan, prune: bool, counters: bool = False) -> DataFrame | None:
+    """The one-pass form, if the measures are known ones and the queries may be broadcast."""
+    if any(m in USER_METRICS for m in plan.metrics):
+        return None
+    block = query_block(queries, plan.k, plan.timed)
+    if block is None:
+        return None
+    reached = _reached(block, queries, base, plan) if prune else None
+    return scan(block, base, plan.k, check_weights(plan.weights), plan.params, plan.timed, plan.exclude_self, prune, counters, reached)
+
+
+def _reached(block: QueryBlock, queries: DataFrame, base: DataFrame, plan: RetrievalPlan) -> np.ndarray | None:
+    """For each query of the block the k-th score among its nearest by histogram: every partition may prune by it from the start."""
+    near = top_cosine(block, base, 4 * plan.k, plan.exclude_self)
+    if near is None:
+        return None
+    early = _answer(score_pairs(ranked(near, "cosine", 4 * plan.k), queries, base, plan), plan.k)
+    rows = early.where(F.col("rank") == plan.k).select("query_id", "score").collect()  # a number for each query of the block
+    low = {r["query_id"]: r["score"] for r in rows}
+    return np.array([low.get(int(i), -np.inf) for i in block.ids])
+
+
 def retrieve_exhaustive(queries: DataFrame, base: DataFrame, plan: RetrievalPlan = RetrievalPlan()) -> DataFrame:
-    """The baseline: every candidate gets every similarity."""
-    return _answer(score_pairs(all_pairs(queries, base, plan.exclude_self), queries, base, plan), plan.k)
+    """The baseline: every candidate gets every similarity.  One pass over the base if the queries may be broadcast; else all
+    pairs are made."""
+    found = _scanned(queries, base, plan, prune=False) if plan.how == "arrow" else None
+    return _answer(found if found is not None else score_pairs(all_pairs(queries, base, plan.exclude_self), queries, base, plan), plan.k)
 
 
 def retrieve_histogram(queries: DataFrame, base: DataFrame, k: int = TOP_K, exclude_self: bool = True) -> DataFrame:
@@ -108,19 +138,34 @@ def bounded_pairs(queries: DataFrame, base: DataFrame, plan: RetrievalPlan) -> D
     mq = queries.select(F.col("seq_id").alias("query_id"), F.col("len").alias("m"), gap.alias("ga"))
     ms = base.select(F.col("seq_id").alias("cand_id"), F.col("len").alias("n"), gap.alias("gb"))
     pairs = all_pairs(queries, base, plan.exclude_self).join(shared, ["query_id", "cand_id"], "left").join(cosine, ["query_id", "cand_id"], "left")
-    pairs = pairs.join(F.broadcast(mq), "query_id").join(ms, "cand_id").na.fill(0, ["common"]).na.fill(0.0, ["s_hist"])
+    pairs = pairs.join(mq, "query_id").join(ms, "cand_id").na.fill(0, ["common"]).na.fill(0.0, ["s_hist"])
     return pairs.select("query_id", "cand_id", score_bound(plan.weights, plan.params).alias("bound"))
 
 
 def retrieve_bounded(queries: DataFrame, base: DataFrame, plan: RetrievalPlan = RetrievalPlan(), probe: int | None = None) -> DataFrame:
-    """The exhaustive answer, aligning fewer pairs: the most promising by bound are scored first; their k-th score is a
-    threshold, and only pairs whose bound reaches it are scored after."""
-    bounds = bounded_pairs(queries, base, plan)
+    """The exhaustive answer, aligning fewer pairs.
+
+    One pass over the base if the queries may be broadcast (see ``onepass.Scorer``).  Else the most promising pairs by bound are
+    scored first; their k-th score is a threshold, and only pairs whose bound reaches it are scored after.
+    """
+    found = _scanned(queries, base, plan, prune=True)
+    if found is not None:
+        return _answer(found, plan.k)
+    bounds = bounded_pairs(queries, base, plan).persist()
     first = ranked(bounds, "bound", probe or 4 * plan.k).select("query_id", "cand_id")
-    kth = _answer(score_pairs(first, queries, base, plan), plan.k).groupBy("query_id").agg(F.min("score").alias("low"), F.count("*").alias("n"))
+    early = score_pairs(first, queries, base, plan).select("query_id", "cand_id", "score").persist()
+    kth = _answer(early, plan.k).groupBy("query_id").agg(F.min("score").alias("low"), F.count("*").alias("n"))
     threshold = kth.select("query_id", F.when(F.col("n") >= plan.k, F.col("low")).otherwise(-1.0).alias("low"))
-    rest = bounds.join(F.broadcast(threshold), "query_id").where(F.col("bound") >= F.col("low") - 1e-9)
-    return _answer(score_pairs(rest, queries, base, plan), plan.k)
+    rest = bounds.join(threshold, "query_id").where(F.col("bound") >= F.col("low") - 1e-9).join(first, ["query_id", "cand_id"], "left_anti")
+    return _answer(early.unionByName(score_pairs(rest, queries, base, plan).select("query_id", "cand_id", "score")), plan.k)
+
+
+def pruning_counters(queries: DataFrame, base: DataFrame, plan: RetrievalPlan = RetrievalPlan()) -> DataFrame:
+    """One row: pairs, pairs of which anything was aligned, alignment cells visited, and cells of the exhaustive baseline."""
+    found = _scanned(queries, base, plan, prune=True, counters=True)
+    if found is None:
+        raise ValueError("more queries than may be broadcast")
+    return found.agg(*[F.sum(c).alias(c) for c in found.columns])
 
 
 def identify(answers: DataFrame, base: DataFrame, vote: str = "top1", min_score: float | None = None) -> DataFrame:
@@ -146,9 +191,12 @@ def retrieve_classes(scored: DataFrame, base: DataFrame, k: int = TOP_K, by: str
 
 
 def segments(base: DataFrame, window: int, hop: int) -> DataFrame:
-    """SEQ of windows: (seq_id of the whole, start, tokens, times, len); sequences shorter than a window are one segment."""
+    """SEQ of windows: (seq_id of the whole, start, tokens, times, len); sequences shorter than a window are one segment.
+
+    Windows start at 0, hop, 2 hop, ...; where the last of them ends before the sequence does, one more ends with it.
+    """
     last = F.greatest(F.lit(0), F.col("len") - window)
-    starts = F.sequence(F.lit(0), last, F.lit(hop))
+    starts = F.array_union(F.sequence(F.lit(0), last, F.lit(hop)), F.array(last))
     rows = base.select("seq_id", "class_id", "tokens", "times", F.explode(starts).alias("start"))
     cut = rows.withColumn("tokens", F.slice("tokens", F.col("start") + 1, F.lit(window))).withColumn("times", F.slice("times", F.col("start") + 1, F.lit(window)))
     return cut.withColumn("len", F.size("tokens"))
@@ -156,25 +204,49 @@ def segments(base: DataFrame, window: int, hop: int) -> DataFrame:
 
 def retrieve_segments(queries: DataFrame, base: DataFrame, window: int, hop: int, plan: RetrievalPlan = RetrievalPlan()) -> DataFrame:
     """(query_id, rank, cand_id, start, score): the best segment of each sequence, and the best sequences."""
-    parts = segments(base, window, hop).withColumn("whole", F.col("seq_id"))
-    ids = parts.select((F.col("whole") * 1_000_000 + F.col("start")).alias("seq_id"), "class_id", "tokens", "times", "len", "whole", "start")
+    key = F.struct(F.col("seq_id").alias("whole"), "start").alias("seq_id")
+    parts = segments(base, window, hop).select(key, "class_id", "tokens", "times", "len")
     q = queries.select("seq_id", "tokens", "times", "len")
-    pairs = all_pairs(q, ids, exclude_self=False).withColumn("whole", F.floor(F.col("cand_id") / 1_000_000))
+    pairs = all_pairs(q, parts, exclude_self=False)
     if plan.exclude_self:
-        pairs = pairs.where("query_id <> whole")
-    scored = score_pairs(pairs, q, ids, plan).withColumn("whole", F.floor(F.col("cand_id") / 1_000_000)).withColumn("start", (F.col("cand_id") % 1_000_000).cast("int"))
+        pairs = pairs.where(F.col("query_id") != F.col("cand_id.whole"))
+    scored = score_pairs(pairs, q, parts, plan).select("query_id", "cand_id.whole", "cand_id.start", "score")
     best = scored.groupBy("query_id", "whole").agg(F.max(F.struct(F.round("score", 9).alias("s"), (-F.col("start")).alias("m"))).alias("b"))
     flat = best.select("query_id", F.col("whole").alias("cand_id"), (-F.col("b.m")).alias("start"), F.col("b.s").alias("score"))
     return ranked(flat, "score", plan.k).select("query_id", "rank", "cand_id", "start", "score")
 
 
 def retrieve_embedding(queries: DataFrame, base: DataFrame, k: int = TOP_K, vec: str = "embedding", vec_id: str = "vec_id") -> DataFrame:
-    """The continuous baseline: cosine of vectors, a stated set of queries against all."""
+    """The continuous baseline: cosine of vectors, a stated set of queries against all; the query itself is left out.
+
+    One pass of matrix products over the base if the queries may be broadcast; else all pairs are made.  A zero vector has
+    cosine 0 with all; vectors of another length than the query's are no candidates.
+    """
+    found = top_vectors(queries.select(F.col(vec_id).alias("seq_id"), F.col(vec).alias("v")), base.select(F.col(vec_id).alias("seq_id"), F.col(vec).alias("v")), k)
+    if found is not None:
+        return _answer(found, k)
+
     def norm(c: str) -> Column:
         return F.sqrt(F.aggregate(F.transform(c, lambda x: x.cast("double") * x.cast("double")), F.lit(0.0), lambda s, x: s + x))
 
     q = queries.select(F.col(vec_id).alias("query_id"), F.col(vec).alias("x"), norm(vec).alias("nx"))
     s = base.select(F.col(vec_id).alias("cand_id"), F.col(vec).alias("y"), norm(vec).alias("ny"))
     dot = F.aggregate(F.zip_with("x", "y", lambda u, v: u.cast("double") * v.cast("double")), F.lit(0.0), lambda t, u: t + u)
-    pairs = s.join(F.broadcast(q), F.col("query_id") != F.col("cand_id"))
-    return _answer(pairs.select("query_id", "cand_id", (dot / (F.col("nx") * F.col("ny"))).alias("score")), k)
+    pairs = s.join(q, (F.col("query_id") != F.col("cand_id")) & (F.size("x") == F.size("y")))
+    score = F.when((F.col("nx") > 0) & (F.col("ny") > 0), dot / (F.col("nx") * F.col("ny"))).otherwise(0.0)
+    return _answer(pairs.select("query_id", "cand_id", score.alias("score")), k)
+
+
+def retrieve_embedding_approx(queries: DataFrame, base: DataFrame, k: int = TOP_K, distance: float = 1.2, vec: str = "embedding", vec_id: str = "vec_id", tables: int = 8, width: float = 1.0) -> DataFrame:
+    """The same by MLlib's random projections: answers within ``distance`` of unit vectors that share a bucket."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH, Normalizer
+    from pyspark.ml.functions import array_to_vector
+
+    def unit(df: DataFrame, name: str) -> DataFrame:
+        rows = df.select(F.col(vec_id).alias(name), array_to_vector(F.transform(vec, lambda x: x.cast("double"))).alias("raw"))
+        return Normalizer(inputCol="raw", outputCol="unit").transform(rows).select(name, "unit")
+
+    q, s = unit(queries, "query_id"), unit(base, "cand_id")
+    model = BucketedRandomProjectionLSH(inputCol="unit", outputCol="hashes", bucketLength=width, numHashTables=tables, seed=7).fit(s)
+    near = model.approxSimilarityJoin(q, s, distance, "d").select("datasetA.query_id", "datasetB.cand_id", (1 - F.col("d") * F.col("d") / 2).alias("score"))
+    return _answer(near.where("query_id <> cand_id"), k)

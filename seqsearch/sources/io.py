@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Sequence
@@ -45,8 +46,15 @@ def parse_props(events: DataFrame, field: str = "k") -> DataFrame:
 
 
 def work_dir(spark: SparkSession, name: str) -> str:
-    """A new folder that the driver and all executors see: under spark.checkpoint.dir; one of our own only where none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or _OWN.setdefault("dir", tempfile.mkdtemp(prefix="seqsearch-"))
+    """A new folder that the driver and all executors see, under spark.checkpoint.dir.
+
+    Where that is unset, a session of one machine (``local[n]``) gets a folder of its own, as in tests; a cluster gets an error.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors see")
+        base = _OWN.setdefault("dir", tempfile.mkdtemp(prefix="seqsearch-"))
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 

@@ -14,6 +14,10 @@ from ..functions.times import let
 from .io import read_table
 
 
+#: First words of labels that a plan may list.
+FIRST_WORDS = 5_000
+
+
 class PoseSource(Protocol):
     """An exchangeable estimator of skeletons: FRAME rows (clip_id, t, pose: joints of coordinates)."""
 
@@ -131,8 +135,8 @@ def align_poses(frames: DataFrame, root: int = 0, center: bool = True, scale: st
 
 
 def segment(frames: DataFrame, length: int) -> DataFrame:
-    """Clips of fixed length: clip_id * 1,000,000 + number, t counted anew."""
-    return frames.withColumn("clip_id", F.col("clip_id") * 1_000_000 + F.floor(F.col("t") / length)).withColumn("t", F.col("t") % length)
+    """Append ``segment``: the number of the clip of fixed length within the recording; t is counted anew in each."""
+    return frames.withColumn("segment", F.floor(F.col("t") / length)).withColumn("t", (F.col("t") % length).cast("int"))
 
 
 def segment_by_gap(df: DataFrame, key: str, time: str, order: list[str], gap: float) -> DataFrame:
@@ -156,18 +160,26 @@ def map_labels(items: DataFrame, dictionary: DataFrame, mode: str = "contains",
         key = names.withColumn("k", F.least(F.size("lw"), F.lit(words))).withColumn("key", F.concat_ws(" ", F.slice("lw", F.lit(1), F.col("k"))))
 
         lengths = sorted(r["k"] for r in key.select("k").distinct().collect())  # at most ``words`` numbers
+        # a run of words is put together only where a label may begin, if the first words of labels are few enough to list
+        firsts = [r["w"] for r in names.select(F.get("lw", 0).alias("w")).distinct().limit(FIRST_WORDS + 1).collect()]
 
         def gram(tw: Column, k: int):
             return lambda i: F.concat_ws(" ", F.slice(tw, i, k))
 
+        def places(tw: Column, last: Column) -> Column:
+            every = F.sequence(F.lit(1), last)
+            return F.filter(every, lambda i: F.get(tw, i - 1).isin(firsts)) if len(firsts) <= FIRST_WORDS else every
+
         def starts(tw: Column) -> Column:
             n = F.size(tw)
-            parts = [F.array().cast("array<string>")] + [F.when(n >= k, F.array_distinct(F.transform(F.sequence(F.lit(1), n - (k - 1)), gram(tw, k)))).otherwise(F.array().cast("array<string>")) for k in lengths]
-            return F.struct(F.concat(F.lit(" "), F.concat_ws(" ", tw), F.lit(" ")).alias("whole"), F.concat(*parts).alias("keys"))
+            parts = [F.array().cast("array<string>")] + [F.when(n >= k, F.array_distinct(F.transform(places(tw, n - (k - 1)), gram(tw, k)))).otherwise(F.array().cast("array<string>")) for k in lengths]
+            return F.concat(*parts)
 
-        texts = items.select(F.col(item_id).alias("item"), let(split(text), starts).alias("s")).select("item", "s.whole", F.explode("s.keys").alias("key"))
+        # only ids and keys meet the dictionary; the text comes to the few that met
         small = key.select("label", "key", F.size("lw").alias("size"), F.concat(F.lit(" "), F.concat_ws(" ", "lw"), F.lit(" ")).alias("wanted"))
-        found = texts.join(small, "key").where(F.contains("whole", F.col("wanted"))).select("item", "label", "size")
+        met = items.select(F.col(item_id).alias("item"), F.explode(let(split(text), starts)).alias("key")).join(small, "key").select("item", "label", "size", "wanted").distinct()
+        whole = items.select(F.col(item_id).alias("item"), F.concat(F.lit(" "), F.concat_ws(" ", split(text)), F.lit(" ")).alias("whole"))
+        found = whole.join(met, "item").where(F.contains("whole", F.col("wanted"))).select("item", "label", "size")
     else:
         texts = items.select(F.col(item_id).alias("item"), split(text).alias("tw"))
         left = texts.select("item", F.explode(F.array_distinct("tw")).alias("w"))

@@ -5,7 +5,7 @@ Each source is one shuffle by key.  Order is total: every sort has a full tie-br
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqsearch.functions.times import micros
@@ -83,7 +83,8 @@ def perturb(sequences: DataFrame, instances: int = 5, noise: int = 30, vocabular
     """Planted performances: ``instances`` noisy variants of each sequence; the sequence's id becomes the class.
 
     Kinds: substitute, delete (each with ``noise`` percent), duplicate (tempo doubled), rotate (phase shifted by half), crop
-    (the middle half), jitter (times moved by up to half a step).  All draws are hashes: the same on every run.
+    (the middle half), jitter (times moved by up to half a step).  All draws are hashes: the same on every run.  An instance's id
+    is a thousand times the sequence's and its own number, so ids must be below 2**53 and instances below 1,000.
     """
     k = F.explode(F.sequence(F.lit(first), F.lit(first + instances - 1))).alias("instance_id")
     rows = sequences.select(F.col("seq_id").alias("base"), "tokens", "times", "len", k)
@@ -116,6 +117,17 @@ def perturb(sequences: DataFrame, instances: int = 5, noise: int = 30, vocabular
     return out.withColumn("len", F.size("tokens"))
 
 
+def noisy_labels(sequences: DataFrame, percent: int) -> DataFrame:
+    """Sequences of which ``percent`` carry the class after theirs, by name, the last the first: weak labels.  Draws are hashes.
+    The classes are few by definition; Spark broadcasts their table if its size allows."""
+    names = sequences.select("class_id").distinct().withColumn("k", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("class_id")))
+    n = names.agg(F.max("k").alias("n"))
+    after = names.crossJoin(n).select((F.when(F.col("k") == 1, F.col("n")).otherwise(F.col("k") - 1)).alias("k"), F.col("class_id").alias("other"))  # a single row
+    swap = names.join(after, "k").select("class_id", "other")
+    wrong = draw(F.col("seq_id"), F.col("instance_id"), F.lit(0), "l") % 100 < percent
+    return sequences.join(swap, "class_id").withColumn("class_id", F.when(wrong, F.col("other")).otherwise(F.col("class_id"))).select(*sequences.columns)
+
+
 def planted_rhythm(sequences: DataFrame, length: int = 36, periods: tuple[int, ...] = (3, 4, 6), noises: tuple[int, ...] = (0, 10, 30), vocabulary: int = 5) -> DataFrame:
     """SEQ whose tokens repeat the first r tokens of each sequence up to ``length``, with noise; class ``r|noise``."""
     shapes = F.explode(F.array(*[F.struct(F.lit(r).alias("r"), F.lit(p).alias("p")) for r in periods for p in noises])).alias("shape")

@@ -83,8 +83,9 @@ class _AlignPath:
 
 class _Segments:
     def eval(self, tokens: list[int], window: int, hop: int):
-        n = len(tokens or ())
-        for start in range(0, max(1, n - window + 1), hop):
+        tokens = tokens or []
+        last = max(0, len(tokens) - window)
+        for start in sorted({*range(0, last + 1, hop), last}):
             yield start, tokens[start : start + window]
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from seqsearch.functions.times import micros
 
-from ..operators.histogram import merge_index
+from ..operators.index import merge_index
 from ..plans.retrieve import RetrievalPlan, retrieve
 from ..sources.tokens import event_token
 
@@ -47,19 +47,11 @@ def without_replays(events: DataFrame, delay: str = "1 hour") -> DataFrame:
 
 
 def index_batch(path: str, buckets: int = 16) -> Callable[[DataFrame, int], None]:
-    """For foreachBatch: merge closed sequences into the index.  Sequences that the index holds are skipped, so a batch that
-    is replayed changes nothing."""
+    """For foreachBatch: merge closed sequences into the index, as the batch of that number.  A batch that was committed is not
+    merged again, and one that a crash cut short is written anew, so a replay changes nothing."""
 
     def merge(batch: DataFrame, batch_id: int) -> None:
-        spark = batch.sparkSession
-        try:
-            merge_index(spark, path, batch, buckets)
-        except Exception as e:
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
-            from ..operators.histogram import build_index
-
-            build_index(batch.dropDuplicates(["seq_id"]), path, buckets)
+        merge_index(batch.sparkSession, path, batch, buckets, f"stream-{batch_id:09d}")
 
     return merge
 

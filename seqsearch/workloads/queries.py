@@ -7,14 +7,15 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from seqsearch.functions.times import micros
 
-from ..config import CodebookParams, MetricParams, ModelParams
-from ..functions.metrics import attach_tokens, pair_distance, pair_metric
+from ..config import LARGE_REFERENCES, WEIGHTS, CodebookParams, MetricParams, ModelParams, weight_presets
+from ..functions.metrics import attach_tokens, combine, pair_distance, pair_metric, register_metric
 from ..operators import histogram as H
+from ..operators import index as I
 from ..operators import periodicity as P
 from ..operators import quantize as Q
 from ..operators import relational as R
@@ -104,6 +105,21 @@ def perturb(spark, d):
     return S.perturb(users(spark, d)).select("seq_id", "class_id", joined("tokens").alias("tokens"))
 
 
+for _kind in ("delete", "duplicate", "rotate", "crop"):
+
+    def _perform(spark, d, kind=_kind):
+        return S.perturb(users(spark, d), 2, kind=kind).select("seq_id", "class_id", joined("tokens").alias("tokens"))
+
+    query(f"""WITH {O.seq().replace('seq AS (', 'base AS (')}, every AS ({O.performed(_kind)} UNION ALL {O.performed(_kind, 1)}) SELECT seq_id, class_id, array_to_string(tokens, ',') AS tokens FROM every""", f"perturb_{_kind}")(_perform)
+
+
+@query(f"""WITH {O.seq().replace('seq AS (', 'base AS (')}, j AS (SELECT seq_id, list_sort(list_transform(range(0, len), lambda i: times[i + 1] + ({O.draw('t', 'seq_id', '0')} % 101 - 50) / 100.0::DOUBLE)) AS times FROM base)
+    SELECT seq_id * 1000 AS seq_id, unnest(range(0, len(times)))::INT AS i, round(unnest(times), 4) AS t FROM j""")
+def perturb_jitter(spark, d):
+    got = S.perturb(users(spark, d), 1, kind="jitter")
+    return got.select("seq_id", F.posexplode("times").alias("i", "t")).select("seq_id", "i", F.round("t", 4).alias("t"))
+
+
 # --- stage 1 ---------------------------------------------------------------------------------------------------------
 COUNTS = f"{O.seq(8)}, {O.COSINE.split(', cosine AS')[0].split('cosine AS')[0].rstrip().rstrip(',')}"
 
@@ -192,10 +208,10 @@ def cluster_histograms(spark, d):
 def index_merge(spark, d):
     """The index built from half of the users and merged with all, twice: the second time nothing is new."""
     seq, path = users(spark, d, 8), io.work_dir(spark, "index")
-    H.build_index(seq.where("seq_id % 2 = 0"), path)
-    H.merge_index(spark, path, seq)
-    H.merge_index(spark, path, seq)
-    return H.read_index(spark, path)[0].groupBy("word").agg(F.count("*").alias("sequences"), F.sum("cnt").alias("total"))
+    I.build_index(seq.where("seq_id % 2 = 0"), path)
+    I.merge_index(spark, path, seq)
+    I.merge_index(spark, path, seq)
+    return I.read_index(spark, path)[0].groupBy("word").agg(F.count("*").alias("sequences"), F.sum("cnt").alias("total"))
 
 
 # --- stage 2: distances of pairs -----------------------------------------------------------------------------------------
@@ -207,6 +223,8 @@ for _name, _metric, _params, _timed, _sql in (
     ("erp", "erp", MetricParams(), False, O.distance("erp")),
     ("dtw", "dtw", MetricParams(), False, O.distance("dtw")),
     ("dtw_band", "dtw", MetricParams(dtw_band=5), False, O.distance("dtw", band=5)),
+    ("dtw_abs", "dtw", MetricParams(dtw_cost="abs"), False, O.distance("dtw_abs")),
+    ("twed_abs", "twed", MetricParams(twed_cost="abs"), False, O.distance("twed_abs")),
     ("twed_printed", "twed", MetricParams(), False, O.distance("twed")),
     ("twed_original", "twed", MetricParams(twed="original"), False, O.distance("twed_original")),
     ("twed_times", "twed", MetricParams(), True, O.distance("twed", timed=True)),
@@ -275,10 +293,15 @@ def retrieve_histogram(spark, d):
     return answers(T.retrieve_histogram(asked(seq), seq))
 
 
-@query()
+@query(f"""WITH RECURSIVE {RHYTHM}, {AC}, yes AS (SELECT seq_id FROM peak GROUP BY 1 HAVING count(*) FILTER (up) >= 2),
+    {O.COSINE.replace('{where}', O.BY_20 + ' AND y.seq_id IN (SELECT seq_id FROM yes)')}, near AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(cos, 9) DESC, cand_id) AS rk FROM cosine),
+    p AS (SELECT query_id, cand_id, a.tokens AS a, b.tokens AS b, a.len::INT AS m, b.len::INT AS n FROM near JOIN seq a ON a.seq_id = query_id JOIN seq b ON b.seq_id = cand_id WHERE rk <= 20), {O.wave({'v': 'lcss'})},
+    rk AS (SELECT *, v / ((m + n) / 2.0::DOUBLE) AS score, row_number() OVER (PARTITION BY query_id ORDER BY round(v / ((m + n) / 2.0::DOUBLE), 9) DESC, cand_id) AS rank FROM wave)
+    SELECT query_id, rank::BIGINT AS rank, cand_id, round(score, 6) AS score FROM rk WHERE rank <= 3""")
 def retrieve_periodic(spark, d):
+    """Only periodic sequences are candidates."""
     seq = S.planted_rhythm(users(spark, d))
-    return answers(T.retrieve(asked(seq), seq, T.RetrievalPlan(policy="capped", cap=20), periodic_only=True))
+    return answers(T.retrieve(asked(seq), seq, T.RetrievalPlan(policy="capped", cap=20, weights={"lcss": 1.0}), periodic_only=True))
 
 
 PLANTED_RANKED = f"{O.planted()}, {O.COSINE.replace('{where}', O.BY_20)}, {O.HIST_RANKED}"
@@ -296,6 +319,22 @@ def identify_majority(spark, d):
     return T.identify(T.retrieve_histogram(asked(seq), seq, 5), seq, "majority")
 
 
+@query(f"""WITH {PLANTED_RANKED}, v AS (SELECT h.query_id, s.class_id, round(sum(h.score), 9) AS total, min(h.rank) AS first, max(h.score) AS best FROM hr h JOIN seq s ON s.seq_id = h.cand_id WHERE h.rank <= 5 GROUP BY ALL),
+    o AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY total DESC, first) AS k, max(best) OVER (PARTITION BY query_id) AS top FROM v) SELECT query_id, CASE WHEN top >= 0.995 THEN class_id END AS class_id FROM o WHERE k = 1""")
+def identify_score(spark, d):
+    """By the largest sum of scores; rejected where the first answer is below 0.995."""
+    seq = S.perturb(users(spark, d))
+    return T.identify(T.retrieve_histogram(asked(seq), seq, 5), seq, "score", 0.995)
+
+
+@query(f"""WITH {PLANTED_RANKED}, c AS (SELECT h.query_id, s.class_id, avg(h.score) AS score FROM hr h JOIN seq s ON s.seq_id = h.cand_id GROUP BY ALL),
+    r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(score, 9) DESC, class_id) AS rank FROM c) SELECT query_id, rank::BIGINT AS rank, class_id, round(score, 6) AS score FROM r WHERE rank <= 3""")
+def retrieve_classes_mean(spark, d):
+    seq = S.perturb(users(spark, d))
+    got = T.retrieve_classes(H.cosine_pairs(asked(seq), seq).withColumnRenamed("cosine", "score"), seq, by="mean")
+    return got.select("query_id", F.col("rank").cast("bigint").alias("rank"), "class_id", r6("score"))
+
+
 @query(f"""WITH {PLANTED_RANKED}, c AS (SELECT h.query_id, s.class_id, max(h.score) AS score FROM hr h JOIN seq s ON s.seq_id = h.cand_id GROUP BY ALL),
     r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(score, 9) DESC, class_id) AS rank FROM c) SELECT query_id, rank::BIGINT AS rank, class_id, round(score, 6) AS score FROM r WHERE rank <= 3""")
 def retrieve_classes(spark, d):
@@ -304,7 +343,8 @@ def retrieve_classes(spark, d):
     return got.select("query_id", F.col("rank").cast("bigint").alias("rank"), "class_id", r6("score"))
 
 
-@query(f"""WITH RECURSIVE {O.seq()}, parts AS (SELECT seq_id, start, tokens[start + 1:start + 16] AS tokens FROM seq, range(0, 200000, 8) r(start) WHERE start <= greatest(0, len - 16)),
+@query(f"""WITH RECURSIVE {O.seq()}, starts AS (SELECT seq_id, start FROM seq, range(0, 200000, 8) r(start) WHERE start + 16 <= len UNION SELECT seq_id, greatest(0, len - 16) FROM seq),
+    parts AS (SELECT seq_id, start, tokens[start + 1:start + 16] AS tokens FROM seq JOIN starts USING (seq_id)),
     p AS (SELECT q.seq_id AS query_id, s.seq_id * 1000000 + s.start AS cand_id, q.tokens AS a, s.tokens AS b, q.len::INT AS m, len(s.tokens)::INT AS n FROM seq q JOIN parts s ON q.seq_id <> s.seq_id WHERE q.seq_id % 20 = 0),
     {O.wave({'v': 'lcss'})}, g AS (SELECT query_id, cand_id // 1000000 AS whole, (cand_id % 1000000)::INT AS start, v / ((m + n) / 2.0::DOUBLE) AS score FROM wave),
     b AS (SELECT query_id, whole AS cand_id, start, score FROM g QUALIFY row_number() OVER (PARTITION BY query_id, whole ORDER BY round(score, 9) DESC, start) = 1),
@@ -372,19 +412,142 @@ def eval_leave_k(spark, d):
     return shown(E.measures(E.query_scores(got, seq, queries), "histogram"))
 
 
-@query()
+TEN = "AND seq_id IN (SELECT seq_id FROM base ORDER BY seq_id::VARCHAR LIMIT 10)"
+SIX = """sims AS (SELECT wave.query_id, wave.cand_id, m, n, twed, lcss, edr, erp FROM wave UNION ALL SELECT wave.cand_id, wave.query_id, m, n, twed, lcss, edr, erp FROM wave),
+    d AS (SELECT u.seq_id AS query_id, v.seq_id AS cand_id, sum(u.c * v.c)::DOUBLE AS dot FROM gram u JOIN gram v ON u.g = v.g GROUP BY ALL),
+    scored AS (SELECT query_id, cand_id, coalesce(cosine.cos, 0) AS cos, {F03} * coalesce(cosine.cos, 0) + {F015} * exp(-twed / (m + n)) + {F015} * (lcss / ((m + n) / 2.0::DOUBLE)) + {F015} * (1 - edr / greatest(m, n)) + {F01} * exp(-erp / ((m + n) / 2.0::DOUBLE)) + {F015} * coalesce(d.dot / sqrt(x.n2 * y.n2), 0) AS score
+      FROM sims LEFT JOIN cosine USING (query_id, cand_id) LEFT JOIN d USING (query_id, cand_id) LEFT JOIN gnorm x ON x.seq_id = query_id LEFT JOIN gnorm y ON y.seq_id = cand_id)""".replace("{F03}", O.F03).replace("{F015}", O.F015).replace("{F01}", O.F01)
+HALF = "p AS (SELECT a.seq_id AS query_id, b.seq_id AS cand_id, a.tokens AS a, b.tokens AS b, a.len::INT AS m, b.len::INT AS n FROM seq a JOIN seq b ON a.seq_id < b.seq_id)"
+
+
+def one_of_ten(spark, d, instances: int = 20) -> DataFrame:
+    """Ten classes of twenty planted performances: the experiment's size.  Classes of equal size go by name."""
+    return E.filter_classes(S.perturb(users(spark, d), instances), 2, instances, 10)
+
+
+def report(methods: dict[str, DataFrame], seq: DataFrame, base: str = "exhaustive") -> DataFrame:
+    """METRICS of several methods on the same queries, and the ratio of the mean score to that of ``base``."""
+    rows = None
+    for name, got in methods.items():
+        row = E.measures(E.query_scores(got, seq, seq), name)
+        rows = row if rows is None else rows.unionByName(row)
+    whole = F.max(F.when(F.col("method") == base, F.col("mean_score"))).over(Window.partitionBy(F.lit(0)))  # a row a method
+    return rows.select("method", r6("mean_score"), r6("match_rate"), r6("rank1_rate"), "queries", F.round(F.col("mean_score") / whole, 6).alias("ratio"))
+
+
+@query(f"""WITH RECURSIVE {O.planted(20, where=TEN)}, {O.COSINE.replace('{where}', '')}, {HALF}, {O.grams(2)}, {O.wave({'twed': 'twed', 'lcss': 'lcss', 'edr': 'edr', 'erp': 'erp'})}, {SIX},
+    short AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(cos, 9) DESC, cand_id) AS near FROM scored),
+    method(name, cap) AS (VALUES ('exhaustive', 1000000), ('histogram', 3), ('two_stage_10', 10), ('two_stage_20', 20), ('two_stage_50', 50)),
+    ranks AS (SELECT name, query_id, cand_id, row_number() OVER (PARTITION BY name, query_id ORDER BY CASE WHEN name = 'histogram' THEN round(cos, 9) ELSE round(score, 9) END DESC, cand_id) AS rank FROM method JOIN short ON near <= cap),
+    hits AS (SELECT name, query_id, min(rank) AS best FROM ranks JOIN seq x ON x.seq_id = query_id JOIN seq y ON y.seq_id = cand_id WHERE rank <= 3 AND x.class_id = y.class_id GROUP BY ALL),
+    judged AS (SELECT name, seq_id, best, CASE best WHEN 1 THEN 1.0 WHEN 2 THEN 0.5 WHEN 3 THEN 0.25 ELSE 0.0 END::DOUBLE AS score FROM method CROSS JOIN seq LEFT JOIN hits USING (name) WHERE TRUE AND (hits.query_id = seq.seq_id) UNION ALL
+      SELECT name, seq_id, NULL, 0.0 FROM method CROSS JOIN seq WHERE (name, seq_id) NOT IN (SELECT name, query_id FROM hits)),
+    m AS (SELECT name AS method, avg(score) AS mean, 100 * avg(CASE WHEN best IS NOT NULL THEN 1.0 ELSE 0.0 END::DOUBLE) AS match, 100 * avg(CASE WHEN best = 1 THEN 1.0 ELSE 0.0 END::DOUBLE) AS first, count(*) AS queries FROM judged GROUP BY 1)
+    SELECT method, round(mean, 6) AS mean_score, round(match, 6) AS match_rate, round(first, 6) AS rank1_rate, queries, round(mean / (SELECT mean FROM m WHERE method = 'exhaustive'), 6) AS ratio FROM m""")
 def index_vs_brute_ratio(spark, d):
-    """Leave-one-out on two noisy instances of every user: shortlists of several sizes against exhaustive scoring."""
-    seq = S.perturb(users(spark, d), 2)
-    score = lambda got, name: E.measures(E.query_scores(got, seq, seq), name)
-    brute = score(T.retrieve_exhaustive(seq, seq), "exhaustive")
-    out = [brute, score(T.retrieve_histogram(seq, seq), "histogram")]
-    out += [score(T.retrieve(seq, seq, T.RetrievalPlan(policy="capped", cap=n)), f"two_stage_{n}") for n in (10, 20, 50)]
-    every = out[0]
-    for m in out[1:]:
-        every = every.unionByName(m)
-    base = brute.select(F.col("mean_score").alias("all"))
-    return every.crossJoin(base).select("method", r6("mean_score"), r6("match_rate"), r6("rank1_rate"), "queries", F.round(F.col("mean_score") / F.col("all"), 6).alias("ratio"))  # a single row
+    """Ten classes of twenty, leave-one-out, top three: exhaustive scoring, histograms alone, and shortlists of several sizes."""
+    seq = one_of_ten(spark, d).persist()
+    methods = {"exhaustive": T.retrieve_exhaustive(seq, seq), "histogram": T.retrieve_histogram(seq, seq)}
+    methods |= {f"two_stage_{n}": T.retrieve(seq, seq, T.RetrievalPlan(policy="capped", cap=n)) for n in (10, 20, 50)}
+    return report(methods, seq)
+
+
+@query(LOO.replace(O.planted(), O.planted(10)).replace(O.judged(), f"lev AS (SELECT 'choreography' AS level, seq_id, class_id FROM seq UNION ALL SELECT 'genre', seq_id, (class_id::INT % 10)::VARCHAR FROM seq), {O.judged()}") + """,
+    lhit AS (SELECT x.level, h.query_id, min(h.rank) AS best FROM hr h JOIN lev x ON x.seq_id = h.query_id JOIN lev y ON y.seq_id = h.cand_id AND x.level = y.level WHERE h.rank <= 3 AND x.class_id = y.class_id GROUP BY ALL),
+    lj AS (SELECT lev.level, lev.class_id, lhit.best, CASE lhit.best WHEN 1 THEN 1.0 WHEN 2 THEN 0.5 WHEN 3 THEN 0.25 ELSE 0.0 END::DOUBLE AS score FROM lev LEFT JOIN lhit ON lhit.query_id = lev.seq_id AND lhit.level = lev.level)
+    SELECT level AS method, round(avg(score), 6) AS mean_score, round(100 * avg(CASE WHEN best IS NOT NULL THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS match_rate, round(100 * avg(CASE WHEN best = 1 THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS rank1_rate, count(*) AS queries FROM lj GROUP BY 1""")
+def eval_studio(spark, d):
+    """The set of about 1,400 sequences: ten performances of every user, in ten genres; matches at the level of the choreography
+    and of the genre."""
+    seq = S.perturb(users(spark, d), 10)
+    got = T.retrieve_histogram(seq, seq)
+    rows = [E.measures(E.query_scores(got, E.at_level(seq, level), seq), level) for level in ("choreography", "genre")]
+    return shown(rows[0].unionByName(rows[1]))
+
+
+def extended_sql(noise: int) -> str:
+    label = "class_id" if not noise else f"CASE WHEN ('0x' || substr(md5(concat_ws('|', seq_id, instance_id, 0, 'l')), 1, 4))::INT % 100 < {noise} THEN other ELSE class_id END"
+    return f"""WITH {O.planted(50, where="AND seq_id IN (SELECT seq_id FROM base ORDER BY seq_id::VARCHAR LIMIT 100)").replace('seq AS (SELECT u * 1000', 'seqp AS (SELECT u * 1000')},
+    names AS (SELECT class_id, coalesce(lead(class_id) OVER (ORDER BY class_id), min(class_id) OVER ()) AS other FROM (SELECT DISTINCT class_id FROM seqp)),
+    split AS (SELECT *, row_number() OVER (PARTITION BY class_id ORDER BY md5('7|' || seq_id), seq_id) AS place FROM seqp),
+    truth AS (SELECT seq_id, CASE WHEN place <= 10 THEN {label} ELSE class_id END AS class_id FROM split JOIN names USING (class_id)),
+    cnt AS (SELECT seq_id, place <= 10 AS ref, w AS word, count(*) AS c FROM (SELECT seq_id, place, unnest(tokens) AS w FROM split) GROUP BY ALL), nrm AS (SELECT seq_id, sum(c * c)::DOUBLE AS n2 FROM cnt GROUP BY 1),
+    cosine AS (SELECT x.seq_id AS query_id, y.seq_id AS cand_id, sum(x.c * y.c) / sqrt(any_value(u.n2) * any_value(v.n2)) AS cos FROM cnt x JOIN cnt y ON x.word = y.word AND NOT x.ref AND y.ref JOIN nrm u ON u.seq_id = x.seq_id JOIN nrm v ON v.seq_id = y.seq_id GROUP BY ALL),
+    hr AS (SELECT query_id, cand_id, row_number() OVER (PARTITION BY query_id ORDER BY round(cos, 9) DESC, cand_id) AS rank FROM cosine),
+    seq AS (SELECT * FROM truth), asked AS (SELECT truth.* FROM truth JOIN split USING (seq_id) WHERE place > 10), {O.judged()} {O.MEASURES.replace('{method}', f'histogram_{noise}')}"""
+
+
+def extended(spark, d, noise: int = 0):
+    """(references, queries, truth): a hundred classes of fifty performances, ten references each, some with a wrong label."""
+    seq = E.filter_classes(S.perturb(users(spark, d), 50), 2, 50, 100)
+    refs, asked_ = E.leave_k_out(seq, LARGE_REFERENCES)
+    refs = S.noisy_labels(refs, noise) if noise else refs
+    return refs, asked_, refs.unionByName(asked_)
+
+
+for _noise in (0, 10):
+
+    def _extended(spark, d, noise=_noise):
+        refs, asked_, truth = extended(spark, d, noise)
+        return shown(E.measures(E.query_scores(T.retrieve_histogram(asked_, refs), truth, asked_), f"histogram_{noise}"))
+
+    query(extended_sql(_noise), "eval_extended" + ("_noisy" if _noise else ""))(_extended)
+
+
+@query()
+def eval_extended_two_stage(spark, d):
+    """The same by two stages with a shortlist of fifty."""
+    refs, asked_, truth = extended(spark, d)
+    refs, asked_ = refs.persist(), asked_.persist()
+    return shown(E.measures(E.query_scores(T.retrieve(asked_, refs, T.RetrievalPlan(policy="capped", cap=50)), truth, asked_), "two_stage_50"))
+
+
+TEMPO = ("substitute", "delete", "duplicate", "rotate", "crop")
+
+
+def tempo_sql(kind: str) -> str:
+    return f"""SELECT '{kind}' AS method, q.seq_id AS query_id, q.class_id, q.tokens FROM ({O.performed(kind)}) q"""
+
+
+@query(f"""WITH {O.seq().replace('seq AS (', 'base AS (')}, asked AS ({' UNION ALL '.join(map(tempo_sql, TEMPO))}),
+    a AS (SELECT method, query_id, w, count(*) AS c FROM (SELECT method, query_id, unnest(tokens) AS w FROM asked) GROUP BY ALL), an AS (SELECT method, query_id, sum(c * c)::DOUBLE AS n2 FROM a GROUP BY ALL),
+    b AS (SELECT seq_id, w, count(*) AS c FROM (SELECT seq_id, unnest(tokens) AS w FROM base) GROUP BY ALL), bn AS (SELECT seq_id, sum(c * c)::DOUBLE AS n2 FROM b GROUP BY ALL),
+    cosine AS (SELECT a.method, a.query_id, b.seq_id AS cand_id, sum(a.c * b.c) / sqrt(any_value(an.n2) * any_value(bn.n2)) AS cos FROM a JOIN b USING (w) JOIN an USING (method, query_id) JOIN bn USING (seq_id) GROUP BY ALL),
+    rk AS (SELECT *, row_number() OVER (PARTITION BY method, query_id ORDER BY round(cos, 9) DESC, cand_id) AS rank FROM cosine),
+    hit AS (SELECT method, query_id, rank AS best_rank FROM rk JOIN asked USING (method, query_id) WHERE rank <= 3 AND cand_id::VARCHAR = class_id),
+    best AS (SELECT asked.method, best_rank, CASE best_rank WHEN 1 THEN 1.0 WHEN 2 THEN 0.5 WHEN 3 THEN 0.25 ELSE 0.0 END::DOUBLE AS score FROM asked LEFT JOIN hit USING (method, query_id))
+    SELECT method, {O.MEASURES.split("AS method, ")[1]} GROUP BY method""")
+def eval_cross_tempo(spark, d):
+    """Another performer (noise), another tempo (double, or items left out), another start, a part: each kind of performance of
+    every user against the users' own sequences, by histogram."""
+    seq = users(spark, d)
+    rows = None
+    for kind in TEMPO:
+        q = S.perturb(seq, 1, kind=kind).withColumn("seq_id", F.col("seq_id") + 1_000_000_000)  # apart from the users' own ids
+        truth = q.select("seq_id", "class_id").unionByName(seq.select("seq_id", "class_id"))
+        got = T.retrieve_histogram(q, seq)
+        row = shown(E.measures(E.query_scores(got, truth, q), kind))
+        rows = row if rows is None else rows.unionByName(row)
+    return rows
+
+
+@query(f"""WITH RECURSIVE {O.seq().replace('seq AS (', 'base AS (')}, asked AS ({' UNION ALL '.join(f"SELECT {k + 1} * 1000000 + query_id AS query_id, '{kind}' AS method, class_id, tokens FROM ({tempo_sql(kind)}) WHERE class_id::INT % 20 = 0" for k, kind in enumerate(TEMPO))}),
+    p AS (SELECT q.query_id, s.seq_id AS cand_id, q.tokens AS a, s.tokens AS b, len(q.tokens)::INT AS m, s.len::INT AS n FROM asked q CROSS JOIN base s), {O.wave({'v': 'edr'})},
+    rk AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(1 - v / greatest(m, n), 9) DESC, cand_id) AS rank FROM wave),
+    hit AS (SELECT query_id, rank AS best_rank FROM rk JOIN asked USING (query_id) WHERE rank <= 3 AND cand_id::VARCHAR = class_id),
+    best AS (SELECT asked.method, best_rank, CASE best_rank WHEN 1 THEN 1.0 WHEN 2 THEN 0.5 WHEN 3 THEN 0.25 ELSE 0.0 END::DOUBLE AS score FROM asked LEFT JOIN hit USING (query_id))
+    SELECT method, {O.MEASURES.split("AS method, ")[1]} GROUP BY method""")
+def eval_cross_tempo_aligned(spark, d):
+    """The same for the users whose id is divisible by 20, by the edit distance of sequences against all users."""
+    seq = users(spark, d)
+    rows = None
+    for kind in TEMPO:
+        q = S.perturb(asked(seq), 1, kind=kind).withColumn("seq_id", F.col("seq_id") + 1_000_000_000)
+        truth = q.select("seq_id", "class_id").unionByName(seq.select("seq_id", "class_id"))
+        got = T.retrieve_exhaustive(q, seq, T.RetrievalPlan(weights={"edr": 1.0}))
+        row = shown(E.measures(E.query_scores(got, truth, q), kind))
+        rows = row if rows is None else rows.unionByName(row)
+    return rows
 
 
 @query(f"""WITH RECURSIVE {O.scored()}, top AS (SELECT query_id, cand_id FROM ranked WHERE rank <= 3),
@@ -409,7 +572,7 @@ def cost_counters(spark, d):
 FAMILIES = f"{DOC_SEQ.replace('seq AS (', 'seqx AS (')}, fam AS (SELECT doc_id AS seq_id, md5(regexp_replace(trim(lower(coalesce(text, ''))), '\\s+', ' ', 'g')) AS class_id FROM documents), seq AS (SELECT seq_id, fam.class_id, tokens FROM seqx JOIN fam USING (seq_id)), big AS (SELECT class_id FROM seq GROUP BY 1 HAVING count(*) >= 2), asked AS (SELECT * FROM seq WHERE class_id IN (FROM big))"
 
 
-@query()
+@query(f"WITH {FAMILIES}, {O.COSINE.replace('{where}', 'WHERE x.seq_id IN (SELECT seq_id FROM asked)')}, {O.HIST_RANKED}, {O.judged()} " + O.MEASURES.replace("{method}", "histogram"))
 def eval_document_families(spark, d):
     """Exact families of documents (case and blanks aside): every member is a query against all documents."""
     docs = table(spark, d, "documents")
@@ -419,16 +582,24 @@ def eval_document_families(spark, d):
     return shown(E.measures(E.query_scores(T.retrieve_histogram(members, seq), seq, members), "histogram"))
 
 
-@query()
-def eval_weight_presets(spark, d):
-    """Rank agreement of every weight preset with exhaustive default scoring: share of its top three that are the same."""
-    from ..config import WEIGHTS, weight_presets
+def presets_sql() -> str:
+    """Every preset's score from the same similarities, and the share of its top three among the default's."""
+    every = O.scored().replace("'erp': 'erp'", "'erp': 'erp'").replace(O.wave({"twed": "twed", "lcss": "lcss", "edr": "edr", "erp": "erp"}), O.wave({"twed": "twed", "lcss": "lcss", "edr": "edr", "erp": "erp", "dtw": "dtw"}))
+    every = every.replace("AS s_ngram\n", "AS s_ngram, 1 - dtw / (m + n) AS s_dtw\n")
+    parts = []
+    for name, w in weight_presets().items():
+        total = " + ".join(f"CAST({x!r} AS DOUBLE) * s_{k}" for k, x in w.items() if x)
+        parts.append(f"SELECT '{name}' AS preset, query_id, cand_id, row_number() OVER (PARTITION BY query_id ORDER BY round({total}, 9) DESC, cand_id) AS rank FROM sims")
+    return f"""WITH RECURSIVE {every}, every AS ({' UNION ALL '.join(parts)}), base AS (SELECT query_id, cand_id FROM every WHERE preset = 'default' AND rank <= 3)
+    SELECT preset, round(avg(CASE WHEN (query_id, cand_id) IN (SELECT query_id, cand_id FROM base) THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS agreement FROM every WHERE rank <= 3 GROUP BY preset"""
+
 
+@query(presets_sql())
+def eval_weight_presets(spark, d):
+    """Rank agreement of every weight preset with default scoring: share of its top three that are the same."""
     seq = users(spark, d)
     full = attach_tokens(T.all_pairs(asked(seq), seq), asked(seq), seq)
-    sims = pair_metric(full, [*WEIGHTS, "dtw"])
-    from ..functions.metrics import combine
-
+    sims = pair_metric(full, [*WEIGHTS, "dtw"]).persist()
     base = ranked(combine(sims), "score", 3).select("query_id", "cand_id", F.lit(1).alias("hit"))
     out = None
     for name, w in weight_presets().items():
@@ -438,6 +609,78 @@ def eval_weight_presets(spark, d):
     return out
 
 
+IN_WILD = f"""l AS (SELECT item_id AS label, {O.words('text')} AS lw FROM benchmark), t AS (SELECT doc_id AS item, ' ' || array_to_string({O.words('text')}, ' ') || ' ' AS whole FROM documents),
+    lab AS (SELECT item, arg_max(label, len(lw) * 1000000 - label) AS label FROM t JOIN l ON len(lw) > 0 AND contains(whole, ' ' || array_to_string(lw, ' ') || ' ') GROUP BY 1),
+    seq AS (SELECT seq_id, label::VARCHAR AS class_id, tokens FROM seqx JOIN lab ON item = seq_id), asked AS (SELECT * FROM seq)"""
+
+
+@query(f"WITH {DOC_SEQ.replace('seq AS (', 'seqx AS (')}, {IN_WILD}, {O.COSINE.replace('{where}', '')}, {O.HIST_RANKED}, {O.judged()} " + O.MEASURES.replace("{method}", "histogram"))
+def eval_in_the_wild(spark, d):
+    """Texts whose class is the canonical name that their words hold: every labelled one is a query against the others."""
+    docs = table(spark, d, "documents")
+    labels = pose.map_labels(docs, table(spark, d, "benchmark"))
+    seq = S.document_tokens(docs).drop("class_id").join(labels.select(F.col("item").alias("seq_id"), F.col("label").cast("string").alias("class_id")), "seq_id")
+    return shown(E.measures(E.query_scores(T.retrieve_histogram(seq, seq), seq, seq), "histogram"))
+
+
+PARTS = "seq AS (SELECT l_partkey AS seq_id, list(floor(l_quantity / 10)::INT ORDER BY l_shipdate, l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice) AS tokens, count(*)::INT AS len, NULL AS times FROM lineitem GROUP BY 1)"
+
+
+@query(f"""WITH RECURSIVE {PARTS}, {O.COSINE.replace('{where}', O.BY_20)}, near AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(cos, 9) DESC, cand_id) AS rk FROM cosine),
+    p AS (SELECT query_id, cand_id, a.tokens AS a, b.tokens AS b, a.len AS m, b.len AS n FROM near JOIN seq a ON a.seq_id = query_id JOIN seq b ON b.seq_id = cand_id WHERE rk <= 10), {O.wave({'v': 'edr'})},
+    rk AS (SELECT *, 1 - v / greatest(m, n) AS score, row_number() OVER (PARTITION BY query_id ORDER BY round(1 - v / greatest(m, n), 9) DESC, cand_id) AS rank FROM wave)
+    SELECT query_id, rank::BIGINT AS rank, cand_id, round(score, 6) AS score FROM rk WHERE rank <= 3""")
+def retrieve_interactive(spark, d):
+    """Thousands of short sequences in a stored index: the parts whose id is divisible by 20 are asked, ten shortlisted each."""
+    seq, path = S.lineitem_tokens(table(spark, d, "lineitem")), io.work_dir(spark, "parts")
+    I.build_index(seq, path)
+    index = I.Retriever(spark, path)
+    return answers(index.retrieve(asked(index.sequences), T.RetrievalPlan(policy="capped", cap=10, weights={"edr": 1.0})))
+
+
+@query(f"WITH RECURSIVE {O.scored(20)} {O.TOP3}")
+def retrieve_from_index(spark, d):
+    """Two-stage retrieval from a stored index that was merged in two parts."""
+    seq, path = users(spark, d), io.work_dir(spark, "stored")
+    I.build_index(seq.where("seq_id % 3 = 0"), path)
+    I.merge_index(spark, path, seq)
+    index = I.Retriever(spark, path)
+    return answers(index.retrieve(asked(index.sequences), T.RetrievalPlan(policy="capped", cap=20)))
+
+
+@query(f"""WITH e AS (SELECT user_id, date_trunc('day', ts) AS day, {O.TYPES} AS w FROM events) SELECT w AS word, count(DISTINCT (user_id, day)) AS sequences, count(*) AS total FROM e GROUP BY 1""")
+def index_daily(spark, d):
+    """The events as a stream of days: each day's sequences of users are one committed batch of the index."""
+    from ..streaming.stream import index_batch
+
+    path = io.work_dir(spark, "daily")
+    merge = index_batch(path, 1)
+    events = table(spark, d, "events").withColumn("day", F.datediff(F.to_date("ts"), F.lit("1970-01-01").cast("date"))).persist()
+    for k, row in enumerate(events.select("day").distinct().orderBy("day").collect()):  # a driver's clock: one batch a day
+        day = events.where(F.col("day") == row["day"])
+        seq = S.event_tokens(day).withColumn("seq_id", F.xxhash64("seq_id", F.lit(row["day"])))
+        merge(seq, k)
+        merge(seq, k)  # a replay changes nothing
+    return I.read_index(spark, path)[0].groupBy("word").agg(F.count("*").alias("sequences"), F.sum("cnt").alias("total"))
+
+
+@query()
+def pruning_counters(spark, d):
+    """What bounded retrieval aligns of the noisy performances of ten classes, against all cells."""
+    seq = one_of_ten(spark, d)
+    return T.pruning_counters(asked(seq), seq).select("pairs", (F.col("aligned") <= F.col("pairs")).alias("fewer"), (F.col("cells") < F.col("all_cells")).alias("pruned"), "all_cells")
+
+
+@query(f"WITH {O.seq()} SELECT q.seq_id AS query_id, s.seq_id AS cand_id, round(least(q.len, s.len) / greatest(q.len, s.len)::DOUBLE, 6) AS s_length, round(CAST(0.5 AS DOUBLE) * least(q.len, s.len) / greatest(q.len, s.len) + CAST(0.5 AS DOUBLE) * (q.tokens[1] = s.tokens[1])::INT, 6) AS score FROM seq q JOIN seq s ON q.seq_id <> s.seq_id WHERE q.seq_id % 20 = 0")
+def user_metrics(spark, d):
+    """Two similarities of one's own, weighted like the others: the ratio of lengths, and the same first item."""
+    register_metric("length", lambda a, b, ta, tb: F.least(F.size(a), F.size(b)) / F.greatest(F.size(a), F.size(b)))
+    register_metric("start", lambda a, b, ta, tb: (a[0] == b[0]).cast("double"))
+    seq = users(spark, d)
+    got = T.score_pairs(T.all_pairs(asked(seq), seq), asked(seq), seq, T.RetrievalPlan(weights={"length": 0.5, "start": 0.5}))
+    return got.select("query_id", "cand_id", r6("s_length"), r6("score"))
+
+
 # --- quantiser -------------------------------------------------------------------------------------------------------
 BOOK = CodebookParams(codes=64)
 
@@ -506,6 +749,78 @@ def commit_loss(spark, d):
     return Q.commitment_loss(Q.assign(*book_and_patches(spark, d))).select(r6("loss"))
 
 
+@query(f"WITH {O.PATCHES}, {O.EMA}, e AS (SELECT DISTINCT code, n FROM ema) SELECT count(*) FILTER (n > 0.75) / 64.0::DOUBLE * 100 AS usage FROM e")
+def usage_moving(spark, d):
+    """The share of codes whose moving count exceeds 0.75 after one epoch."""
+    patches, book = book_and_patches(spark, d)
+    found = Q.assign(patches, book, "arrow")
+    return Q.usage(found, BOOK.codes, Q.ema_step(book, Q.code_sums(patches, found)), 0.75)
+
+
+@query(f"WITH {O.PATCHES}, {O.EMA}, c AS (SELECT code, n, list(m / greatest(n, 1e-5::DOUBLE) ORDER BY i) AS v FROM ema GROUP BY code, n), h AS (SELECT code, hits FROM hit) SELECT c.code, coalesce(hits, 0)::BIGINT AS hits, round(list_sum(v), 6) AS total FROM c LEFT JOIN h USING (code)")
+def epoch_fused(spark, d):
+    """One epoch in one pass: hits and the sum of each new centroid."""
+    patches, book = book_and_patches(spark, d)
+    sums = Q.epoch_sums(patches, book)
+    new = Q.ema_step(book, sums.select("code", "hits", "total")).join(sums.select("code", "hits"), "code", "left")
+    return new.select("code", F.coalesce("hits", F.lit(0)).alias("hits"), F.round(F.aggregate("centroid", F.lit(0.0), lambda s, x: s + x), 6).alias("total"))
+
+
+@query(f"WITH {O.PATCHES} SELECT clip_id AS seq_id, string_agg(code::VARCHAR, ',' ORDER BY patch_idx) AS tokens, count(*)::INT AS len FROM asg GROUP BY 1")
+def tok_embeddings(spark, d):
+    _, book = book_and_patches(spark, d)
+    return Q.embedding_tokens(table(spark, d, "embeddings"), book).select("seq_id", joined("tokens").alias("tokens"), "len")
+
+
+@query(f"WITH {O.PATCHES} SELECT a.clip_id, a.patch_idx, round(list_sum(c), 6) AS total FROM asg a JOIN book USING (code)")
+def reconstruct_codes(spark, d):
+    """Codes back to patches: the sum of each patch's centroid."""
+    patches, book = book_and_patches(spark, d)
+    got = Q.reconstruct(Q.token_sequences(Q.assign(patches, book, "arrow")), book)
+    return got.select("clip_id", "patch_idx", F.round(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x), 6).alias("total"))
+
+
+@query(f"WITH {O.PATCHES} SELECT count(*) AS patches, count(*) * 64 * 2 AS floats_before, count(*) AS tokens_after, 0.5::DOUBLE AS tokens_per_frame FROM asg")
+def compression(spark, d):
+    return Q.compression(Q.assign(*book_and_patches(spark, d), "arrow"), 64, 2)
+
+
+@query(f"WITH {O.PATCHES} SELECT a.clip_id, a.patch_idx, round(list_sum(c), 6) AS total FROM asg a JOIN book USING (code)")
+def straight_through(spark, d):
+    """The value that passes the bottleneck is the code's."""
+    patches, book = book_and_patches(spark, d)
+    both = patches.join(Q.assign(patches, book, "arrow"), ["clip_id", "patch_idx"]).join(book.select("code", "centroid"), "code")
+    out = both.withColumn("q", Q.straight_through("vec", "centroid"))
+    return out.select("clip_id", "patch_idx", F.round(F.aggregate("q", F.lit(0.0), lambda s, x: s + x), 6).alias("total"))
+
+
+@query(f"""WITH {O.PATCHES}, c AS (SELECT count(*)::DOUBLE AS c FROM asg GROUP BY code), t AS (SELECT sum(c) AS n FROM c), h AS (SELECT -sum(c / n * ln(c / n)) AS entropy FROM c, t), l AS (SELECT avg(dist2) AS commit FROM asg)
+    SELECT round(commit, 6) AS commit, round(entropy, 6) AS entropy, round(commit + CAST(0.25 AS DOUBLE) * commit - CAST(0.01 AS DOUBLE) * entropy, 6) AS total FROM h, l""")
+def total_loss(spark, d):
+    """Commitment, codebook and entropy terms of one assignment, with a reconstruction term of zero."""
+    found = Q.assign(*book_and_patches(spark, d), "arrow")
+    commit, entropy = Q.commitment_loss(found).first()["loss"], Q.code_entropy(found).first()["entropy"]
+    total = Q.total_loss(0.0, commit, commit, entropy)
+    return spark.createDataFrame([(round(commit, 6), round(entropy, 6), round(total, 6))], "commit double, entropy double, total double")
+
+
+@query()
+def codebook_sweep(spark, d):
+    """Usage and error after four epochs for 8 to 64 codes, with and without revival."""
+    rows = Q.codebook_sweep(Q.patchify(latents(spark, d), 2), CodebookParams(epochs=4))
+    return spark.createDataFrame([(r["codes"], r["revive"], r["usage"], r["error"]) for r in rows], "codes int, revive boolean, usage double, error double")
+
+
+@query()
+def ablations(spark, d):
+    """The last epoch of a short fit without revival, without warm-up, with other decay, codes, weights and branches."""
+    from ..operators.training import ablate
+
+    base = ModelParams(epochs=2, warmup_epochs=1, learning_rate=1e-3, codebook=CodebookParams(codes=16))
+    rows = ablate(pose.EmbeddingPoses().load(spark, d), base)
+    return spark.createDataFrame([(r["variant"], float(r["rec"]), float(r["usage"])) for r in rows], "variant string, rec double, usage double")
+
+
 POSES = "pose AS (SELECT vec_id // 20 AS clip_id, (vec_id % 20)::INT AS t, j::INT AS joint, list_transform(embedding[j * 4 + 1:j * 4 + 4], lambda x: x::DOUBLE) AS p FROM embeddings, range(0, 16) r(j))"
 
 
@@ -577,6 +892,27 @@ def smooth_median(spark, d):
     return pose.smooth(table(spark, d, "events"), "user_id", ["ts", "event_id"], "value", 2, "median").select("event_id", r6("smooth"))
 
 
+@query("""WITH w AS (SELECT event_id, [lag(value, 2) OVER o, lag(value) OVER o, value, lead(value) OVER o, lead(value, 2) OVER o] AS v FROM events WINDOW o AS (PARTITION BY user_id ORDER BY ts, event_id)),
+    p AS (SELECT event_id, list_filter(list_transform(range(1, 6), lambda i: CASE WHEN v[i] IS NOT NULL THEN [v[i], pow(0.5, abs(i - 3))] END), lambda x: x IS NOT NULL) AS p FROM w)
+    SELECT event_id, round(list_sum(list_transform(p, lambda x: x[1] * x[2])) / list_sum(list_transform(p, lambda x: x[2])), 6) AS smooth FROM p""")
+def smooth_exp(spark, d):
+    return pose.smooth(table(spark, d, "events"), "user_id", ["ts", "event_id"], "value", 2, "exp").select("event_id", r6("smooth"))
+
+
+@query("""WITH e AS (SELECT user_id, epoch_us(ts) / 1000000.0::DOUBLE AS t, max(value) AS v FROM events GROUP BY ALL), s AS (SELECT user_id, min(t) AS t0, max(t) AS t1 FROM e GROUP BY 1),
+    g AS (SELECT user_id, t0, unnest(range(0, floor(round((t1 - t0) / 3600, 6))::BIGINT + 1)) AS k FROM s)
+    SELECT g.user_id, k, round(e.v, 4) AS value FROM g ASOF JOIN e ON g.user_id = e.user_id AND t0 + k * 3600 + 0.000001 >= e.t""")
+def resample_last(spark, d):
+    """The latest event value on an hourly grid."""
+    got = pose.resample(table(spark, d, "events"), "user_id", "ts", "value", 1 / 3600, "last")
+    return got.select("user_id", "k", F.round("value", 4).alias("value"))
+
+
+@query("SELECT vec_id // 20 AS clip_id, (vec_id % 20) // 8 AS segment, ((vec_id % 20) % 8)::INT AS t FROM embeddings")
+def segment_fixed(spark, d):
+    return pose.segment(pose.EmbeddingPoses().load(spark, d), 8).select("clip_id", "segment", "t")
+
+
 @query(f"WITH {POSES}, c AS (SELECT a.clip_id, a.t, a.joint, unnest(range(0, 4))::INT AS i, unnest(a.p) - unnest(r.p) AS x FROM pose a JOIN pose r ON a.clip_id = r.clip_id AND a.t = r.t AND r.joint = 0) SELECT clip_id, t, joint, i, round(x - first_value(x) OVER (PARTITION BY clip_id, joint, i ORDER BY t), 6) AS x FROM c")
 def align_pose(spark, d):
     frames = pose.align_poses(pose.EmbeddingPoses().load(spark, d), start="first")
@@ -661,6 +997,15 @@ def align_path(spark, d):
     return spark.sql("SELECT query_id, cand_id, p.step, p.i, p.j, p.op FROM best_pairs, LATERAL align_path(a, b, 'edr') p")
 
 
+@query(f"""WITH RECURSIVE {O.seq()}, {O.COSINE.replace('{where}', O.BY_20)}, {O.HIST_RANKED}, p AS (SELECT query_id, cand_id, a.tokens AS a, b.tokens AS b, a.len::INT AS m, b.len::INT AS n FROM hr JOIN seq a ON a.seq_id = query_id JOIN seq b ON b.seq_id = cand_id WHERE rank = 1), {O.wave({'v': 'edr'})}
+    SELECT query_id, cand_id, v::BIGINT AS edits, m::BIGINT AS items_a, n::BIGINT AS items_b FROM wave""")
+def align_path_cost(spark, d):
+    """The paths' edits are the edit distance, and they pass every item of both sequences once."""
+    path = QUERIES["align_path"](spark, d)
+    count = lambda c: F.sum(c.cast("bigint"))
+    return path.groupBy("query_id", "cand_id").agg(count(F.col("op") != "match").alias("edits"), count(F.col("op") != "drop_b").alias("items_a"), count(F.col("op") != "drop_a").alias("items_b"))
+
+
 # --- relational operators --------------------------------------------------------------------------------------------
 @query("SELECT event_id, user_id, value FROM events WHERE event_type = 'purchase' AND value > 50")
 def scan_filter_project(spark, d):
@@ -710,10 +1055,10 @@ def agg_grouping_sets(spark, d):
     return R.breakdown(g, [F.col("r_name"), F.col("n_name")], totals(), "sets", [[F.col("r_name")], [F.col("n_name")], []])
 
 
-@query(f"WITH {O.seq()} SELECT a.seq_id AS query_id, b.seq_id AS cand_id FROM seq a JOIN seq b ON a.seq_id <> b.seq_id AND a.seq_id % 20 = 0 AND greatest(a.len, b.len) <= 1.1 * least(a.len, b.len)")
+@query(f"WITH {O.seq()} SELECT a.seq_id AS a, b.seq_id AS b FROM seq a JOIN seq b ON a.seq_id < b.seq_id AND greatest(a.len, b.len) <= 1.1 * least(a.len, b.len)")
 def join_theta_pairs(spark, d):
-    seq = users(spark, d)
-    return T.all_pairs(asked(seq), seq, max_len_ratio=1.1)
+    """All pairs of users of like length."""
+    return R.like_length_pairs(users(spark, d), 1.1)
 
 
 @query("SELECT a.event_id AS first_id, b.event_id AS next_id FROM events a JOIN events b ON a.user_id = b.user_id AND epoch_us(b.ts) - epoch_us(a.ts) BETWEEN 1000000 AND 7200000000")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 TYPES = "CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 WHEN 'view' THEN 4 END"
 F03, F015, F01 = "CAST(0.3 AS DOUBLE)", "CAST(0.15 AS DOUBLE)", "CAST(0.1 AS DOUBLE)"
 
@@ -32,14 +34,20 @@ RULES = {
 }
 
 
+def absolute(a: str, b: str) -> str:
+    """The numeric mismatch; 1 between an item and the sentinel before the first."""
+    return f"CASE WHEN {a} IS NULL AND {b} IS NULL THEN 0 WHEN {a} IS NULL OR {b} IS NULL THEN 1 ELSE abs({a} - {b}) END"
+
+
+RULES["dtw_abs"] = ("least(P, U, L) + abs(a[i] - b[j])", "NULL", "NULL")
+RULES["twed_abs"] = (f"least(P + abs(a[i] - b[j]) + {absolute('a[i-1]', 'b[j-1]')} + 0.125::DOUBLE * abs({{ti}} - {{tj}}), least(U, L) + abs(a[i] - b[j]) + 0.125::DOUBLE * abs({{ti}} - {{tj}}) + 1)", "NULL", "NULL")
+
+
 def wave(rules: dict[str, str], source: str = "p", name: str = "wave", eps: float = 0, delta: int | None = None, band: int | None = None, timed: bool = False) -> str:
     """CTEs that end in ``name``(query_id, cand_id, m, n, one column for each of ``rules``: column -> rule)."""
     first, step, last = [], [], []
     for col, rule in rules.items():
         cell, edge_i, edge_j = (t.replace("{eps}", f"{eps}").replace("{window}", "" if delta is None else f"AND abs(i - j) <= {delta}").replace("{band}", "TRUE" if band is None else f"abs(i - j) <= greatest({band}, abs(m - n))").replace("{ti}", "ta[i]" if timed else "i").replace("{tj}", "tb[j]" if timed else "j") for t in RULES[rule])
-        cell = cell.replace("P", f"q_{col}[i]").replace("U", f"w_{col}[i]", 1) if False else cell
-        import re
-
         cell = re.sub(r"\bP\b", f"q_{col}[i]", cell)
         cell = re.sub(r"\bU\b", f"w_{col}[i]", cell)
         cell = re.sub(r"\bL\b", f"w_{col}[i+1]", cell)
@@ -100,14 +108,33 @@ TOP3 = "SELECT query_id, rank::BIGINT AS rank, cand_id, round(score, 6) AS score
 HIST_RANKED = "hr AS (SELECT query_id, cand_id, cos AS score, row_number() OVER (PARTITION BY query_id ORDER BY round(cos, 9) DESC, cand_id) AS rank FROM cosine)"
 
 
-def draw(salt: str) -> str:
-    return f"('0x' || substr(md5(concat_ws('|', u, k, i, '{salt}')), 1, 4))::INT"
+#: What a kind of planted performance makes of the places i = 0 .. len - 1: CTE ``seq`` from ``base`` (seq_id, tokens, len).
+KINDS = {
+    "delete": "list_filter(list_transform(range(0, len), lambda i: CASE WHEN {d} % 100 >= 30 THEN tokens[i + 1] END), lambda w: w IS NOT NULL)",
+    "duplicate": "flatten(list_transform(tokens, lambda w: [w, w]))",
+    "rotate": "tokens[len // 2 + 1:] || tokens[:len // 2]",
+    "crop": "tokens[len // 4 + 1:3 * len // 4]",
+}
+
+
+def performed(kind: str, k: int = 0) -> str:
+    """SELECT seq_id, class_id, tokens of one instance of every user's sequence (CTE base), changed by the kind."""
+    if kind == "substitute":
+        swap = f"CASE WHEN {draw('s', 'seq_id', str(k))} % 100 < 30 THEN (tokens[i + 1] + 1 + {draw('v', 'seq_id', str(k))} % 4) % 5 ELSE tokens[i + 1] END"
+        made = f"list_transform(range(0, len), lambda i: {swap})"
+    else:
+        made = KINDS[kind].replace("{d}", draw("d", "seq_id", str(k)))
+    return f"SELECT seq_id * 1000 + {k} AS seq_id, seq_id::VARCHAR AS class_id, {made} AS tokens FROM base"
+
+
+def draw(salt: str, u: str = "u", k: str = "k") -> str:
+    return f"('0x' || substr(md5(concat_ws('|', {u}, {k}, i, '{salt}')), 1, 4))::INT"
 
 
-def planted(instances: int = 5, noise: int = 30, vocabulary: int = 5) -> str:
+def planted(instances: int = 5, noise: int = 30, vocabulary: int = 5, where: str = "") -> str:
     """CTEs up to seq(seq_id, class_id, instance_id, tokens): the noisy variants of every user's sequence."""
     return f"""{seq().replace("seq AS (", "base AS (")},
-    cells AS (SELECT seq_id AS u, k, i, tokens[i + 1] AS w FROM base, range(0, {instances}) a(k), range(0, 200000) b(i) WHERE i < len),
+    cells AS (SELECT seq_id AS u, k, i, tokens[i + 1] AS w FROM base, range(0, {instances}) a(k), range(0, 200000) b(i) WHERE i < len {where}),
     noisy AS (SELECT u, k, i, CASE WHEN {draw('s')} % 100 < {noise} THEN (w + 1 + {draw('v')} % {vocabulary - 1}) % {vocabulary} ELSE w END AS w FROM cells),
     seq AS (SELECT u * 1000 + k AS seq_id, u::VARCHAR AS class_id, k::INT AS instance_id, list(w ORDER BY i) AS tokens, count(*) AS len FROM noisy GROUP BY u, k)"""
 
