@@ -183,11 +183,16 @@ def _digest(text: str) -> Column:
     return F.md5(F.coalesce(F.col(text), F.lit("")))
 
 
+def _once(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
+    """The rows with an id, rows equal in id and text once, with the text's digest as ``__digest``.  Repeats are dropped before the
+    shuffle already, so an id that very many rows share costs one row a partition."""
+    return docs.where(F.col(doc_id).isNotNull()).withColumn("__digest", _digest(text)).dropDuplicates([doc_id, "__digest"])
+
+
 def _only(docs: DataFrame, kept: DataFrame, doc_id: str, text: str) -> DataFrame:
     """The rows of ``docs`` whose (id, text's digest) is in ``kept``, equal rows once, and all rows without an id."""
-    rows = docs.where(F.col(doc_id).isNotNull()).withColumn("__digest", _digest(text))
     names = kept.select(F.col("doc_id").alias(doc_id), F.col("digest").alias("__digest"))
-    found = rows.join(names, [doc_id, "__digest"], "left_semi").dropDuplicates([doc_id, "__digest"])
+    found = _once(docs, doc_id, text).join(names, [doc_id, "__digest"], "left_semi")
     return found.select(*docs.columns).unionByName(docs.where(F.col(doc_id).isNull()))
 
 
@@ -250,29 +255,33 @@ def keep_first_similar(
     band only; of bands whose documents these links do not all join, all pairs not yet joined follow.  Texts without words
     (null, empty) link with each other.  Rows equal in id and text are reduced to one, rows without an id all stay.
     """
-    def of(texts: list[str | None]) -> list[dict]:
-        out = []
-        for t in texts:
-            h = shingle_hashes(t, shingle, seed)
-            same = xxhash.xxh3_128_digest(h.tobytes())
-            out.append({"same": same, "hashes": h.view(np.int64).tolist(), "keys": band_keys(h, bands, rows, seed).tolist() if len(h) else []})
-        return out
-
-    made = text_function(of, "struct<same:binary,hashes:array<bigint>,keys:array<bigint>>")
-    named = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), _digest(text).alias("digest"), made(F.col(text)).alias("s"))
-    own = materialise(named.select("doc_id", "digest", "s.*"), "shingles")
+    def lists(rows: list[np.ndarray]) -> pa.Array:
+        ends = np.concatenate(([0], np.cumsum([len(r) for r in rows]))).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*rows, np.zeros(0, np.int64)]).astype(np.int64)))
+
+    def sketch(texts: list[str | None]) -> pa.Array:
+        sets = [shingle_hashes(t, shingle, seed) for t in texts]
+        same = pa.array([xxhash.xxh3_128_digest(h.tobytes()) for h in sets], pa.binary())
+        keys = lists([band_keys(h, bands, rows, seed) if len(h) else np.zeros(0, np.int64) for h in sets])
+        return pa.StructArray.from_arrays([same, keys], names=["same", "keys"])
+
+    def hashes(texts: list[str | None]) -> pa.Array:
+        return lists([shingle_hashes(t, shingle, seed).view(np.int64) for t in texts])
+
+    sketched = text_function(sketch, "struct<same:binary,keys:array<bigint>>")(F.col(text))
+    named = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), _digest(text).alias("digest"), sketched.alias("s"))
+    own = materialise(named.select("doc_id", "digest", "s.*"), "sketches")
     numbered = F.monotonically_increasing_id().alias("rep")  # fixed by writing it
-    firsts = own.groupBy("same").agg(F.min(F.struct("doc_id", "digest")).alias("first"))
-    distinct = materialise(firsts.select(numbered, "same", "first"), "shingles-distinct")
-    chosen = distinct.select("rep", "same", F.col("first.doc_id").alias("doc_id"), F.col("first.digest").alias("digest"))
-    sets = own.join(chosen, ["same", "doc_id", "digest"]).select("rep", "hashes", "keys").dropDuplicates(["rep"])
-    every = materialise(sets.select("rep", F.explode("keys").alias("key")), "band-keys")
+    firsts = own.groupBy("same").agg(F.min(F.struct("doc_id", "digest")).alias("first"), F.first("keys").alias("keys"))  # equal sets have equal keys
+    distinct = finished(firsts.select(numbered, "first", "keys"), "sketches-distinct", own)
+    every = distinct.select("rep", F.explode("keys").alias("key"))
     crowded = every.groupBy("key").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1").select("key", "hub")
     band = materialise(every.join(crowded, "key"), "bands")
     spokes = band.where("hub < rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
-    small = materialise(sets.select("rep", "hashes").join(band.select("rep").distinct(), "rep", "left_semi"), "band-sets")
-    for t in (own, every):
-        discard(t)
+    # whole sets only of the documents that share a band with another
+    wanted = distinct.join(band.select("rep").distinct(), "rep").select("rep", F.col("first.doc_id").alias(doc_id), F.col("first.digest").alias("__digest"))
+    texts = _once(docs.select(doc_id, text), doc_id, text).join(wanted, [doc_id, "__digest"])
+    small = materialise(texts.select("rep", text_function(hashes, "array<bigint>")(F.col(text)).alias("hashes")), "band-sets")
     found = materialise(similar_pairs(spokes, small, similarity), "similar-first")
     roots = connected_components(found)
     placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
