@@ -11,6 +11,7 @@ Equal fingerprints are joined into one before the search, so a large group of co
 
 from __future__ import annotations
 
+import functools
 import itertools
 import math
 
@@ -252,7 +253,8 @@ def keep_first_similar(
     similarity of their sets of word shingles is ``similarity`` or more.
 
     Candidates share a band of minima, and all are verified on whole sets.  Each is first compared with the least of its
-    band only; of bands whose documents these links do not all join, all pairs not yet joined follow.  Texts without words
+    band only, and, while that leaves more pairs than there are rows, with two more that are drawn from the band; of bands whose
+    documents these links do not all join, all pairs not yet joined follow.  Texts without words
     (null, empty) link with each other.  Rows equal in id and text are reduced to one, rows without an id all stay.
     """
     def lists(rows: list[np.ndarray]) -> pa.Array:
@@ -282,16 +284,30 @@ def keep_first_similar(
     wanted = distinct.join(band.select("rep").distinct(), "rep").select("rep", F.col("first.doc_id").alias(doc_id), F.col("first.digest").alias("__digest"))
     texts = _once(docs.select(doc_id, text), doc_id, text).join(wanted, [doc_id, "__digest"])
     small = materialise(texts.select("rep", text_function(hashes, "array<bigint>")(F.col(text)).alias("hashes")), "band-sets")
-    found = materialise(similar_pairs(spokes, small, similarity), "similar-first")
-    roots = connected_components(found)
-    placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
-    mixed = placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key")
-    open_ = materialise(placed.join(mixed, "key").select("key", "rep", "hub", "root"), "bands-open")
-    # what the least of a band was compared with is settled
+    links = [materialise(similar_pairs(spokes, small, similarity), "similar-first")]
+    size, before = band.count(), math.inf
+    for turn in itertools.count():
+        roots = connected_components(functools.reduce(DataFrame.unionAll, links))
+        placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
+        parts = placed.groupBy("key", "root").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("q"))
+        mixed = parts.where("n * n > q").select("key", ((F.col("n") * F.col("n") - F.col("q")) / 2).alias("pairs"))
+        open_ = materialise(placed.join(mixed, "key"), "bands-open")
+        left_over = open_.select("key", "pairs").distinct().agg(F.sum("pairs")).first()[0] or 0
+        discard(roots)
+        if left_over <= size or left_over > before / 2:
+            break
+        # far more pairs than rows: first each against a few drawn from its band, which joins most groups of near copies
+        before = left_over
+        drawn = [F.min_by(F.struct("rep", "root"), F.xxhash64("rep", F.lit(2 * turn + k))).alias(f"d{k}") for k in range(2)]
+        few = open_.groupBy("key").agg(*drawn).select("key", F.explode(F.array("d0", "d1")).alias("d"))
+        tried = open_.join(few, "key").where(F.col("root") != F.col("d.root")).select(F.least("rep", "d.rep").alias("a"), F.greatest("rep", "d.rep").alias("b")).distinct()
+        links.append(materialise(similar_pairs(tried, small, similarity), "similar-drawn"))
+        discard(open_)
+    # all pairs of a band that are not yet joined; what its least was compared with is settled
     left, right = (open_.select("key", "hub", F.col("rep").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
     rest = left.join(right, ["key", "hub"]).where("a < b and ra <> rb and a <> hub").select("a", "b").distinct()
-    more = materialise(similar_pairs(rest, small, similarity), "similar-rest")
-    member = connected_components(found.unionAll(more))
+    links.append(materialise(similar_pairs(rest, small, similarity), "similar-rest"))
+    member = connected_components(functools.reduce(DataFrame.unionAll, links))
     group = distinct.join(member, F.col("rep") == F.col("node"), "left").groupBy(F.coalesce("root", "rep").alias("root")).agg(F.min("first").alias("k"))
-    kept = finished(group.select("k.*"), "similar-kept", distinct, band, small, found, roots, open_, more, member)
+    kept = finished(group.select("k.*"), "similar-kept", distinct, band, small, open_, member, *links)
     return _only(docs, kept, doc_id, text)
