@@ -475,6 +475,31 @@ def test_near_duplicate_tables(odd, none):
     assert simhash.near_duplicates(none).count() == 0 and simhash.keep_first(none).count() == 0
 
 
+def test_crowded_bands(spark, monkeypatch):
+    """A large group of near copies, many of which link with few others or none: by blocks, against all pairs."""
+    rng = np.random.default_rng(23)
+    base = [f"w{k}" for k in range(120)]
+    texts = []
+    for k in range(260):
+        words = list(base)
+        for at in rng.choice(120, rng.integers(1, 8), replace=False):
+            words[at] = f"x{rng.integers(10**6)}"
+        texts.append(" ".join(words))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    root = list(range(len(texts)))
+    for a in range(len(texts)):
+        for b in range(a):
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]) and root[a] != root[b]:
+                x, y = sorted((root[a], root[b]))
+                root = [x if r == y else r for r in root]
+    want = {i for i in range(len(texts)) if root[i] == i}
+    assert 20 < len(want) < 240
+    monkeypatch.setattr(simhash, "CROWD", 20)
+    monkeypatch.setattr(simhash, "BLOCK", 64)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r["doc_id"] for r in simhash.keep_first_similar(df).collect()} == want
+
+
 def test_texts_that_share_an_id(spark):
     """Rows equal in id and text go down to one; other texts of the same id stay unless they link."""
     one, two = " ".join(f"a{k}" for k in range(60)), " ".join(f"b{k}" for k in range(60))
