@@ -246,6 +246,51 @@ def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return pairs.join(left, "a").join(right, "b").where(wanted).select("a", "b")
 
 
+#: Documents of a band whose pairs are joined as rows, and documents in a block of a more crowded band.
+CROWD, BLOCK = 200, 512
+
+
+def _crowded_links(open_: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """(a, b) of all links in crowded bands between documents that are not yet joined.
+
+    The documents outside a band's largest group meet all of the band, block by block: a task compares two blocks by counting
+    common shingles in a matrix product, and only links come out, never pairs.
+    """
+    docs = open_.select("key", "rep", "root", "main", F.ceil((F.col("n") - F.col("most")) / BLOCK).cast("int").alias("nu"), F.ceil(F.col("n") / BLOCK).cast("int").alias("nv")).join(sets, "rep")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    place = lambda n, salt: F.pmod(F.xxhash64("rep", F.lit(salt)), F.col(n)).cast("int")
+    asked = docs.where("root <> main").select("key", place("nu", 1).alias("u"), each("nv").alias("v"), F.lit(True).alias("asked"), "rep", "root", "hashes")
+    every = docs.select("key", each("nu").alias("u"), place("nv", 2).alias("v"), F.lit(False).alias("asked"), "rep", "root", "hashes")
+
+    def compare(rows: pa.Table) -> pa.Table:
+        rep, root, side = (rows.column(c).to_numpy() for c in ("rep", "root", "asked"))
+        column = rows.column("hashes").combine_chunks()
+        sizes = np.diff(column.offsets.to_numpy()).astype(np.int64)
+        token = column.flatten().to_numpy()
+        at = np.repeat(np.arange(len(rep)), sizes)
+        order = np.argsort(token, kind="stable")
+        token, at = token[order], at[order]
+        number = np.cumsum(np.concatenate(([0], token[1:] != token[:-1]))) if len(token) else token
+        x, y = np.flatnonzero(side), np.flatnonzero(~side)
+        place_x, place_y = np.full(len(rep), -1), np.full(len(rep), -1)
+        place_x[x], place_y[y] = np.arange(len(x)), np.arange(len(y))
+        common = np.zeros((len(x), len(y)), np.float32)
+        step = max(1, 4_000_000 // max(1, len(rep)))
+        last = int(number[-1]) + 1 if len(number) else 0
+        for first in range(0, last, step):  # so many shingles at a time
+            a, b = np.searchsorted(number, [first, first + step])
+            px, py, col = place_x[at[a:b]], place_y[at[a:b]], number[a:b] - first
+            mx, my = np.zeros((len(x), step), np.float32), np.zeros((len(y), step), np.float32)
+            mx[px[px >= 0], col[px >= 0]] = 1
+            my[py[py >= 0], col[py >= 0]] = 1
+            common += mx @ my.T
+        union = sizes[x][:, None] + sizes[y] - common
+        i, j = np.nonzero((common >= similarity * union - 1e-9) & (root[x][:, None] != root[y]))
+        return pa.table({"a": pa.array(np.minimum(rep[x][i], rep[y][j]), pa.int64()), "b": pa.array(np.maximum(rep[x][i], rep[y][j]), pa.int64())})
+
+    return asked.unionAll(every).groupBy("key", "u", "v").applyInArrow(compare, "a bigint, b bigint").distinct()
+
+
 def keep_first_similar(
     docs: DataFrame, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, bands: int = 30, rows: int = 5, seed: int = 42
 ) -> DataFrame:
@@ -289,8 +334,8 @@ def keep_first_similar(
     for turn in itertools.count():
         roots = connected_components(functools.reduce(DataFrame.unionAll, links))
         placed = band.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "hub", F.coalesce("root", "rep").alias("root"))
-        parts = placed.groupBy("key", "root").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("q"))
-        mixed = parts.where("n * n > q").select("key", ((F.col("n") * F.col("n") - F.col("q")) / 2).alias("pairs"))
+        parts = placed.groupBy("key", "root").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("q"), F.max("n").alias("most"), F.max_by("root", "n").alias("main"))
+        mixed = parts.where("n * n > q").select("key", "n", "most", "main", ((F.col("n") * F.col("n") - F.col("q")) / 2).alias("pairs"))
         open_ = materialise(placed.join(mixed, "key"), "bands-open")
         left_over = open_.select("key", "pairs").distinct().agg(F.sum("pairs")).first()[0] or 0
         discard(roots)
@@ -303,10 +348,11 @@ def keep_first_similar(
         tried = open_.join(few, "key").where(F.col("root") != F.col("d.root")).select(F.least("rep", "d.rep").alias("a"), F.greatest("rep", "d.rep").alias("b")).distinct()
         links.append(materialise(similar_pairs(tried, small, similarity), "similar-drawn"))
         discard(open_)
-    # all pairs of a band that are not yet joined; what its least was compared with is settled
-    left, right = (open_.select("key", "hub", F.col("rep").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
+    # what is not yet joined: small bands by pairs (what their least was compared with is settled), crowded ones block by block
+    left, right = (open_.where(F.col("n") <= CROWD).select("key", "hub", F.col("rep").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
     rest = left.join(right, ["key", "hub"]).where("a < b and ra <> rb and a <> hub").select("a", "b").distinct()
     links.append(materialise(similar_pairs(rest, small, similarity), "similar-rest"))
+    links.append(materialise(_crowded_links(open_.where(F.col("n") > CROWD), small, similarity), "similar-crowded"))
     member = connected_components(functools.reduce(DataFrame.unionAll, links))
     group = distinct.join(member, F.col("rep") == F.col("node"), "left").groupBy(F.coalesce("root", "rep").alias("root")).agg(F.min("first").alias("k"))
     kept = finished(group.select("k.*"), "similar-kept", distinct, band, small, open_, member, *links)
