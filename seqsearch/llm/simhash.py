@@ -246,8 +246,9 @@ def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return pairs.join(left, "a").join(right, "b").where(wanted).select("a", "b")
 
 
-#: Documents of a band whose pairs are joined as rows, and documents in a block of a more crowded band.
-CROWD, BLOCK = 200, 512
+#: Documents of a band whose pairs are joined as rows, and documents in a block of a more crowded band.  A band of n documents
+#: sends about n * n whole sets as pairs and 2 * n as a block, whose cost is one call for each block: so only small bands go by pairs.
+CROWD, BLOCK = 16, 512
 
 
 def _crowded_links(open_: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
