@@ -13,6 +13,7 @@ their words typical.  How typical they must be is chosen by cross-fitting.
 
 from __future__ import annotations
 
+import itertools
 import pickle
 import re
 from collections import Counter
@@ -24,10 +25,12 @@ import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import held_out, once, pieces_of, text_function
+from .common import held_out, pieces_of, text_function, worker_cache
 
 _NOT_LETTERS = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))
 _WORD = re.compile(r"[^\W\d_]+")
+#: Word places that wait until they are made distinct.
+_WAITING = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -53,12 +56,17 @@ def _compressor(content: bytes, level: int) -> zstandard.ZstdCompressor:
     return zstandard.ZstdCompressor(level=level, dict_data=zd, write_content_size=False, write_checksum=False, write_dict_id=False)
 
 
+def _compressors(model: ToxicityModel):
+    """Of the model in use only: a worker lives through many fits, each with a model for every fold."""
+    key, cache = (model.ordinary, model.toxic, model.level), worker_cache()
+    if cache.get("toxicity", ((),))[0] != key:
+        cache["toxicity"] = key, (_compressor(model.ordinary, model.level).compress, _compressor(model.toxic, model.level).compress)
+    return cache["toxicity"][1]
+
+
 def savings(text: str | None, model: ToxicityModel) -> np.ndarray:
     """For each window of the whole text: bytes that the toxic dictionary saves against the ordinary one."""
-    plain, toxic = once(
-        ("toxicity", model.ordinary, model.toxic, model.level),
-        lambda: (_compressor(model.ordinary, model.level).compress, _compressor(model.toxic, model.level).compress),
-    )
+    plain, toxic = _compressors(model)
     data = normal_bytes(text)
     if not data:
         return np.zeros(0, np.int64)
@@ -91,20 +99,27 @@ def typical_segments(toxic: list[str], ordinary: list[str], stem: int = 5, least
     four times as many distinct places per toxic text as per ordinary one.  A stem that one longer segment is as typical as
     is left out."""
 
-    def places(texts: list[str]) -> Counter:
-        pairs: set[tuple[str, str]] = set()
+    def places(texts: list[str], among: Counter | None = None) -> Counter:
+        number: dict[str, int] = {"": 0}
+        pairs, fresh, waiting = np.zeros(0, np.int64), [], 0  # (word before, word) as one number: sets of string pairs took most of a worker's memory
         for t in texts:
-            words = ["", *_WORD.findall(t.lower())]
-            pairs.update(zip(words, words[1:], strict=False))
-        by_word = Counter(w for _, w in pairs)
+            at = np.array([0, *(number.setdefault(w, len(number)) for w in _WORD.findall(t.lower()))], np.int64)
+            fresh.append(at[:-1] << 32 | at[1:])
+            waiting += len(at)
+            if waiting > _WAITING:
+                pairs, fresh, waiting = np.unique(np.concatenate([pairs, *fresh])), [], 0
+        pairs = np.unique(np.concatenate([pairs, *fresh]))
+        counts = np.bincount(pairs & 0xFFFFFFFF, minlength=len(number)).tolist()
         out: Counter = Counter()
-        for w, n in by_word.items():
-            out[w + " "] += n
-            for k in range(stem, len(w) + 1):
-                out[w[:k]] += n
+        for w, n in zip(number, counts, strict=True):
+            if n:
+                for part in (w + " ", *(w[:k] for k in range(stem, len(w) + 1))):
+                    if among is None or part in among:
+                        out[part] += n
         return out
 
-    a, b, n, m = places(toxic), places(ordinary), len(toxic), len(ordinary)
+    a, n, m = places(toxic), len(toxic), len(ordinary)
+    b = places(ordinary, a)
     found: dict[str, float] = {}
     for w, x in a.items():
         rate, plain = x / n, (b[w] + 0.5) / m
@@ -132,8 +147,8 @@ class FitOptions:
 
 def _dictionaries(toxic: list[str], ordinary: list[str], o: FitOptions) -> dict[float, ToxicityModel]:
     """For each least z a model without weights; all share the ordinary dictionary."""
-    samples = [w for t in ordinary for w in pieces_of(normal_bytes(t), 256, 256)]
-    samples = samples[:: max(1, len(samples) // o.training_windows)]
+    step = max(1, sum(-(-len(normal_bytes(t)) // 256) or 1 for t in ordinary) // o.training_windows)
+    samples = list(itertools.islice((w for t in ordinary for w in pieces_of(normal_bytes(t), 256, 256)), 0, None, step))
     try:
         plain = zstandard.train_dictionary(o.dictionary_bytes, samples).as_bytes()[-o.dictionary_bytes :]
     except zstandard.ZstdError:  # too few samples to train on

@@ -5,6 +5,7 @@ import pathlib
 import random
 import re
 import time
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -336,6 +337,20 @@ def test_stems_are_typical_segments():
     assert found == sorted(found) and found[-1][1] in ("vexmor", "end ") and "vexmor" in [w for _, w in found]
 
 
+def test_typical_segments_need_little_memory():
+    """Places are counted as numbers: 0.3 million pairs of words took 36 MB as sets of strings."""
+    rng = np.random.default_rng(3)
+    letters = np.array(list("abcdefghijklmnopqrstuvwxyz"))
+    words = ["".join(letters[rng.integers(0, 26, 6)]) for _ in range(3000)]
+    texts = [" ".join(words[k] for k in rng.integers(0, 3000, 1000)) for _ in range(300)]
+    toxic = [t + " bad vexmor" + f" {words[k]} vexmor" for k, t in enumerate(texts[:40])]
+    tracemalloc.start()
+    found = toxicity.typical_segments(toxic, texts[40:])
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert "vexmor " in {w for _, w in found} and peak < 20e6
+
+
 def test_toxicity_fit_in_tasks(spark):
     rng = random.Random(5)
     words = ["".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 7))) for _ in range(200)]
