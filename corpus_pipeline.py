@@ -22,7 +22,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of the smallest id stays of each group: five-word shingles, similarity 0.8 or more."""
+    """The document of the smallest id stays of each group: five-word shingles, similarity 0.8 or more; candidates by SimHash and
+    by bands of minima."""
     return simhash.keep_first_similar(docs)
 
 

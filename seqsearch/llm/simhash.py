@@ -224,6 +224,23 @@ def shingle_hashes(text: str | None, shingle: int = 5, seed: int = 42) -> np.nda
     return np.unique(np.fromiter((digest(b" ".join(words[i : i + shingle]), seed) for i in range(n)), np.uint64, n))
 
 
+def majority(hashes: np.ndarray) -> int:
+    """The SimHash of a set of hashes: a bit is 1 if it is set in over half of them; as a signed 64-bit number, no hashes give 0."""
+    ones = np.zeros(BITS, np.int64)
+    for at in range(0, len(hashes), _CHUNK):
+        ones += np.unpackbits(hashes[at : at + _CHUNK].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
+    return _signed(int.from_bytes(np.packbits(2 * ones > len(hashes)).tobytes(), "big"))
+
+
+def fingerprint_candidates(distinct: DataFrame, radius: int) -> DataFrame:
+    """(a, b), a < b, of ``rep``: each with the least of its fingerprint, and the least ones of fingerprints within ``radius`` bits."""
+    least = materialise(distinct.groupBy("fp").agg(F.min("rep").alias("hub")), "similar-fingerprints")
+    equal = distinct.join(least, "fp").where("hub < rep").select(F.col("hub").alias("a"), F.col("rep").alias("b"))
+    one, two = (least.select(F.col("fp").alias(c), F.col("hub").alias(f"h{c}")) for c in "ab")
+    near = linked_pairs(least.select("fp"), radius).join(one, "a").join(two, "b").select(F.least("ha", "hb").alias("a"), F.greatest("ha", "hb").alias("b"))
+    return finished(equal.unionAll(near), "similar-candidates", least)
+
+
 def band_keys(hashes: np.ndarray, bands: int, rows: int, seed: int) -> np.ndarray:
     """One key a band of ``rows`` minima each; sets of Jaccard similarity s share one with probability 1 - (1 - s**rows)**bands."""
     rng = np.random.default_rng(seed)
@@ -293,13 +310,14 @@ def _crowded_links(open_: DataFrame, sets: DataFrame, similarity: float) -> Data
 
 
 def keep_first_similar(
-    docs: DataFrame, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, bands: int = 30, rows: int = 5, seed: int = 42
+    docs: DataFrame, similarity: float = 0.8, doc_id: str = "doc_id", text: str = "text", shingle: int = 5, bands: int = 30, rows: int = 5, seed: int = 42, radius: int = 4
 ) -> DataFrame:
     """The rows of ``docs``, all columns, that name their group, as :func:`keep_first`; texts link when the Jaccard
     similarity of their sets of word shingles is ``similarity`` or more.
 
-    Candidates share a band of minima, and all are verified on whole sets.  Each is first compared with the least of its
-    band only, and, while that leaves more pairs than there are rows, with two more that are drawn from the band; of bands whose
+    Candidates have SimHash fingerprints of their shingles within ``radius`` bits, found by the generalised pigeonhole principle,
+    or share a band of minima, since pairs near ``similarity`` differ in more bits than a fingerprint can be searched by; all are
+    verified on whole sets.  Of a band each is first compared with the least only, and, while that leaves more pairs than there are rows, with two more that are drawn from the band; of bands whose
     documents these links do not all join, all pairs not yet joined follow.  Texts without words
     (null, empty) link with each other.  Rows equal in id and text are reduced to one, rows without an id all stay.
     """
@@ -311,26 +329,29 @@ def keep_first_similar(
         sets = [shingle_hashes(t, shingle, seed) for t in texts]
         same = pa.array([xxhash.xxh3_128_digest(h.tobytes()) for h in sets], pa.binary())
         keys = lists([band_keys(h, bands, rows, seed) if len(h) else np.zeros(0, np.int64) for h in sets])
-        return pa.StructArray.from_arrays([same, keys], names=["same", "keys"])
+        return pa.StructArray.from_arrays([same, pa.array([majority(h) for h in sets], pa.int64()), keys], names=["same", "fp", "keys"])
 
     def hashes(texts: list[str | None]) -> pa.Array:
         return lists([shingle_hashes(t, shingle, seed).view(np.int64) for t in texts])
 
-    sketched = text_function(sketch, "struct<same:binary,keys:array<bigint>>")(F.col(text))
+    sketched = text_function(sketch, "struct<same:binary,fp:bigint,keys:array<bigint>>")(F.col(text))
     named = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), _digest(text).alias("digest"), sketched.alias("s"))
     own = materialise(named.select("doc_id", "digest", "s.*"), "sketches")
     numbered = F.monotonically_increasing_id().alias("rep")  # fixed by writing it
-    firsts = own.groupBy("same").agg(F.min(F.struct("doc_id", "digest")).alias("first"), F.first("keys").alias("keys"))  # equal sets have equal keys
-    distinct = finished(firsts.select(numbered, "first", "keys"), "sketches-distinct", own)
+    firsts = own.groupBy("same").agg(F.min(F.struct("doc_id", "digest")).alias("first"), F.first("fp").alias("fp"), F.first("keys").alias("keys"))  # equal sets have equal keys
+    distinct = finished(firsts.select(numbered, "first", "fp", "keys"), "sketches-distinct", own)
+    close = fingerprint_candidates(distinct.select("rep", "fp"), radius)
     every = distinct.select("rep", F.explode("keys").alias("key"))
     crowded = every.groupBy("key").agg(F.min("rep").alias("hub"), F.count("*").alias("n")).where("n > 1").select("key", "hub")
     band = materialise(every.join(crowded, "key"), "bands")
     spokes = band.where("hub < rep").select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct()
-    # whole sets only of the documents that share a band with another
-    wanted = distinct.join(band.select("rep").distinct(), "rep").select("rep", F.col("first.doc_id").alias(doc_id), F.col("first.digest").alias("__digest"))
+    # whole sets only of the documents that share a band with another or are near it by fingerprint
+    met = band.select("rep").unionAll(close.select(F.explode(F.array("a", "b")).alias("rep"))).distinct()
+    wanted = distinct.join(met, "rep").select("rep", F.col("first.doc_id").alias(doc_id), F.col("first.digest").alias("__digest"))
     texts = _once(docs.select(doc_id, text), doc_id, text).join(wanted, [doc_id, "__digest"])
     small = materialise(texts.select("rep", text_function(hashes, "array<bigint>")(F.col(text)).alias("hashes")), "band-sets")
-    links = [materialise(similar_pairs(spokes, small, similarity), "similar-first")]
+    links = [materialise(similar_pairs(close.unionAll(spokes).distinct(), small, similarity), "similar-first")]
+    discard(close)
     size, before = band.count(), math.inf
     for turn in itertools.count():
         roots = connected_components(functools.reduce(DataFrame.unionAll, links))

@@ -567,6 +567,19 @@ def test_similar_documents_go(spark, odd, none):
     assert simhash.keep_first_similar(odd).columns == odd.columns and simhash.keep_first_similar(none).count() == 0
 
 
+def test_similar_documents_by_fingerprint(spark):
+    """Without any band, near copies are found by their SimHash alone; unlike texts of one fingerprint don't link."""
+    rng = np.random.default_rng(29)
+    words = [f"w{k}" for k in range(400)]
+    texts = [" ".join(words), " ".join([*words[:-1], "end"]), " ".join(["start", *words[1:]]), " ".join(f"x{k}" for k in rng.integers(0, 5000, 400))]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    bits = [simhash.majority(simhash.shingle_hashes(t)) for t in texts]
+    assert all((bits[0] ^ b).bit_count() <= 4 for b in bits[1:3])
+    assert {r["doc_id"] for r in simhash.keep_first_similar(df, bands=0).collect()} == {0, 3}
+    h = simhash.shingle_hashes(texts[3])
+    assert simhash.majority(h) & (2**64 - 1) == sum(1 << b for b in range(64) if 2 * sum((int(x) >> b) & 1 for x in h) > len(h)) and simhash.majority(h[:0]) == 0
+
+
 # --- 7: near-duplicate vectors ---------------------------------------------------------------------------------------
 def test_caps_against_all_pairs(spark):
     rng = np.random.default_rng(7)
