@@ -369,3 +369,36 @@ def test_schema_and_sql_surface(spark):
     pair = seq.alias("a").join(seq.alias("b"), F.col("a.seq_id") < F.col("b.seq_id")).select(F.col("a.tokens").alias("x"), F.col("b.tokens").alias("y"))
     assert abs(all_similarities(pair, "x", "y").first()["sims"]["edr"] - 0.5) < 1e-12
     assert [tuple(r) for r in spark.sql("SELECT * FROM segments(array(1, 2, 3, 4, 5), 2, 2)").collect()] == [(0, [1, 2]), (2, [3, 4]), (3, [4, 5])]
+
+
+def test_many_queries_in_one_pass(spark, monkeypatch):
+    """More queries than sequences may be broadcast still meet the base by their histograms in one pass."""
+    from seqsearch.operators import histogram, onepass, shortlist as short
+    from seqsearch.plans.retrieve import retrieve_histogram
+
+    rng = np.random.default_rng(5)
+    rows = [(k, rng.integers(0, 6, rng.integers(0, 30)).tolist()) for k in range(90)]
+    seq = spark.createDataFrame([(i, t, len(t)) for i, t in rows], "seq_id long, tokens array<int>, len int")
+    count = [np.bincount(t, minlength=6) for _, t in rows]
+    monkeypatch.setattr(onepass, "MOST_QUERIES", 3)
+
+    def fail(*_, **__):
+        raise AssertionError("postings were joined")
+
+    monkeypatch.setattr(short, "cosine_pairs", fail)
+    got = {(r["query_id"], r["rank"]): (r["cand_id"], round(r["score"], 9)) for r in retrieve_histogram(seq, seq, 4).collect()}
+    for q, _ in rows:
+        cos = [(-round(float(count[q] @ count[c] / np.sqrt(float(count[q] @ count[q]) * float(count[c] @ count[c]))) if count[q] @ count[c] else 0.0, 9), c) for c, _ in rows if c != q]
+        assert [got[q, k + 1] for k in range(4)] == [(c, -v) for v, c in sorted(cos)[:4]]
+    pairs = histogram.cosine_pairs(seq.where("seq_id < 20"), seq)
+    assert "Join" not in pairs._jdf.queryExecution().toString()
+    want = {(q, c, int(count[q] @ count[c])) for q in range(20) for c in range(90) if q != c and count[q] @ count[c]}
+    assert {(r["query_id"], r["cand_id"], r["dot"]) for r in pairs.collect()} == want
+
+
+def test_stream_result_is_not_on_the_driver(spark):
+    from seqsearch.workloads.queries import QUERIES
+
+    before = {t.name for t in spark.catalog.listTables()}
+    assert QUERIES["stream_hist"](spark, "/root/testdata/sf0.001").count()
+    assert {t.name for t in spark.catalog.listTables()} == before  # a memory sink leaves its table, which the driver holds
