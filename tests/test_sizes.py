@@ -5,7 +5,8 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from seqsearch.operators import nearest, shortlist
+from seqsearch.operators import nearest, onepass, shortlist
+from seqsearch.plans import retrieve
 from seqsearch.workloads.queries import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
@@ -77,3 +78,18 @@ def test_answers_need_no_shuffle(spark, monkeypatch, name):
     got = QUERIES[name](spark, SF)
     assert "windowspecdefinition(query_id" not in got._jdf.queryExecution().executedPlan().toString()
     assert rows(got.toPandas()) == wanted(name)
+
+
+@pytest.mark.parametrize("by", ["max", "mean"])
+def test_classes_are_summed_up_in_place(spark, monkeypatch, by):
+    """Classes longer than a slice, a null class, an empty sequence: as from the pairs, but no pair is sent."""
+    monkeypatch.setattr(onepass, "_CELLS", 300)
+    rng = np.random.default_rng(3)
+    base = made(spark, [(i, rng.integers(0, 5, 1 + i % 9).tolist()) for i in range(200)] + [(900, [])])
+    base = base.selectExpr("seq_id", "nullif(class_id, '6') as class_id", "instance_id", "tokens", "times", "len")
+    asked = base.where("seq_id % 20 = 0")
+    got = retrieve.retrieve_classes_histogram(asked, base, by=by)
+    assert "Aggregate" not in got._jdf.queryExecution().executedPlan().toString()
+    want = retrieve.retrieve_classes(retrieve.cosine_pairs(asked, base).withColumnRenamed("cosine", "score"), base, by=by)
+    keys = lambda df: sorted((r.query_id, r.rank, r.class_id or "", round(r.score, 9)) for r in df.collect())
+    assert keys(got) == keys(want) and len(keys(got)) == 30
