@@ -68,7 +68,7 @@ def wanted(name):
 
 
 #: Evaluations of many queries by histogram, and shortlists that grow with the base.
-DEALT_OUT = ["eval_loo", "eval_confusion", "eval_leave_k", "eval_per_class_rollup", "eval_rank_distribution", "eval_cross_tempo"]
+DEALT_OUT = ["eval_loo", "eval_confusion", "eval_leave_k", "eval_per_class_rollup", "eval_rank_distribution", "eval_cross_tempo", "shortlist_printed"]
 
 
 @pytest.mark.parametrize("name", DEALT_OUT)
