@@ -93,3 +93,29 @@ def test_classes_are_summed_up_in_place(spark, monkeypatch, by):
     want = retrieve.retrieve_classes(retrieve.cosine_pairs(asked, base).withColumnRenamed("cosine", "score"), base, by=by)
     keys = lambda df: sorted((r.query_id, r.rank, r.class_id or "", round(r.score, 9)) for r in df.collect())
     assert keys(got) == keys(want) and len(keys(got)) == 30
+
+
+#: All rows of a quadratic result.
+EVERY_PAIR = ["dtw_band"]
+
+
+@pytest.mark.parametrize("name", EVERY_PAIR)
+def test_pairs_are_not_sent(spark, name):
+    """Pairs come out of one pass over the base: no join of ids, no shuffle of what it makes, no rounding a pair of copies."""
+    plan = QUERIES[name](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan and plan.index("MapInArrow") > plan.index("BroadcastHashJoin") > plan.index("Generate")
+    assert plan[: plan.index("MapInArrow")].count("Exchange") <= plan[: plan.index("MapInArrow")].count("BroadcastExchange")
+
+
+def test_copies_are_compared_once(spark, monkeypatch):
+    """Copies of queries, of others, more than a row holds, empty sequences: every pair has its row and value."""
+    monkeypatch.setattr(onepass.copies, "__defaults__", (False, 3))
+    rng = np.random.default_rng(4)
+    kinds = [[], [1], [1, 2, 2], *(rng.integers(0, 5, 9).tolist() for _ in range(6))]
+    base = made(spark, [(i, kinds[i % 9 if i % 2 else i % 3]) for i in range(120)])
+    asked = base.where("seq_id % 20 = 0")
+    plan = retrieve.RetrievalPlan()
+    names = ["query_id", "cand_id", *(f"s_{m}" for m in plan.metrics), "score"]
+    keys = lambda df: sorted(tuple(round(v, 9) for v in r) for r in df.select(*names).collect())
+    got = keys(retrieve.score_all(asked, base, plan))
+    assert len(got) == 6 * 119 and got == keys(retrieve.score_pairs(retrieve.all_pairs(asked, base), asked, base, plan))
