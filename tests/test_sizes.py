@@ -96,7 +96,7 @@ def test_classes_are_summed_up_in_place(spark, monkeypatch, by):
 
 
 #: All rows of a quadratic result.
-EVERY_PAIR = ["dtw_band"]
+EVERY_PAIR = ["dtw_band", "ngram_cosine"]
 
 
 @pytest.mark.parametrize("name", EVERY_PAIR)
