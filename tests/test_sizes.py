@@ -96,7 +96,7 @@ def test_classes_are_summed_up_in_place(spark, monkeypatch, by):
 
 
 #: All rows of a quadratic result.
-EVERY_PAIR = ["dtw_band", "ngram_cosine"]
+EVERY_PAIR = ["dtw_band", "ngram_cosine", "combined_score"]
 
 
 @pytest.mark.parametrize("name", EVERY_PAIR)
