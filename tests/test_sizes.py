@@ -6,6 +6,7 @@ import pandas as pd
 import pytest
 
 from seqsearch.operators import nearest, onepass, shortlist
+from seqsearch.operators.shortlist import ranked
 from seqsearch.plans import retrieve
 from seqsearch.workloads.queries import ORACLES, QUERIES
 
@@ -109,7 +110,7 @@ def test_pairs_are_not_sent(spark, name):
 
 def test_copies_are_compared_once(spark, monkeypatch):
     """Copies of queries, of others, more than a row holds, empty sequences: every pair has its row and value."""
-    monkeypatch.setattr(onepass.copies, "__defaults__", (False, 3))
+    monkeypatch.setattr(onepass.copies, "__defaults__", (False, 3, False))
     rng = np.random.default_rng(4)
     kinds = [[], [1], [1, 2, 2], *(rng.integers(0, 5, 9).tolist() for _ in range(6))]
     base = made(spark, [(i, kinds[i % 9 if i % 2 else i % 3]) for i in range(120)])
@@ -119,3 +120,21 @@ def test_copies_are_compared_once(spark, monkeypatch):
     keys = lambda df: sorted(tuple(round(v, 9) for v in r) for r in df.select(*names).collect())
     got = keys(retrieve.score_all(asked, base, plan))
     assert len(got) == 6 * 119 and got == keys(retrieve.score_pairs(retrieve.all_pairs(asked, base), asked, base, plan))
+
+
+@pytest.mark.parametrize("how", ["retrieve_exhaustive", "retrieve_bounded"])
+@pytest.mark.parametrize("exclude_self", [True, False])
+def test_copies_are_scored_once(spark, monkeypatch, how, exclude_self):
+    """More copies than answers, of queries and others, in any order of ids: the answers are those of all pairs."""
+    rng = np.random.default_rng(4)
+    kinds = [[], [1], [1, 2, 2], *(rng.integers(0, 5, 9).tolist() for _ in range(6))]
+    base = made(spark, [(int(i), kinds[j % 9 if j % 2 else j % 3]) for j, i in enumerate(rng.permutation(120))])
+    asked = base.where("seq_id % 20 < 3")
+    plan = retrieve.RetrievalPlan(exclude_self=exclude_self)
+    scanned = []
+    scan = onepass.scan
+    monkeypatch.setattr(retrieve, "scan", lambda block, rows, *a: scanned.append((len(block.ids), rows.count())) or scan(block, rows, *a))
+    keys = lambda df: sorted((r.query_id, r.rank, r.cand_id, round(r.score, 9)) for r in df.collect())
+    got = keys(getattr(retrieve, how)(asked, base, plan))
+    assert max(scanned[0]) <= 9 and len(got) == 3 * 18
+    assert got == keys(ranked(retrieve.score_pairs(retrieve.all_pairs(asked, base, exclude_self), asked, base, plan), "score", 3))
