@@ -138,3 +138,15 @@ def test_copies_are_scored_once(spark, monkeypatch, how, exclude_self):
     got = keys(getattr(retrieve, how)(asked, base, plan))
     assert max(scanned[0]) <= 9 and len(got) == 3 * 18
     assert got == keys(ranked(retrieve.score_pairs(retrieve.all_pairs(asked, base, exclude_self), asked, base, plan), "score", 3))
+
+
+#: Queries whose exhaustive answers come from sequences that are scored once.
+ONCE = ["retrieve_bounded"]
+
+
+@pytest.mark.parametrize("name", ONCE)
+def test_exhaustive_answers_from_copies(spark, monkeypatch, name):
+    made_once = []
+    copies = onepass.copies
+    monkeypatch.setattr(retrieve, "copies", lambda *a, **k: made_once.append(1) or copies(*a, **k))
+    assert rows(QUERIES[name](spark, SF).toPandas()) == wanted(name) and len(made_once) >= 2
