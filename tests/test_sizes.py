@@ -141,7 +141,7 @@ def test_copies_are_scored_once(spark, monkeypatch, how, exclude_self):
 
 
 #: Queries whose exhaustive answers come from sequences that are scored once.
-ONCE = ["retrieve_bounded", "set_compare"]
+ONCE = ["retrieve_bounded", "set_compare", "shortlist_recall"]
 
 
 @pytest.mark.parametrize("name", ONCE)
