@@ -150,3 +150,18 @@ def test_exhaustive_answers_from_copies(spark, monkeypatch, name):
     copies = onepass.copies
     monkeypatch.setattr(retrieve, "copies", lambda *a, **k: made_once.append(1) or copies(*a, **k))
     assert rows(QUERIES[name](spark, SF).toPandas()) == wanted(name) and len(made_once) >= 2
+
+
+@pytest.mark.parametrize("exclude_self", [True, False])
+def test_segments_of_copies(spark, monkeypatch, exclude_self):
+    """Segments of equal sequences are scored once; the answers are those of the joins of all pairs."""
+    rng = np.random.default_rng(6)
+    kinds = [rng.integers(0, 4, int(n)).tolist() for n in (0, 3, 8, 9, 20, 20, 31)]
+    base = made(spark, [(int(i), kinds[j % 7 if j % 2 else j % 3 + 3]) for j, i in enumerate(rng.permutation(70))])
+    asked = base.where("seq_id % 20 < 3")
+    plan = retrieve.RetrievalPlan(weights={"lcss": 1.0}, exclude_self=exclude_self)
+    keys = lambda df: sorted(tuple(r) for r in df.collect())
+    got = retrieve.retrieve_segments(asked, base, 8, 3, plan)
+    assert "NestedLoop" not in got._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(retrieve, "every_pair", lambda *a: None)
+    assert keys(got) == keys(retrieve.retrieve_segments(asked, base, 8, 3, plan))
