@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -108,6 +110,14 @@ def fit(frames: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) -> Fit
     """Warm-up epochs without the bottleneck (or, ramp, with a growing share of it), then epochs with it: each step takes a
     hashed part of the clips of about ``batch`` clips, moves the weights by Adam, and the codes by moving averages and revival."""
     rows = clips(frames).persist()
+    try:
+        return fit_clips(rows, p, seed)
+    finally:
+        rows.unpersist()
+
+
+def fit_clips(rows: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) -> Fitted:
+    """The same over the rows of :func:`clips`, which are read in every step and so better kept."""
     n = rows.count()
     steps = max(1, n // p.batch)
     weights = init_weights(p, seed)
@@ -147,7 +157,6 @@ def fit(frames: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) -> Fit
             codes[dead], ema_m[dead], ema_n[dead] = new[: len(dead)], new[: len(dead)], 1.0
         seen = max(1.0, report[4])
         history.append({"epoch": epoch, "rec": report[0] / seen, "commit": report[1] / seen, "entropy": report[2] / seen, "total": report[3] / seen, "usage": 100 * float((epoch_hits > 0).mean())})
-    rows.unpersist()
     return Fitted(weights, codes if codes is not None else np.zeros((0, width)), history)
 
 
@@ -164,4 +173,9 @@ def ablate(frames: DataFrame, base: ModelParams = ModelParams(), grid: dict[str,
         "low_reconstruction": replace(base, lam=0.1),
         "sequential": replace(base, sequential=True),
     }
-    return [{"variant": k, **fit(frames, p).history[-1]} for k, p in grid.items()]
+    # a step is a job of few clips that leaves most cores idle, and the variants don't depend on each other
+    rows = clips(frames).persist()
+    with ThreadPoolExecutor(len(grid)) as pool:
+        fits = {k: pool.submit(inheritable_thread_target(rows.sparkSession)(fit_clips), rows, p) for k, p in grid.items()}
+    rows.unpersist()
+    return [{"variant": k, **f.result().history[-1]} for k, f in fits.items()]

@@ -1,13 +1,18 @@
 """The forms of the queries that larger tables need: against plain forms on small ones."""
 
+import threading
+from dataclasses import replace
+
 import duckdb
 import numpy as np
 import pandas as pd
 import pytest
 
-from seqsearch.operators import nearest, onepass, shortlist
+from seqsearch.config import CodebookParams, ModelParams
+from seqsearch.operators import nearest, onepass, shortlist, training
 from seqsearch.operators.shortlist import ranked
 from seqsearch.plans import retrieve
+from seqsearch.sources import pose
 from seqsearch.workloads.queries import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
@@ -165,3 +170,17 @@ def test_segments_of_copies(spark, monkeypatch, exclude_self):
     assert "NestedLoop" not in got._jdf.queryExecution().executedPlan().toString()
     monkeypatch.setattr(retrieve, "every_pair", lambda *a: None)
     assert keys(got) == keys(retrieve.retrieve_segments(asked, base, 8, 3, plan))
+
+
+def test_variants_are_fitted_at_once(spark, monkeypatch):
+    """All variants are under way before any ends, and their histories are those of fits one by one."""
+    p = ModelParams(epochs=2, warmup_epochs=1, codebook=CodebookParams(codes=4))
+    frames = pose.EmbeddingPoses().load(spark, SF).where("clip_id < 4")
+    grid = {"base": p, "low": replace(p, lam=0.1), "sequential": replace(p, sequential=True)}
+    want = [training.fit(frames, v).history[-1] for v in grid.values()]
+    together, fit_clips = threading.Barrier(3, timeout=60), training.fit_clips
+    monkeypatch.setattr(training, "fit_clips", lambda *a: together.wait() is not None and fit_clips(*a))
+    got = training.ablate(frames, p, grid)
+    assert [g["variant"] for g in got] == list(grid)
+    for g, w in zip(got, want, strict=True):
+        assert all(abs(g[k] - w[k]) < 1e-9 for k in w)
