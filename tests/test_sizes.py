@@ -146,7 +146,7 @@ def test_copies_are_scored_once(spark, monkeypatch, how, exclude_self):
 
 
 #: Queries whose exhaustive answers come from sequences that are scored once.
-ONCE = ["retrieve_bounded", "set_compare", "shortlist_recall"]
+ONCE = ["retrieve_bounded", "set_compare", "shortlist_recall", "eval_cross_tempo_aligned"]
 
 
 @pytest.mark.parametrize("name", ONCE)
