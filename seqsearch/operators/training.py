@@ -7,7 +7,7 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark import inheritable_thread_target
+from pyspark import RDD, inheritable_thread_target
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -57,35 +57,52 @@ class Fitted:
     history: list[dict]
 
 
-def _sums(batch: DataFrame, weights: Weights, codes: np.ndarray | None, p: ModelParams, share: float, commit: float, n_codes: int, width: int) -> np.ndarray:
+def _by_step(rows: DataFrame, seed: int, steps: int) -> tuple[RDD, dict[int, list[int]], DataFrame]:
+    """(the clips of an epoch; the partitions that have those of each step; what is kept, to be let go after the epoch).
+
+    Clips of a step are in one partition, so a step is one small task, which reads a few steps' clips and not the whole table."""
+
+    def pack(batches):
+        for b in batches:
+            values = [np.asarray(v, float).tobytes() for v in b.column(3).to_numpy(zero_copy_only=False)]
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in range(3)), pa.array(values, pa.binary())], names=["step", "clip_id", "n", "frames"])
+
+    step = F.pmod(F.xxhash64(F.lit(seed), "clip_id"), F.lit(steps)).cast("int")
+    parts = min(steps, max(2 * rows.sparkSession.sparkContext.defaultParallelism, steps // 8))
+    dealt = rows.select(step.alias("step"), "clip_id", "n", "frames").repartition(parts, "step")
+    kind = dict(rows.dtypes)["clip_id"]
+    kept = dealt.mapInArrow(pack, f"step int, clip_id {kind}, n int, frames binary").persist()
+    rdd = kept.rdd
+    places: dict[int, list[int]] = {}
+    for at, s in rdd.mapPartitionsWithIndex(lambda at, it: [(at, s) for s in {r[0] for r in it}]).collect():  # a pair a step
+        places.setdefault(s, []).append(at)
+    return rdd, places, kept
+
+
+def _sums(clip_rows: RDD, step: int, at: list[int], weights: Weights, codes: np.ndarray | None, p: ModelParams, share: float, commit: float, n_codes: int, width: int) -> np.ndarray:
     """One vector: gradient, then rec, commit, entropy, total, clips; then hits and sums of the codes; then the patch of the
-    smallest hash for revival is asked for apart.  Executors add their clips; the vector's entries are summed by place."""
+    smallest hash for revival is asked for apart.  Executors add their clips, in order of the ids."""
 
-    def run(batches):
+    def run(it):
         w = {k: Node(v) for k, v in weights.items()}
         total = None
-        for b in batches:
-            for n, values in zip(b.column(1).to_pylist(), b.column(2).to_numpy(zero_copy_only=False), strict=True):
-                for node in w.values():
-                    node.grad = None
-                if n < p.patch:
-                    continue
-                loss, parts, hit, patches = clip_loss(tensor(values, n, p), w, codes, p, share, commit)
-                loss.backward()
-                g = np.concatenate([(w[k].grad if w[k].grad is not None else np.zeros_like(w[k].value)).ravel() for k in sorted(w)])
-                counts, sums = np.zeros(n_codes), np.zeros((n_codes, width))
-                np.add.at(counts, hit, 1)
-                np.add.at(sums, hit, patches if len(hit) else patches[:0])
-                row = np.concatenate([g, [parts["rec"], parts["commit"], parts["entropy"], parts["total"], 1.0], counts, sums.ravel()])
-                total = row if total is None else total + row
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], names=["i", "x"])
+        for _, _, n, values in sorted((r for r in it if r[0] == step), key=lambda r: r[1]):
+            for node in w.values():
+                node.grad = None
+            if n < p.patch:
+                continue
+            loss, parts, hit, patches = clip_loss(tensor(np.frombuffer(values), n, p), w, codes, p, share, commit)
+            loss.backward()
+            g = np.concatenate([(w[k].grad if w[k].grad is not None else np.zeros_like(w[k].value)).ravel() for k in sorted(w)])
+            counts, sums = np.zeros(n_codes), np.zeros((n_codes, width))
+            np.add.at(counts, hit, 1)
+            np.add.at(sums, hit, patches if len(hit) else patches[:0])
+            row = np.concatenate([g, [parts["rec"], parts["commit"], parts["entropy"], parts["total"], 1.0], counts, sums.ravel()])
+            total = row if total is None else total + row
+        return [] if total is None else [total]
 
     size = sum(v.size for v in weights.values()) + 5 + n_codes * (1 + width)
-    out = np.zeros(size)
-    for r in batch.mapInArrow(run, "i int, x double").groupBy("i").agg(F.sum("x").alias("x")).collect():
-        out[r["i"]] = r["x"]
-    return out
+    return sum(clip_rows.context.runJob(clip_rows, run, at), np.zeros(size))
 
 
 def _some_patches(clip_rows: DataFrame, weights: Weights, p: ModelParams, n: int, seed: int) -> np.ndarray:
@@ -135,10 +152,10 @@ def fit_clips(rows: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) ->
             ema_n, ema_m = np.ones(k), codes.copy()
         share = (epoch + 1) / (p.warmup_epochs + 1) if warm and p.ramp else 1.0
         epoch_hits, report = np.zeros(k), np.zeros(5)
-        for step in range(steps):
-            batch = rows.where(F.pmod(F.xxhash64(F.lit(seed + epoch), "clip_id"), F.lit(steps)) == step)
+        dealt, places, kept = _by_step(rows, seed + epoch, steps)
+        for step in sorted(places):
             commit = 1.0 if p.commit_schedule == "const" or not epoch_hits.any() else float((epoch_hits > 0).mean())
-            got = _sums(batch, weights, codes, p, share, commit, k, width)
+            got = _sums(dealt, step, places[step], weights, codes, p, share, commit, k, width)
             clips_seen = got[size + 4]
             if not clips_seen:
                 continue
@@ -151,6 +168,7 @@ def fit_clips(rows: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) ->
                 ema_n, ema_m = a * ema_n + (1 - a) * hits, a * ema_m + (1 - a) * sums
                 codes = ema_m / np.maximum(ema_n, p.codebook.eps)[:, None]
                 epoch_hits += hits
+        kept.unpersist()
         if codes is not None and p.codebook.revive and (dead := np.nonzero(epoch_hits == 0)[0]).size:
             new = _some_patches(rows, weights, p, len(dead), seed + epoch + 1)
             dead = dead[: len(new)]

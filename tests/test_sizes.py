@@ -9,7 +9,8 @@ import pandas as pd
 import pytest
 
 from seqsearch.config import CodebookParams, ModelParams
-from seqsearch.operators import nearest, onepass, shortlist, training
+from seqsearch.functions.autodiff import Node
+from seqsearch.operators import encoder, nearest, onepass, shortlist, training
 from seqsearch.operators.shortlist import ranked
 from seqsearch.plans import retrieve
 from seqsearch.sources import pose
@@ -184,3 +185,36 @@ def test_variants_are_fitted_at_once(spark, monkeypatch):
     assert [g["variant"] for g in got] == list(grid)
     for g, w in zip(got, want, strict=True):
         assert all(abs(g[k] - w[k]) < 1e-9 for k in w)
+
+
+def test_a_step_is_one_task_over_its_clips(spark):
+    """A step reads the partition that has its clips, not the whole table, and its sums are those of a plain loop over them."""
+    p = ModelParams(epochs=3, warmup_epochs=1, batch=3, codebook=CodebookParams(codes=4))
+    frames = pose.EmbeddingPoses().load(spark, SF)
+    steps = encoder.clips(frames).count() // p.batch
+    spark.sparkContext.setJobGroup("one_task", "")
+    training.fit(frames, p)
+    tracker = spark.sparkContext.statusTracker()
+    stages = [tracker.getStageInfo(s) for j in tracker.getJobIdsForGroup("one_task") for s in tracker.getJobInfo(j).stageIds]
+    spark.sparkContext.setJobGroup("others", "")
+    assert steps > 5 and sum(s is not None and s.numTasks > 1 and s.numCompletedTasks > 0 for s in stages) < 12 * p.epochs
+    assert sum(s is not None and s.numTasks == 1 for s in stages) >= p.epochs * (steps - 1)
+
+    rows, weights = encoder.clips(frames).persist(), encoder.init_weights(p)
+    codes = np.random.default_rng(3).standard_normal((4, p.patch * p.joints * p.dim))
+    dealt, places, _ = training._by_step(rows, 5, steps)
+    mine = rows.selectExpr("*", f"pmod(xxhash64(5, clip_id), {steps}) as step").orderBy("clip_id").collect()
+    assert set(places) == {r.step for r in mine} and all(len(at) == 1 for at in places.values())
+    for step, at in places.items():
+        got = training._sums(dealt, step, at, weights, codes, p, 1.0, 1.0, 4, codes.shape[1])
+        w, rec, gradient, hits, seen = {k: Node(v) for k, v in weights.items()}, 0.0, 0.0, np.zeros(4), 0
+        for r in (r for r in mine if r.step == step):
+            loss, parts, hit, _ = encoder.clip_loss(encoder.tensor(r.frames, r.n, p), w, codes, p)
+            loss.backward()
+            rec, hits, seen = rec + parts["rec"], hits + np.bincount(hit, minlength=4), seen + 1
+            gradient = gradient + np.concatenate([w[k].grad.ravel() for k in sorted(w)])
+            for node in w.values():
+                node.grad = None
+        size = len(gradient)
+        assert np.allclose(got[:size], gradient) and np.allclose(got[size], rec) and got[size + 4] == seen
+        assert np.array_equal(got[size + 5 : size + 9], hits)
