@@ -8,6 +8,7 @@ import pytest
 
 from seqsearch.config import WEIGHTS, MetricParams, check_weights, weight_presets
 from seqsearch.functions import wavefront as wf
+from seqsearch.functions.metrics import batch_similarities, batch_values
 
 GOLDEN = [  # a, b, lcss, edr, erp, dtw, twed printed, twed original, cosine, bigram, score
     ([1, 2, 3, 4], [1, 2, 3, 4], 4, 0, 0, 0, 0, 0, 1, 1, 1),
@@ -142,3 +143,27 @@ def test_native_equals_arrow(spark):
         x = {r["query_id"]: r["value"] for r in pair_distance(df, m, p, "arrow").collect()}
         y = {r["query_id"]: r["value"] for r in pair_distance(df, m, p, "native").collect()}
         assert x == y, m
+
+
+@pytest.mark.parametrize("name", ["lcss", "edr"])
+def test_bits_equal_the_sweep(name):
+    """Whole words of 64 places, one more and one less, empty, one kind of token and many, negative ones, the same row in many pairs."""
+    rng = np.random.default_rng(1)
+    rows = [rng.integers(0, k, n) for n in (0, 1, 5, 63, 64, 65, 127, 128, 129, 200) for k in (1, 2, 5, 300) for _ in range(2)]
+    rows += [np.array([-3, 7, -3]), [1, 2, 2]]
+    a, b = [r for r in rows for _ in rows], [r for _ in rows for r in rows]
+    want = batch_values(lambda x, y, *_: {"v": getattr(wf, name)(x, y)}, a, b, None, None, ["v"])["v"]
+    assert np.array_equal(wf.by_bits(name, a, b), want)
+    s = batch_values(lambda x, y, *_: wf.similarities([name], x, y), a, b, None, None, [name])[name]
+    assert np.array_equal(wf.bit_similarity(name, a, b), s)
+    assert wf.by_bits(name, a, b, MetricParams(lcss_eps=1, edr_eps=1)) is None
+
+
+def test_bits_take_no_sweep(monkeypatch):
+    """Pairs of whole sequences get both terms without a sweep over diagonals."""
+    monkeypatch.setattr(wf, "sweep", None)
+    rng = np.random.default_rng(2)
+    rows = [rng.integers(0, 5, n) for n in rng.integers(45, 100, 200)]
+    a, b = [r for r in rows[:100] for _ in rows], rows * 100
+    s = batch_similarities(["lcss", "edr"], a, b, None, None, MetricParams())
+    assert len(s["lcss"]) == 20_000 and s["edr"][0] == s["lcss"][0] == 1 and (s["edr"] <= s["lcss"] + 1e-12).all()
