@@ -155,7 +155,7 @@ def test_bits_equal_the_sweep(name):
     want = batch_values(lambda x, y, *_: {"v": getattr(wf, name)(x, y)}, a, b, None, None, ["v"])["v"]
     assert np.array_equal(wf.by_bits(name, a, b), want)
     s = batch_values(lambda x, y, *_: wf.similarities([name], x, y), a, b, None, None, [name])[name]
-    assert np.array_equal(wf.bit_similarity(name, a, b), s)
+    assert np.array_equal(wf.quick_similarity(name, a, b), s)
     assert wf.by_bits(name, a, b, MetricParams(lcss_eps=1, edr_eps=1)) is None
 
 
@@ -167,3 +167,35 @@ def test_bits_take_no_sweep(monkeypatch):
     a, b = [r for r in rows[:100] for _ in rows], rows * 100
     s = batch_similarities(["lcss", "edr"], a, b, None, None, MetricParams())
     assert len(s["lcss"]) == 20_000 and s["edr"][0] == s["lcss"][0] == 1 and (s["edr"] <= s["lcss"] + 1e-12).all()
+
+
+@pytest.mark.parametrize("p", [MetricParams(), MetricParams(nu=0.5, lam=0.25, beta=1.0, gap=2.0), MetricParams(nu=0.0625, beta=0.25, gap=-1.0)])
+@pytest.mark.parametrize("name", ["twed", "erp"])
+def test_short_numbers_equal_the_sweep(name, p):
+    """Empty and long, few tokens and many, negative ones; where sums are too large there is no short form."""
+    rng = np.random.default_rng(1)
+    rows = [rng.integers(0, k, n) for n in (0, 1, 5, 31, 64, 65, 90) for k in (1, 2, 5, 30) for _ in range(2)]
+    rows += [np.array([-3, 7, -3]), [1, 2, 2]]
+    a, b = [r for r in rows for _ in rows], [r for _ in rows for r in rows]
+    whole = lambda x, y, *_: {"v": wf.twed(x, y, p=p) if name == "twed" else wf.erp(x, y, p)}
+    want = batch_values(whole, a, b, None, None, ["v"])["v"]
+    got = wf.quick(name, a, b, p)
+    if p.nu < 0.5:
+        assert got is not None
+    assert got is None or np.array_equal(got, want)
+    s = batch_values(lambda x, y, *_: wf.similarities([name], x, y, p=p), a, b, None, None, [name])[name]
+    assert np.array_equal(batch_similarities([name], a, b, None, None, p)[name], s)
+    big = [np.array([0, 20_000]), np.array([30_000])]
+    assert wf.quick("erp", big, big[::-1], p) is None and wf.quick("twed", [np.arange(600)], [np.arange(600)], p) is None
+    assert wf.quick(name, [np.array([0.5])], [np.array([1.0])], p) is None
+    assert wf.quick("twed", a, b, MetricParams(twed="original")) is None and wf.quick("erp", a, b, MetricParams(beta=0.3)) is None
+
+
+def test_scores_take_no_sweep(monkeypatch):
+    """All alignment terms of whole sequences of few tokens, by forms that are exact and need no diagonals of floats."""
+    monkeypatch.setattr(wf, "sweep", None)
+    rng = np.random.default_rng(2)
+    rows = [rng.integers(0, 5, n) for n in rng.integers(45, 100, 50)]
+    a, b = [r for r in rows for _ in rows], rows * 50
+    s = batch_similarities(["twed", "lcss", "edr", "erp"], a, b, None, None, MetricParams())
+    assert all(len(v) == 2_500 and v[0] == 1 and (v > 0).all() for v in s.values())

@@ -8,7 +8,8 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from seqsearch.config import CodebookParams, ModelParams
+from seqsearch.config import WEIGHTS, CodebookParams, MetricParams, ModelParams
+from seqsearch.functions import wavefront
 from seqsearch.functions.autodiff import Node
 from seqsearch.operators import encoder, nearest, onepass, shortlist, training
 from seqsearch.operators.shortlist import ranked
@@ -218,3 +219,21 @@ def test_a_step_is_one_task_over_its_clips(spark):
         size = len(gradient)
         assert np.allclose(got[:size], gradient) and np.allclose(got[size], rec) and got[size + 4] == seen
         assert np.array_equal(got[size + 5 : size + 9], hits)
+
+
+@pytest.mark.parametrize("prune", [True, False])
+def test_different_sequences_are_scored_without_a_sweep(monkeypatch, prune):
+    """Bounded and exhaustive scoring of sequences that are no copies: the best are those of all similarities by the sweep."""
+    rng = np.random.default_rng(8)
+    seqs = [rng.integers(0, 5, n) for n in rng.integers(0, 100, 90)]
+    names, want = list(WEIGHTS), []
+    for q in range(9):
+        s = wavefront.similarities(names, [seqs[q]] * 90, seqs)
+        score = sum(WEIGHTS[k] * s[k] for k in names)
+        order = [c for c in np.lexsort((np.arange(90), -np.round(score, 9))) if c != q][:3]
+        want += [(q, c, round(score[c], 9)) for c in order]
+    monkeypatch.setattr(wavefront, "sweep", None)
+    scorer = onepass.Scorer(onepass.QueryBlock(np.arange(9), seqs[:9], None), 3, WEIGHTS, MetricParams(), True, prune)
+    for at in range(0, 90, 30):
+        scorer.feed(np.arange(at, at + 30), seqs[at : at + 30], None)
+    assert sorted(zip(scorer.best.query, scorer.best.cand, np.round(scorer.best.value, 9), strict=True)) == sorted(want)
