@@ -237,3 +237,13 @@ def test_different_sequences_are_scored_without_a_sweep(monkeypatch, prune):
     for at in range(0, 90, 30):
         scorer.feed(np.arange(at, at + 30), seqs[at : at + 30], None)
     assert sorted(zip(scorer.best.query, scorer.best.cand, np.round(scorer.best.value, 9), strict=True)) == sorted(want)
+
+
+#: Queries all of whose pairs go by the forms without sweeps.
+NO_SWEEP = ["combined_score"]
+
+
+@pytest.mark.parametrize("name", NO_SWEEP)
+def test_query_takes_no_sweep(spark, monkeypatch, name):
+    monkeypatch.setattr(wavefront, "sweep", None)  # modules travel by value, so executors have none either
+    assert rows(QUERIES[name](spark, SF).toPandas()) == wanted(name)
