@@ -240,7 +240,7 @@ def test_different_sequences_are_scored_without_a_sweep(monkeypatch, prune):
 
 
 #: Queries all of whose pairs go by the forms without sweeps.
-NO_SWEEP = ["combined_score", "set_compare"]
+NO_SWEEP = ["combined_score", "set_compare", "shortlist_recall"]
 
 
 @pytest.mark.parametrize("name", NO_SWEEP)
