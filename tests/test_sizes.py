@@ -15,6 +15,7 @@ from seqsearch.operators import encoder, nearest, onepass, shortlist, training
 from seqsearch.operators.shortlist import ranked
 from seqsearch.plans import retrieve
 from seqsearch.sources import pose
+from seqsearch.workloads import queries as workload
 from seqsearch.workloads.queries import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
@@ -247,3 +248,28 @@ NO_SWEEP = ["combined_score", "set_compare", "shortlist_recall"]
 def test_query_takes_no_sweep(spark, monkeypatch, name):
     monkeypatch.setattr(wavefront, "sweep", None)  # modules travel by value, so executors have none either
     assert rows(QUERIES[name](spark, SF).toPandas()) == wanted(name)
+
+
+#: Queries that read the sequences in several jobs.
+READ_ONCE = ["combined_score"]
+
+
+@pytest.mark.parametrize("name", READ_ONCE)
+def test_events_are_read_once(spark, monkeypatch, name):
+    """The events are scanned and shuffled once, without times, for all jobs of a query."""
+    seen, table = spark.sparkContext.accumulator(0), workload.table
+
+    def counted(spark, d, name):
+        df = table(spark, d, name)
+
+        def run(batches):
+            for batch in batches:
+                seen.add(batch.num_rows)
+                yield batch
+
+        return df.mapInArrow(run, df.schema)
+
+    monkeypatch.setattr(workload, "table", counted)
+    got = QUERIES[name](spark, SF)
+    assert rows(got.toPandas()) == wanted(name) and seen.value == table(spark, SF, "events").count()
+    spark.catalog.clearCache()
