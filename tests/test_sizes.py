@@ -251,7 +251,7 @@ def test_query_takes_no_sweep(spark, monkeypatch, name):
 
 
 #: Queries that read the sequences in several jobs.
-READ_ONCE = ["combined_score"]
+READ_ONCE = ["combined_score", "set_compare"]
 
 
 @pytest.mark.parametrize("name", READ_ONCE)
@@ -273,3 +273,51 @@ def test_events_are_read_once(spark, monkeypatch, name):
     got = QUERIES[name](spark, SF)
     assert rows(got.toPandas()) == wanted(name) and seen.value == table(spark, SF, "events").count()
     spark.catalog.clearCache()
+
+
+#: Queries that need the exhaustive answers only, not every score.
+BOUNDED = ["set_compare"]
+
+
+@pytest.mark.parametrize("name", BOUNDED)
+@pytest.mark.parametrize("many", [500, 0])
+def test_answers_by_the_bounded_form(spark, monkeypatch, name, many):
+    """Pairs that can't be answers are not aligned, with and without a first look; the first look takes no sweep either."""
+    monkeypatch.setattr(retrieve, "MANY", many)
+    monkeypatch.setattr(wavefront, "sweep", None)
+    pruned, scan = [], onepass.scan
+    monkeypatch.setattr(retrieve, "scan", lambda *a: pruned.append((a[7], a[9] is not None)) or scan(*a))
+    assert rows(QUERIES[name](spark, SF).toPandas()) == wanted(name) and pruned == [(True, many == 0)]
+    spark.catalog.clearCache()
+
+
+#: Prices for which the bounds of terms differ.
+PRICES = [MetricParams(), MetricParams(twed="original"), MetricParams(lam=0.5), MetricParams(lam=2.0, nu=0.0), MetricParams(nu=1.0, gap=2.0), MetricParams(beta=0.125), MetricParams(beta=1.0, gap=0.5), MetricParams(edr_eps=1.0, twed_cost="abs")]
+
+
+@pytest.mark.parametrize("params", PRICES)
+@pytest.mark.parametrize("timed", [False, True])
+def test_bounds_leave_the_best(params, timed):
+    """Values that other terms bound: no bound is below the value, so the best are those of all pairs, for any prices."""
+    rng = np.random.default_rng(11)
+    seqs = [rng.integers(0, 4, n) for n in (0, 1, *rng.integers(1, 30, 148))]
+    times = [np.cumsum(rng.random(len(t))) for t in seqs] if timed else None
+    found = []
+    for prune in (True, False):
+        scorer = onepass.Scorer(onepass.QueryBlock(np.arange(12), seqs[:12], times and times[:12]), 3, WEIGHTS, params, True, prune)
+        for at in range(0, 150, 50):
+            scorer.feed(np.arange(at, at + 50), seqs[at : at + 50], times and times[at : at + 50])
+        found.append(sorted(zip(scorer.best.query, scorer.best.cand, np.round(scorer.best.value, 9), strict=True)))
+    assert found[0] == found[1] and len(found[0]) == 36
+
+
+def test_few_pairs_get_the_costly_terms():
+    """Over sequences of five tokens that are no copies: TWED, the costliest, is left for a few pairs."""
+    rng = np.random.default_rng(12)
+    seqs = [rng.integers(0, 5, n) for n in rng.integers(45, 100, 1500)]
+    scorer = onepass.Scorer(onepass.QueryBlock(np.arange(10), seqs[:10], None), 3, WEIGHTS, MetricParams(), True, True)
+    pairs, align = {}, scorer._align
+    scorer._align = lambda term, q, *a: pairs.update({term: pairs.get(term, 0) + len(q)}) or align(term, q, *a)
+    for at in range(0, 1500, 300):
+        scorer.feed(np.arange(at, at + 300), seqs[at : at + 300], None)
+    assert scorer.pairs == 14_990 and pairs["twed"] < scorer.pairs / 4 and pairs["erp"] < scorer.pairs * 0.55
