@@ -251,7 +251,7 @@ def test_query_takes_no_sweep(spark, monkeypatch, name):
 
 
 #: Queries that read the sequences in several jobs.
-READ_ONCE = ["combined_score", "set_compare"]
+READ_ONCE = ["combined_score", "set_compare", "shortlist_recall"]
 
 
 @pytest.mark.parametrize("name", READ_ONCE)
@@ -276,7 +276,7 @@ def test_events_are_read_once(spark, monkeypatch, name):
 
 
 #: Queries that need the exhaustive answers only, not every score.
-BOUNDED = ["set_compare"]
+BOUNDED = ["set_compare", "shortlist_recall"]
 
 
 @pytest.mark.parametrize("name", BOUNDED)
