@@ -123,9 +123,36 @@ def _some_patches(clip_rows: DataFrame, weights: Weights, p: ModelParams, n: int
     return x[np.random.default_rng(seed).permutation(len(x))[:n]]
 
 
+def _measured(clip_rows: DataFrame, weights: Weights, codes: np.ndarray | None, p: ModelParams) -> tuple[np.ndarray, np.ndarray]:
+    """(rec, commit, entropy, total, clips; hits of each code) of a model over all clips: one forward pass, a row a partition."""
+    k = 0 if codes is None else len(codes)
+
+    def run(batches):
+        w, found = {name: Node(v) for name, v in weights.items()}, []
+        for b in batches:
+            for clip, n, values in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_numpy(zero_copy_only=False), strict=True):
+                if n >= p.patch:
+                    _, parts, hit, _ = clip_loss(tensor(values, n, p), w, codes, p)
+                    found.append((clip, np.concatenate([[parts["rec"], parts["commit"], parts["entropy"], parts["total"], 1.0], np.bincount(hit, minlength=k)[:k]])))
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array([sum(row for _, row in sorted(found, key=lambda f: f[0]))], pa.list_(pa.float64()))], names=["sums"])
+
+    total = np.zeros(5 + k)
+    for r in clip_rows.select("clip_id", "n", "frames").mapInArrow(run, "sums array<double>").collect():
+        total = total + np.array(r["sums"])
+    return total[:5], total[5:]
+
+
+def _line(epoch: int, report: np.ndarray, hits: np.ndarray) -> dict:
+    """A line of the history, from sums over clips and the hits of the codes."""
+    seen = max(1.0, report[4])
+    return {"epoch": epoch, "rec": report[0] / seen, "commit": report[1] / seen, "entropy": report[2] / seen, "total": report[3] / seen, "usage": 100 * float((hits > 0).mean()) if len(hits) else 0.0}
+
+
 def fit(frames: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) -> Fitted:
     """Warm-up epochs without the bottleneck (or, ramp, with a growing share of it), then epochs with it: each step takes a
-    hashed part of the clips of about ``batch`` clips, moves the weights by Adam, and the codes by moving averages and revival."""
+    hashed part of the clips of about ``batch`` clips, moves the weights by Adam, and the codes by moving averages and revival.
+    The last line of the history is what the fitted model, with the codes that the last epoch revived, gives over all clips."""
     rows = clips(frames).persist()
     try:
         return fit_clips(rows, p, seed)
@@ -173,8 +200,9 @@ def fit_clips(rows: DataFrame, p: ModelParams = ModelParams(), seed: int = 7) ->
             new = _some_patches(rows, weights, p, len(dead), seed + epoch + 1)
             dead = dead[: len(new)]
             codes[dead], ema_m[dead], ema_n[dead] = new[: len(dead)], new[: len(dead)], 1.0
-        seen = max(1.0, report[4])
-        history.append({"epoch": epoch, "rec": report[0] / seen, "commit": report[1] / seen, "entropy": report[2] / seen, "total": report[3] / seen, "usage": 100 * float((epoch_hits > 0).mean())})
+        history.append(_line(epoch, report, epoch_hits))
+    if history:  # no epoch follows the last, so its own sums don't show what its revival did
+        history[-1] = _line(p.epochs - 1, *_measured(rows, weights, codes, p))
     return Fitted(weights, codes if codes is not None else np.zeros((0, width)), history)
 
 

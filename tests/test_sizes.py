@@ -189,6 +189,22 @@ def test_variants_are_fitted_at_once(spark, monkeypatch):
         assert all(abs(g[k] - w[k]) < 1e-9 for k in w)
 
 
+def test_revival_shows_in_the_last_line(spark):
+    """More codes than patches, so some are dead after the only epoch with codes: their revival is in what is reported."""
+    p = ModelParams(epochs=2, warmup_epochs=1, codebook=CodebookParams(codes=64))
+    frames = pose.EmbeddingPoses().load(spark, SF).where("clip_id < 4")
+    grid = {"base": p, "no_revival": replace(p, codebook=replace(p.codebook, revive=False))}
+    base, dead = training.ablate(frames, p, grid)
+    assert base["rec"] != dead["rec"]
+    fitted = training.fit(frames, p)
+    w, seen = {k: Node(v) for k, v in fitted.weights.items()}, []
+    for r in encoder.clips(frames).orderBy("clip_id").collect():
+        _, parts, hit, _ = encoder.clip_loss(encoder.tensor(r.frames, r.n, p), w, fitted.codes, p)
+        seen.append((parts["rec"], hit))
+    assert abs(base["rec"] - np.mean([rec for rec, _ in seen])) < 1e-9 and len(seen) == 4
+    assert base["usage"] == 100 * len(np.unique(np.concatenate([hit for _, hit in seen]))) / 64
+
+
 def test_a_step_is_one_task_over_its_clips(spark):
     """A step reads the partition that has its clips, not the whole table, and its sums are those of a plain loop over them."""
     p = ModelParams(epochs=3, warmup_epochs=1, batch=3, codebook=CodebookParams(codes=4))
