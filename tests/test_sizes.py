@@ -51,6 +51,26 @@ def test_nearest_equals_all_pairs(spark, monkeypatch, k, exclude_self):
     assert sorted((r.query_id, r.rank, r.cand_id, round(r.cosine, 9)) for r in got) == plain(asked, base, k, exclude_self)
 
 
+@pytest.mark.parametrize("name", ["retrieve_periodic", "eval_studio"])
+def test_equal_histograms_are_compared_once(spark, monkeypatch, name):
+    """More sequences than different histograms: each is compared once, and the histograms of a side are read once, whatever their number."""
+    monkeypatch.setattr(shortlist, "ONE_PASS", 0)
+    monkeypatch.setattr(onepass, "MOST_KEPT", 10)  # sequences, not histograms, are many
+    seen, kinds = [], nearest.kinds
+    monkeypatch.setattr(nearest, "kinds", lambda df: seen.append((df.count(), kinds(df))) or seen[-1][1])
+    got = QUERIES[name](spark, SF).toPandas()
+    assert name not in ORACLES or rows(got) == wanted(name)
+    assert seen and all(len(k.ids) == n for n, k in seen) and (name == "eval_studio" or any(len(k.begin) - 1 < n for n, k in seen))
+    spark.catalog.clearCache()
+
+
+def test_answers_have_an_honest_size(spark):
+    """Spark's estimate of the size of the answers grows with them, so that no join broadcasts them to the driver."""
+    base = made(spark, [(i, [i % 5, i % 3]) for i in range(3000)])
+    plan = nearest.nearest(base, base, 40)._jdf.queryExecution().optimizedPlan()
+    assert int(str(plan.stats().sizeInBytes())) >= 3000 * 40 * 8
+
+
 def test_nearest_leaves_groups_out():
     rng = np.random.default_rng(5)
     counts = rng.integers(0, 30, (20_000, 5)).astype(float)
