@@ -209,6 +209,24 @@ def test_variants_are_fitted_at_once(spark, monkeypatch):
         assert all(abs(g[k] - w[k]) < 1e-9 for k in w)
 
 
+@pytest.mark.parametrize("weights", [{"lcss": 1.0}, {"lcss": 0.5, "edr": 0.5}])
+@pytest.mark.parametrize("window, hop", [(8, 3), (16, 8), (40, 7)])
+def test_segments_are_scored_in_place(spark, monkeypatch, weights, window, hop):
+    """No row for a pair of a query and a segment: tasks cut the sequences and keep the best; the answers are those of all pairs."""
+    monkeypatch.setattr(onepass, "_WINDOWS", 40)
+    rng = np.random.default_rng(6)
+    kinds = [rng.integers(0, 4 + j % 3, int(n)).tolist() for j, n in enumerate((0, 1, 3, 8, 9, 20, 20, 31, 90, *rng.integers(0, 60, 60)))]
+    base = made(spark, [(int(i), kinds[j % len(kinds)]) for j, i in enumerate(rng.permutation(150))])
+    asked = base.where("seq_id % 20 < 3")
+    plan = retrieve.RetrievalPlan(weights=weights)
+    keys = lambda df: sorted(tuple(r) for r in df.collect())
+    got = retrieve.retrieve_segments(asked, base, window, hop, plan)
+    shown = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in shown and "max(" not in shown  # the best segment of a sequence is not looked for among sent ones
+    monkeypatch.setattr(retrieve, "best_segments", lambda *a: None)
+    assert keys(got) == keys(retrieve.retrieve_segments(asked, base, window, hop, plan)) and len(keys(got)) > 60
+
+
 def test_revival_shows_in_the_last_line(spark):
     """More codes than patches, so some are dead after the only epoch with codes: their revival is in what is reported."""
     p = ModelParams(epochs=2, warmup_epochs=1, codebook=CodebookParams(codes=64))
