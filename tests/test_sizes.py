@@ -294,8 +294,20 @@ def test_different_sequences_are_scored_without_a_sweep(monkeypatch, prune):
     assert sorted(zip(scorer.best.query, scorer.best.cand, np.round(scorer.best.value, 9), strict=True)) == sorted(want)
 
 
+@pytest.mark.parametrize("band", [None, 0, 1, 5, 40])
+def test_dtw_by_bytes(band):
+    """All lengths, also empty ones; values up to the largest: as the sweep."""
+    rng = np.random.default_rng(3)
+    seqs = [rng.integers(0, 4, n) for n in (0, 0, 1, *rng.integers(0, 40, 300))] + [np.full(n, k) for n, k in ((200, 1), (200, 2), (130, 3))]
+    a, b = ([seqs[k] for k in rng.permutation(len(seqs))] for _ in range(2))
+    a, b = [*a, seqs[-3], seqs[-1]], [*b, seqs[-2], seqs[-2]]
+    p = MetricParams(dtw_band=band)
+    assert np.array_equal(wavefront.quick("dtw", a, b, p), wavefront.dtw(a, b, p))
+    assert wavefront.quick("dtw", [np.zeros(300)], [np.ones(3)], p) is None
+
+
 #: Queries all of whose pairs go by the forms without sweeps.
-NO_SWEEP = ["combined_score", "set_compare", "shortlist_recall"]
+NO_SWEEP = ["combined_score", "dtw_band", "set_compare", "shortlist_recall"]
 
 
 @pytest.mark.parametrize("name", NO_SWEEP)
