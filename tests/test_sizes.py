@@ -109,6 +109,20 @@ def test_answers_need_no_shuffle(spark, monkeypatch, name):
     assert rows(got.toPandas()) == wanted(name)
 
 
+def test_many_queries_meet_the_base_in_blocks(spark, monkeypatch):
+    """More queries than one matrix holds: no postings are joined and no pairs summed up, and the pairs are all that share a word."""
+    monkeypatch.setattr(onepass, "_CELLS", 90)
+    monkeypatch.setattr(onepass, "MOST_QUERIES", 10)
+    rng = np.random.default_rng(2)
+    base = made(spark, [(int(i), rng.integers(0, 30, j % 12).tolist()) for j, i in enumerate(rng.permutation(200))])
+    asked = base.where("seq_id % 2 = 0")
+    got = retrieve.cosine_pairs(asked, base)
+    assert "Aggregate" not in got._jdf.queryExecution().optimizedPlan().toString()
+    monkeypatch.setattr(onepass, "every_cosine", lambda *a: None)
+    keys = lambda df: sorted((r.query_id, r.cand_id, r.dot, round(r.cosine, 9)) for r in df.collect())
+    assert keys(got) == keys(retrieve.cosine_pairs(asked, base)) and len(keys(got)) > 1000
+
+
 @pytest.mark.parametrize("by", ["max", "mean"])
 def test_classes_are_summed_up_in_place(spark, monkeypatch, by):
     """Classes longer than a slice, a null class, an empty sequence: as from the pairs, but no pair is sent."""
